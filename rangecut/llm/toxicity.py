@@ -24,6 +24,7 @@ from __future__ import annotations
 
 import math
 import re
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -92,26 +93,32 @@ def train(sample: list[tuple[str, int]], rounds: int = 200, l1: float = 1.5e-4)
     labels = np.array([y for _, y in sample], np.float64)
     if len(set(labels.tolist())) < 2:
         return None
-    bags = [[features(s) for s in SENTENCE.split(text.lower())] for text, _ in sample]
-    n_docs: Counter[str] = Counter()
-    n_toxic: Counter[str] = Counter()
-    for bag, y in zip(bags, labels, strict=True):
-        terms = set().union(*bag)
-        n_docs.update(terms)
+    # Texts become numbers one at a time: the words of the whole sample never stand in memory as strings.
+    number: dict[str, int] = {}
+    flat, cuts = array("i"), array("q")
+    doc = array("i")
+    n_docs, n_toxic = Counter(), Counter()
+    for d, (text, y) in enumerate(sample):
+        seen: set[int] = set()
+        for sentence in SENTENCE.split(text.lower()):
+            found = [number.setdefault(t, len(number)) for t in features(sentence)]
+            flat.extend(found)
+            cuts.append(len(found))
+            doc.append(d)
+            seen.update(found)
+        n_docs.update(seen)
         if y:
-            n_toxic.update(terms)
+            n_toxic.update(seen)
     share = labels.mean()
-    # A word that is no commoner among toxic documents than among all can't explain a label.
-    vocabulary = sorted(t for t, n in n_docs.items() if n >= LEAST_DOCUMENTS and n_toxic[t] > max(1, 1.3 * share * n))
-    index = {t: i for i, t in enumerate(vocabulary)}
-    sentence, term, doc = [], [], []
-    for d, bag in enumerate(bags):
-        for words in bag:
-            for t in words & index.keys():
-                sentence.append(len(doc))
-                term.append(index[t])
-            doc.append(d)
-    sentence, term, doc = np.array(sentence, np.int64), np.array(term, np.int64), np.array(doc, np.int64)
+    # A feature that is no commoner among toxic documents than among all can't explain a label.
+    names = [t for t, i in number.items() if n_docs[i] >= LEAST_DOCUMENTS and n_toxic[i] > max(1, 1.3 * share * n_docs[i])]
+    vocabulary = sorted(names)
+    index = np.full(len(number), -1, np.int64)
+    index[[number[t] for t in vocabulary]] = np.arange(len(vocabulary))
+    doc = np.array(doc, np.int64)
+    term = index[np.array(flat, np.int64)]
+    sentence = np.repeat(np.arange(len(doc)), np.array(cuts, np.int64))[term >= 0]
+    term = term[term >= 0]
     weight = np.where(labels == 1, 0.5 / labels.sum(), 0.5 / (1 - labels).sum())
     theta, rate = np.zeros(len(vocabulary)), 0.15
     m, v = np.zeros_like(theta), np.zeros_like(theta)
