@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-PARTS = ("chat_queries", "url_queries", "quality_queries", "toxicity_queries", "packing_queries", "mixing_queries", "jaccard_queries", "html_queries")
+PARTS = ("chat_queries", "url_queries", "quality_queries", "toxicity_queries", "packing_queries", "mixing_queries", "jaccard_queries", "html_queries", "nn_queries")
 
 
 def _merged(name: str) -> dict:
