@@ -27,6 +27,7 @@ own; an empty table gives no rows; other columns are left out.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
@@ -140,11 +141,11 @@ def permuted(index: np.ndarray, n: np.ndarray, key: np.ndarray) -> np.ndarray:
     return out.astype(np.int64)
 
 
-SLOTS = "shard long, slot int, number int, block_index long"
+SLOTS = "shard long, slot int, number int, block_index long, turn int"
 
 
 def slots_of(spark, sources: list[Source], seed: int) -> DataFrame:
-    """The mix as slots: shard, slot, source number, block index. A shard's slots are spread by a permutation of their own."""
+    """The mix as slots: shard, slot, source number, block index, and how often the block was taken before. A shard's slots are spread by a permutation of their own."""
     taken = np.zeros(len(sources), np.int64)
     shards = []
     a_shard = max(SLOTS_A_SHARD, -(-sum(s.slots for s in sources) // MOST_SHARDS))
@@ -165,7 +166,7 @@ def slots_of(spark, sources: list[Source], seed: int) -> DataFrame:
                 n = blocks[number]
                 shard = np.full(len(number), row.shard)
                 slot = permuted(np.arange(len(number)), np.full(len(number), len(number)), shard + 1_000_003 * (seed + 1))
-                yield pd.DataFrame({"shard": shard, "slot": slot.astype("int32"), "number": number.astype("int32"), "block_index": permuted(nth % n, n, number + 1_000_003 * seed)})
+                yield pd.DataFrame({"shard": shard, "slot": slot.astype("int32"), "number": number.astype("int32"), "block_index": permuted(nth % n, n, number + 1_000_003 * seed), "turn": (nth // n).astype("int32")})
 
     return drawn_rows.repartition(max(1, min(len(shards), 4096))).mapInPandas(fill, SLOTS)
 
@@ -177,10 +178,10 @@ def streamed(sized: DataFrame, sources: list[Source]) -> DataFrame:
     total = sized.count()
     salts = max(1, -(-total // SUMMED_AT_ONCE))
     numbered = sized.join(F.broadcast(names), sized["source"].eqNullSafe(names["source"])).drop("source")
-    salted = numbered.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "size"), F.lit(salts)))
+    salted = numbered.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "text_key"), F.lit(salts)))
     sums = salted.groupBy("number", "_salt").agg(F.sum("size").alias("words"))
     before = sums.select("number", "_salt", (F.sum("words").over(Window.partitionBy("number").orderBy("_salt")) - F.col("words")).alias("_before"))
-    inside = F.sum("size").over(Window.partitionBy("number", "_salt").orderBy("doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")
+    inside = F.sum("size").over(Window.partitionBy("number", "_salt").orderBy("doc_id", "text_key").rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")
     return salted.withColumn("_inside", inside).join(before, ["number", "_salt"]).withColumn("first_word", F.col("_inside") + F.col("_before")).drop("_salt", "_inside", "_before")
 
 
@@ -201,7 +202,8 @@ def mix(docs: DataFrame, weights: Sequence[float], volume_share: float, most_rep
     slot, first_word) the words are the training text.
     """
     spark = docs.sparkSession
-    sized = written(docs.select("doc_id", "source", size_of(F.col("text")).alias("size")), "sizes")
+    key = F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_key")
+    sized = written(docs.select("doc_id", "source", key, size_of(F.col("text")).alias("size")), "sizes")
     sources = sources_of(sized, weights, volume_share, most_repeats)
     stream = streamed(sized, sources)
     mixed = slots_of(spark, sources, seed).join(block_pieces(stream), ["number", "block_index"])
@@ -219,9 +221,48 @@ def taken_words(docs: DataFrame, weights: Sequence[float], volume_share: float,
     return with_words.select(*columns, "taken").unionByName(whole.where("size = 0").select(*columns, "taken"))
 
 
-def mixed_rows(docs: DataFrame, weights: Sequence[float], volume_share: float, most_repeats: int, seed: int = SEED) -> DataFrame:
-    """doc_id and the texts' words as the mix has them: shard, slot, first_word, words."""
-    mixed, _ = mix(docs, weights, volume_share, most_repeats, seed)
-    texts = docs.select(F.col("doc_id").alias("_id"), F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(f"({WORD})")).alias("_words"))
-    joined = mixed.join(texts, F.col("doc_id").eqNullSafe(F.col("_id")))
-    return joined.select("shard", "slot", "first_word", "doc_id", F.array_join(F.slice("_words", F.col("from_word").cast("int") + 1, F.col("n_words").cast("int")), " ").alias("words"))
+_WORD = re.compile(WORD)
+
+
+def cut_out(text: str, pieces: list[tuple[int, int]]) -> list[str]:
+    """The text's stretches that hold these words (from, how many), adjoining pieces in one; the whole text as it is."""
+    runs: list[list[int]] = []
+    for start, n in sorted(pieces):
+        if runs and runs[-1][1] == start:
+            runs[-1][1] += n
+        else:
+            runs.append([start, start + n])
+    words = [m.span() for m in _WORD.finditer(text)]
+    return [text if (i, j) == (0, len(words)) else text[words[i][0] : words[j - 1][1]] for i, j in runs]
+
+
+def mixed_documents(docs: DataFrame, weights: Sequence[float], volume_share: float, most_repeats: int, seed: int = SEED) -> DataFrame:
+    """The mix as documents, with the columns of ``docs``: a row for each stretch of a text that is taken, as often as it is.
+
+    ``n_chars``, where there is one, is the stretch's. Documents without words
+    have nothing to take.
+    """
+    mixed, stream = mix(docs, weights, volume_share, most_repeats, seed)
+    one = F.struct("number", "first_word", "turn", "from_word", "n_words")
+    lists = mixed.groupBy(F.col("doc_id").alias("_rc_id"), F.col("text_key").alias("_rc_text")).agg(F.collect_list(one).alias("_rc_pieces"))
+
+    @F.pandas_udf("array<string>")
+    def stretches(text: pd.Series, pieces: pd.Series) -> pd.Series:
+        out = []
+        for t, listed in zip(text, pieces, strict=True):
+            turns: dict[tuple, list[tuple[int, int]]] = {}
+            for p in listed:
+                turns.setdefault((p["number"], p["first_word"], p["turn"]), []).append((p["from_word"], p["n_words"]))
+            out.append([s for turn in sorted(turns) for s in cut_out(t or "", turns[turn])])
+        return pd.Series(out, dtype=object)
+
+    keyed = docs.withColumn("_rc_key", F.xxhash64(F.coalesce(docs["text"], F.lit(""))))
+    if stream.groupBy("doc_id", "text_key").count().where("count > 1").take(1):
+        # The list of a text covers all its equal rows, so one of them stands for them.
+        keyed = keyed.dropDuplicates(["doc_id", "_rc_key", "source"])
+        first = F.row_number().over(Window.partitionBy("doc_id", "_rc_key").orderBy("source"))
+        keyed = keyed.withColumn("_rc_first", first).where("_rc_first = 1").drop("_rc_first")
+    joined = keyed.join(lists, keyed["doc_id"].eqNullSafe(lists["_rc_id"]) & (keyed["_rc_key"] == lists["_rc_text"]))
+    out = joined.withColumn("_rc_out", F.explode(stretches("text", "_rc_pieces")))
+    new = {"text": F.col("_rc_out"), "n_chars": F.length("_rc_out").cast("long")}
+    return out.select(*(new[c].alias(c) if c in new else F.col(c) for c in docs.columns))
