@@ -5,7 +5,7 @@ from __future__ import annotations
 import importlib
 
 #: Modules of this folder that hold QUERIES and ORACLE_SQL.
-PARTS: tuple[str, ...] = ()
+PARTS: tuple[str, ...] = ("method_queries", "operator_queries", "workload_queries")
 
 
 def _merged(name: str) -> dict:
@@ -24,4 +24,6 @@ def oracle_sql() -> dict:
 
 
 def flagship(spark, sf_dir: str):
-    raise NotImplementedError
+    from rangecut.catalog import method_queries
+
+    return method_queries.flagship(spark, sf_dir)
