@@ -58,7 +58,7 @@ def usable(vectors: DataFrame, vector_id: str = "vec_id", vector: str = "embeddi
 
 
 def nodes_of(good: DataFrame, answers: int) -> DataFrame:
-    """node (its least id), ids (the ``answers`` + 1 least), v, unit (the direction as 16-bit floats)."""
+    """node (its least id), ids (the ``answers`` + 1 least), v, unit (the direction in 8 bits a component)."""
     first = F.row_number().over(Window.partitionBy("v").orderBy("id"))
     few = good.withColumn("row", first).where(F.col("row") <= answers + 1)
     grouped = few.groupBy("v").agg(F.sort_array(F.collect_list("id")).alias("ids"))
@@ -70,8 +70,8 @@ def nodes_of(good: DataFrame, answers: int) -> DataFrame:
             v = _matrix(batch.column(2))
             # Scaled first, so that squares neither overflow nor vanish.
             v = v / np.abs(v).max(1, keepdims=True)
-            unit = (v / np.sqrt((v * v).sum(1, keepdims=True))).astype(np.float16)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([u.tobytes() for u in unit], pa.binary())], names=["node", "ids", "v", "unit"])
+            packed = pack_units(v / np.sqrt((v * v).sum(1, keepdims=True)))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([u.tobytes() for u in packed], pa.binary())], names=["node", "ids", "v", "unit"])
 
     rows = grouped.select(F.element_at("ids", 1).alias("node"), "ids", "v")
     return rows.mapInArrow(direction, "node long, ids array<long>, v array<double>, unit binary")
@@ -81,8 +81,20 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
+def pack_units(unit: np.ndarray) -> np.ndarray:
+    """Rows of bytes: a 32-bit scale, then a signed byte a component. Only the choice of candidates sees the rounding."""
+    scale = (np.abs(unit).max(1, keepdims=True) / 127).astype("<f4")
+    whole = np.rint(unit / scale).clip(-127, 127).astype(np.int8)
+    return np.hstack([scale.view(np.uint8), whole.view(np.uint8)])
+
+
+def unpack_units(raw: bytes, n: int) -> np.ndarray:
+    rows = np.frombuffer(raw, np.uint8).reshape(n, -1)
+    return rows[:, 4:].view(np.int8) * np.ascontiguousarray(rows[:, :4]).view("<f4")
+
+
 def _units(column: pa.Array) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.float16).reshape(len(column), -1).astype(np.float32)
+    return unpack_units(b"".join(column.to_pylist()), len(column))
 
 
 class Tree:
@@ -115,7 +127,7 @@ class Tree:
 
 def fit_trees(nodes: DataFrame, total: int) -> list[Tree]:
     rows = nodes.select("node", "unit").orderBy(F.xxhash64("node"), "node").limit(TREE_SAMPLE).collect()
-    sample = np.frombuffer(b"".join(bytes(r.unit) for r in rows), np.float16).reshape(len(rows), -1).astype(np.float32)
+    sample = unpack_units(b"".join(bytes(r.unit) for r in rows), len(rows))
     depth = int(max(0, min(np.ceil(np.log2(max(1, total / LEAF))), np.log2(max(1, len(rows) / 8)))))
     return [Tree(sample, depth, seed) for seed in range(TREES)]
 
@@ -169,7 +181,9 @@ def _pair_batch(node: np.ndarray, other: np.ndarray, sim: np.ndarray) -> pa.Reco
 def best(pairs: DataFrame, n: int) -> DataFrame:
     """Each node's ``n`` best different partners."""
     rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("sim"), "other"))
-    return pairs.groupBy("node", "other").agg(F.max("sim").alias("sim")).withColumn("row", rank).where(F.col("row") <= n)
+    # Dealt by node once: both the grouping and the window find their rows together.
+    dealt = pairs.repartition("node")
+    return dealt.groupBy("node", "other").agg(F.max("sim").alias("sim")).withColumn("row", rank).where(F.col("row") <= n)
 
 
 def first_graph(placed: DataFrame) -> DataFrame:
@@ -268,12 +282,12 @@ def search(queries: DataFrame, lists: DataFrame, placed: DataFrame, trees: list[
             query, worst = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("query", "worst"))
             size = batch.column("others").value_lengths().to_numpy(zero_copy_only=False)
             others = batch.column("others").flatten().to_numpy(zero_copy_only=False)
-            unit = np.frombuffer(b"".join(batch.column("units").to_pylist()), np.float16).reshape(len(others), -1)
+            unit = np.frombuffer(b"".join(batch.column("units").to_pylist()), np.uint8).reshape(len(others), -1)
             ends = np.cumsum(size)
             for i in range(0, len(size), 256):  # bounds what stands in doubles at once
                 rows = slice(ends[i] - size[i], ends[min(i + 256, len(size)) - 1])
                 at = np.repeat(np.arange(i, min(i + 256, len(size))), size[i : i + 256])
-                sim = np.einsum("ij,ij->i", q[at], unit[rows].astype(np.float64))
+                sim = np.einsum("ij,ij->i", q[at], unpack_units(unit[rows].tobytes(), len(at)))
                 good = sim > worst[at]
                 yield pa.RecordBatch.from_arrays([pa.array(query[at[good]]), pa.array(others[rows][good]), pa.array(sim[good])], names=["query", "node", "sim"])
 
