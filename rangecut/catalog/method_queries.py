@@ -375,7 +375,7 @@ def m29_warm_start_rounds(spark, d):
     return one_row(spark, rounds=warm.rounds, sample=warm.sample, same=[p.rank for p in cold.chosen] == [p.rank for p in warm.chosen])
 
 
-@query("SELECT 0 AS worker, 41::BIGINT AS rows UNION ALL SELECT 1, 41 UNION ALL SELECT 2, 38")
+@query("SELECT 0 AS worker, 42::BIGINT AS rows UNION ALL SELECT 1, 39 UNION ALL SELECT 2, 39")
 def m30_overpartition_load(spark, d):
     sizes = dict(enumerate([20, 17, 15, 14, 13, 12, 10, 9, 7, 3]))
     at = exchange.place(sizes, 3)
