@@ -44,7 +44,7 @@ LEAST_BLOCKS = 512
 SLOTS_A_SHARD, MOST_SHARDS = 4096, 50_000
 MOST_SOURCES = 1_000_000
 #: Documents of one source and salt that one task sums up, about.
-SUMMED_AT_ONCE = 200_000
+SUMMED_AT_ONCE = 10_000
 SEED = 20_24
 
 
@@ -206,7 +206,8 @@ def mix(docs: DataFrame, weights: Sequence[float], volume_share: float, most_rep
     sized = written(docs.select("doc_id", "source", key, size_of(F.col("text")).alias("size")), "sizes")
     sources = sources_of(sized, weights, volume_share, most_repeats)
     stream = streamed(sized, sources)
-    mixed = slots_of(spark, sources, seed).join(block_pieces(stream), ["number", "block_index"])
+    # Slots grow with the corpus, which the planner can't see through the function that fills them: no broadcast.
+    mixed = slots_of(spark, sources, seed).hint("merge").join(block_pieces(stream), ["number", "block_index"])
     return mixed, stream
 
 
