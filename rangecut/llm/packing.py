@@ -37,7 +37,7 @@ CLOSING_ID = 0
 #: Encoded words that a worker remembers; then it starts anew.
 REMEMBERED = 300_000
 #: Pieces of one length and salt that one task ranks, about.
-RANKED_AT_ONCE = 200_000
+RANKED_AT_ONCE = 10_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
