@@ -82,6 +82,13 @@ def o_bucket_arrow(spark, d):
     return _bucketed(spark, d, "arrow")
 
 
+@query(_BUCKETS)
+def o_bucket_union(spark, d):
+    """Cuts as a table: counted along the order, nothing is sent out."""
+    cuts = spark.createDataFrame([(b,) for b in BOUNDS], "cut double")
+    return windows.bucket_by_union(load(spark, d, "orders"), orders(), cuts).select("o_orderkey", "bucket")
+
+
 @query(_BUCKETS)
 def o_bucket_udf(spark, d):
     return load(spark, d, "orders").select("o_orderkey", udfs.bucket_udf(BOUNDS)("o_totalprice").alias("bucket"))

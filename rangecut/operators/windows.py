@@ -127,3 +127,16 @@ def moving(df: DataFrame, spec: KeySpec, agg: Column, preceding: int, following:
     wide = _with_edges(placed, spec, preceding, following)
     w = Window.partitionBy(BUCKET).orderBy(spec.column(wide)).rowsBetween(-preceding, following)
     return wide.withColumn(out, agg.over(w)).where("_own").drop("_own", BUCKET)
+
+
+def bucket_by_union(df: DataFrame, spec: KeySpec, cuts: DataFrame, parts: int = 8, out: str = "bucket") -> DataFrame:
+    """Bucket lookup for more cuts than can be sent out: ``cuts`` (column ``cut``) joins the rows in order and is counted.
+
+    Neither side is broadcast; a cut counts for rows at or above it.
+    """
+    keyed = df.withColumn("_cut", F.expr(spec.key)).withColumn("_is_row", F.lit(1))
+    marks = cuts.select(F.col("cut").alias("_cut"), F.lit(0).alias("_is_row"))
+    both = keyed.unionByName(marks, allowMissingColumns=True).withColumn("_one", 1 - F.col("_is_row"))
+    order = KeySpec("_cut", ("_is_row", *spec.tag), ("_cut", "_is_row", *spec.coin), spec.nulls_first)
+    counted = cumulative_sum(both, order, "_one", parts, out).where("_is_row = 1")
+    return counted.withColumn(out, F.col(out).cast("int")).drop("_cut", "_is_row", "_one")

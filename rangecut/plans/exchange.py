@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from rangecut.plans import count, search
 from rangecut.plans.keys import KEY, KeySpec
+from rangecut.plans.state import SplitState
 
 BUCKET = "_bucket"
 
@@ -20,16 +21,24 @@ def assign_bucket(df: DataFrame, spec: KeySpec, keys: list, out: str = BUCKET, s
 
 
 def find(df: DataFrame, spec: KeySpec, parts: int, eps: float = 0.05, seed: int = 1, finder=None) -> list:
-    """Splitter keys within the tolerance; what rounds leave open is finished exactly."""
+    """Splitter keys within the tolerance: rounds until all are settled or few rows are live, which are sorted at once."""
     if parts < 2:
         return []
     if finder is not None:
         return finder(df, spec, parts, eps).keys
-    result = search.budget_rounds(df, spec, parts, eps, seed=seed, portable=False)
-    if any(p is None for p in result.chosen) or result.state.unsettled():
-        search.finish(spec.strict(df), result.state)
+    strict = spec.strict(df)
+    n = strict.count()
+    state = SplitState(n, parts, search.exact_eps(eps))
+    few = search.finish_limit(strict)
+    rate = lambda j, s, live: (5 * parts, max(1, live))
+    sampler = search.bernoulli(spec, seed, rate, portable=False)
+    for round_ in range(1, 65):
+        if not state.unsettled() or state.live_size() <= few:
+            break
+        search.run(strict, state, lambda d, r, s, live, size, at=round_: sampler(d, at, s, live, size), 1)
+    search.finish(strict, state)
     keys, last = [], None
-    for p in result.chosen:
+    for p in (state.choice(i) for i in range(parts - 1)):
         if p is not None and p.rank != last:
             keys.append(p.key)
             last = p.rank

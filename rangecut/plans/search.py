@@ -224,6 +224,12 @@ def per_interval_rounds(df: DataFrame, spec: KeySpec, parts: int, eps: float, be
     return run(strict, SplitState(n, parts, exact_eps(eps)), per_interval(spec, seed, beta, portable), max_rounds)
 
 
+def finish_limit(strict: DataFrame) -> int:
+    """Live rows to stop sampling at; strings may be long, so fewer of them are gathered."""
+    long_keys = any(f.dataType.typeName() in ("string", "binary", "array", "struct") for f in strict.schema[KEY].dataType.fields)
+    return FINISH_ROWS // 50 if long_keys else FINISH_ROWS // 2
+
+
 def finish(strict: DataFrame, state: SplitState, drop_settled: bool = True) -> None:
     """Sorts the live rows, few by now, and takes the keys on both sides of each target."""
     live = state.live(drop_settled)
@@ -248,7 +254,7 @@ def keys_at(df: DataFrame, spec: KeySpec, ranks: list[int], n: int | None = None
     sampler = bernoulli(spec, seed, rate, portable)
     held = strict
     for round_ in range(64):
-        if state.live_size() <= FINISH_ROWS // 2:
+        if state.live_size() <= finish_limit(strict):
             break
         run(held, state, lambda d, r, s, live, size, at=round_: sampler(d, at + 1, s, live, size), 1)
     finish(strict, state)
