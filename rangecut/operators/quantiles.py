@@ -16,7 +16,7 @@ def rank_of(df: DataFrame, spec: KeySpec, values: list) -> list[tuple]:
     """(value, rows below, rows at or below) of plain key values, by one counting job."""
     bare = KeySpec(spec.key, nulls_first=spec.nulls_first).strict(df.where(F.expr(spec.key).isNotNull()))
     probes = sorted(set(values))
-    keys = [(not spec.nulls_first, v) for v in probes]
+    keys = [(spec.nulls_first, v) for v in probes]
     below = count.with_position(bare, keys, "_le", strict=False)
     both = count.with_position(below, keys, "_lt", strict=True).groupBy("_le", "_lt").agg(F.count(F.lit(1)).alias("rows")).collect()
     # Position j among the values: rows with _lt <= j stand at or below value j, rows with _le <= j below it.

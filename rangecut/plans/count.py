@@ -106,10 +106,13 @@ def with_position(df: DataFrame, boundaries: list, out: str, strict: bool = Fals
     bisected = fold(F.col(key), F.col("_bounds"), len(boundaries), strict)
     is_bound = F.array_contains("_bounds", F.col(key)) if equal else None
     if strategy == "arrow":
-        edges = row.select(F.inline("_bounds")).select(_order_number(F.col("key"), kind["key"].dataType).alias("x"), "nulls").collect()
+        if isinstance(kind["key"].dataType, T.NumericType):
+            edges = [(None if b[1] is None else float(b[1]), b[0]) for b in boundaries]
+        else:
+            edges = [tuple(e) for e in row.select(F.inline("_bounds")).select(_order_number(F.col("key"), kind["key"].dataType), "nulls").collect()]
         # Nulls stand before all numbers or after; NaN after all numbers.
-        before = sum(1 for e in edges if e.x is None and not e.nulls)
-        values = np.array([e.x for e in edges if e.x is not None and e.x == e.x])
+        before = sum(1 for x, nulls in edges if x is None and not nulls)
+        values = np.array([x for x, _ in edges if x is not None and x == x])
         joined = joined.withColumn("_found", numeric_search(values)(number))
         plain = (F.col("_found.first") == F.col("_found.last")) & number.isNotNull() & ~F.isnan(number)
         joined = joined.withColumn(out, F.when(plain, F.col("_found.first") + before).otherwise(bisected))

@@ -226,7 +226,7 @@ def per_interval_rounds(df: DataFrame, spec: KeySpec, parts: int, eps: float, be
 
 def finish_limit(strict: DataFrame) -> int:
     """Live rows to stop sampling at; strings may be long, so fewer of them are gathered."""
-    long_keys = any(f.dataType.typeName() in ("string", "binary", "array", "struct") for f in strict.schema[KEY].dataType.fields)
+    long_keys = any(f.dataType.typeName() in ("string", "binary", "array") for f in strict.schema[KEY].dataType.fields)
     return FINISH_ROWS // 50 if long_keys else FINISH_ROWS // 2
 
 
