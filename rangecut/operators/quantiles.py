@@ -49,10 +49,10 @@ def exact_quantiles(df: DataFrame, spec: KeySpec, shares: list[float], method: s
 def grouped_quantiles(df: DataFrame, group: str, spec: KeySpec, shares: list[float], parts: int = 16) -> DataFrame:
     """Discrete quantiles of every group: ranges of (group, key) keep a large group on many tasks."""
     rows = df.where(F.expr(spec.key).isNotNull())
-    keyed = rows.select(F.struct(F.col(group), F.expr(spec.key).alias("k")).alias("gk"), *spec.tag, *(c for c in spec.coin if c not in spec.tag))
+    keyed = rows.withColumn("k", F.expr(spec.key))
     from rangecut.operators import windows
 
-    numbered = windows.row_number(keyed, KeySpec("gk", spec.tag, spec.coin), parts, "_rn").select(F.col(f"gk.{group}").alias(group), F.col("gk.k").alias("k"), "_rn")
+    numbered = windows.row_number(keyed, KeySpec(group, ("k", *spec.tag), spec.coin), parts, "_rn").select(group, "k", "_rn")
     sizes = numbered.groupBy(group).agg(F.min("_rn").alias("_first"), F.count(F.lit(1)).alias("_n"))
     wanted = sizes.withColumn("share", F.explode(F.array(*map(F.lit, shares)))).withColumn("_at", F.col("_first") + F.greatest(F.lit(0), F.ceil(F.col("share") * F.col("_n")) - 1))
     return numbered.join(wanted.select(group, "share", "_at"), [group]).where(F.col("_rn") == F.col("_at")).select(group, "share", F.col("k").alias("quantile"))

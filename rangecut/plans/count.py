@@ -2,11 +2,12 @@
 
 ``position`` is the number of boundaries at or below a key (or strictly below).
 A few untagged boundaries become a balanced decision tree of comparisons in
-generated code. Otherwise numbers and times take a vectorised binary search,
-and only keys that equal a boundary's go on to the tag: a fold over the sorted
-boundaries, a scalar of the plan, bisects whole strict keys. Keys of other
-types take the fold at once. What is sent out has as many entries as there are
-boundaries, which is checked.
+generated code. Otherwise numbers take a vectorised binary search of the key
+alone, and only rows whose key equals a boundary's send their tags to a second
+search of whole strict keys. Keys of other types take the second at once. The
+fold of higher-order functions serves types that neither knows. What is sent
+out has as many entries as there are boundaries, which is checked, and travels
+with the function: no row carries it.
 """
 
 from __future__ import annotations
@@ -74,17 +75,65 @@ def numeric_search(values: np.ndarray):
     return search
 
 
-def _order_number(key: Column, kind: T.DataType) -> Column | None:
-    """The key as a double that keeps its order, if not its ties; None for other types."""
-    if isinstance(kind, T.NumericType):
-        return key.cast("double")
-    if isinstance(kind, T.TimestampType):
-        return F.unix_micros(key).cast("double")
-    if isinstance(kind, T.TimestampNTZType):
-        return F.unix_micros(key.cast("timestamp")).cast("double")
-    if isinstance(kind, T.DateType):
-        return F.unix_date(key).cast("double")
-    return None
+def _codes(bounds: list, rows: np.ndarray) -> np.ndarray:
+    """Whole numbers that order the values of one field, first the boundaries', then the rows'; nulls come first."""
+    both = [*bounds, *rows.tolist()] if rows.dtype == object or rows.dtype.kind == "M" else None
+    if both is None:
+        values = np.array([np.nan if b is None else b for b in bounds], dtype=rows.dtype if rows.dtype.kind in "biu" and None not in bounds else np.float64)
+        joined = np.concatenate([values, rows])
+        missing = np.array([b is None for b in bounds] + [False] * len(rows))
+        if rows.dtype.kind == "f":
+            # A double column has nulls as NaN here; the key's own null flag stands before it.
+            missing[len(bounds) :] = False
+    else:
+        if rows.dtype.kind == "M":
+            both = [*(None if b is None else np.datetime64(b, "us").astype("int64") for b in bounds), *rows.astype("datetime64[us]").astype("int64").tolist()]
+        missing = np.array([b is None for b in both])
+        joined = np.array([b for b in both if b is not None], dtype=None if both and isinstance(next((b for b in both if b is not None), 0), (int, np.integer)) else object)
+        codes = np.full(len(both), -1, np.int64)
+        if len(joined):
+            codes[~missing] = np.unique(joined, return_inverse=True)[1]
+        return codes
+    codes = np.unique(joined, return_inverse=True)[1].astype(np.int64)
+    codes[missing] = -1
+    return codes
+
+
+def strict_search(boundaries: list):
+    """(below, upto): boundaries strictly below, and at or below, whole strict keys; null for null."""
+    fields = [list(column) for column in zip(*(tuple(b) for b in boundaries), strict=True)]
+
+    @F.pandas_udf("below int, upto int")
+    def search(keys: pd.DataFrame) -> pd.DataFrame:
+        wanted = keys.iloc[:, 0].notna().to_numpy()
+        below, upto = np.zeros(len(keys), "int32"), np.zeros(len(keys), "int32")
+        if wanted.any():
+            m, n = len(boundaries), int(wanted.sum())
+            columns = []
+            for k, bounds in enumerate(fields):
+                column = keys.iloc[:, k][wanted]
+                rows = column.to_numpy()
+                if k == 0:
+                    rows = rows.astype(bool)
+                elif rows.dtype == object or column.isna().any() and rows.dtype.kind == "M":
+                    rows = column.astype(object).where(column.notna(), None).to_numpy()
+                columns.append(_codes(bounds, rows))
+            is_bound = np.concatenate([np.ones(m, np.int8), np.zeros(n, np.int8)])
+            for out, first in ((below, 1 - is_bound), (upto, is_bound)):
+                # Among equal keys, rows stand before boundaries to count those below, after them to count those at or below.
+                order = np.lexsort((1 - first, *columns[::-1]))
+                total = np.cumsum(is_bound[order])
+                place = np.empty(m + n, np.int64)
+                place[order] = total
+                out[wanted] = place[m:]
+        frame = pd.DataFrame({"below": pd.Series(below, dtype="Int32"), "upto": pd.Series(upto, dtype="Int32")})
+        frame[~wanted] = pd.NA
+        return frame
+
+    return search
+
+
+_SEARCHED = ("boolean", "string", "date", "timestamp_ntz", "byte", "short", "integer", "long", "float", "double")
 
 
 def with_position(df: DataFrame, boundaries: list, out: str, strict: bool = False, strategy: str = "auto", key: str = KEY, equal: str | None = None) -> DataFrame:
@@ -95,32 +144,32 @@ def with_position(df: DataFrame, boundaries: list, out: str, strict: bool = Fals
         found = df.withColumn(out, F.lit(0))
         return found.withColumn(equal, F.lit(False)) if equal else found
     kind = df.schema[key].dataType
-    number = _order_number(F.col(f"{key}.key"), kind["key"].dataType)
     if strategy == "auto":
-        plain = len(kind.fields) == 2 and len(boundaries) <= TREE and not equal
-        strategy = "tree" if plain else "fold" if number is None else "arrow"
+        known = all(f.dataType.typeName() in _SEARCHED for f in kind.fields)
+        strategy = "tree" if len(kind.fields) == 2 and len(boundaries) <= TREE and not equal else "arrow" if known else "fold"
     if strategy == "tree":
         return df.withColumn(out, tree(F.col(key), [literal(b, kind) for b in boundaries], strict))
-    row = df.sparkSession.createDataFrame([(boundaries,)], T.StructType([T.StructField("_bounds", T.ArrayType(kind))]))
-    joined = df.withColumn("_bounds", row.scalar())  # read once, then a literal of the plan
-    bisected = fold(F.col(key), F.col("_bounds"), len(boundaries), strict)
-    is_bound = F.array_contains("_bounds", F.col(key)) if equal else None
-    if strategy == "arrow":
-        if isinstance(kind["key"].dataType, T.NumericType):
-            edges = [(None if b[1] is None else float(b[1]), b[0]) for b in boundaries]
-        else:
-            edges = [tuple(e) for e in row.select(F.inline("_bounds")).select(_order_number(F.col("key"), kind["key"].dataType), "nulls").collect()]
-        # Nulls stand before all numbers or after; NaN after all numbers.
-        before = sum(1 for x, nulls in edges if x is None and not nulls)
-        values = np.array([x for x, _ in edges if x is not None and x == x])
-        joined = joined.withColumn("_found", numeric_search(values)(number))
-        plain = (F.col("_found.first") == F.col("_found.last")) & number.isNotNull() & ~F.isnan(number)
-        joined = joined.withColumn(out, F.when(plain, F.col("_found.first") + before).otherwise(bisected))
-        if equal:
-            joined = joined.withColumn(equal, F.when(plain, F.lit(False)).otherwise(is_bound))
-        return joined.drop("_bounds", "_found")
-    joined = joined.withColumn(out, bisected)
-    return (joined.withColumn(equal, is_bound) if equal else joined).drop("_bounds")
+    if strategy == "fold":
+        row = df.sparkSession.createDataFrame([(boundaries,)], T.StructType([T.StructField("_bounds", T.ArrayType(kind))]))
+        joined = df.withColumn("_bounds", row.scalar())
+        joined = joined.withColumn(out, fold(F.col(key), F.col("_bounds"), len(boundaries), strict))
+        return (joined.withColumn(equal, F.array_contains("_bounds", F.col(key))) if equal else joined).drop("_bounds")
+    search = strict_search(boundaries)
+    pick = "below" if strict else "upto"
+    if not isinstance(kind["key"].dataType, T.NumericType):
+        found = df.withColumn("_strict", search(F.col(key))).withColumn(out, F.col(f"_strict.{pick}"))
+        return (found.withColumn(equal, F.col("_strict.below") < F.col("_strict.upto")) if equal else found).drop("_strict")
+    number = F.col(f"{key}.key").cast("double")
+    # Nulls stand before all numbers or after; NaN after all numbers.
+    before = sum(1 for b in boundaries if b[1] is None and not b[0])
+    values = np.array([float(b[1]) for b in boundaries if b[1] is not None and b[1] == b[1]])
+    found = df.withColumn("_near", numeric_search(values)(number))
+    plain = (F.col("_near.first") == F.col("_near.last")) & number.isNotNull() & ~F.isnan(number)
+    found = found.withColumn("_strict", search(F.when(~plain, F.col(key))))
+    found = found.withColumn(out, F.when(plain, F.col("_near.first") + before).otherwise(F.col(f"_strict.{pick}")))
+    if equal:
+        found = found.withColumn(equal, F.when(plain, F.lit(False)).otherwise(F.col("_strict.below") < F.col("_strict.upto")))
+    return found.drop("_near", "_strict")
 
 
 def counts(df: DataFrame, boundaries: list, strategy: str = "auto", weight: str | None = None) -> list[int]:

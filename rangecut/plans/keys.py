@@ -31,6 +31,8 @@ class KeySpec:
         key = F.expr(self.key)
         if isinstance(kind, (T.DoubleType, T.FloatType)):
             key = F.when(key == 0, F.lit(0.0).cast(kind)).otherwise(key)
+        if isinstance(kind, T.TimestampType):
+            key = key.cast("timestamp_ntz")
         nulls = key.isNull() != F.lit(self.nulls_first)
         return F.struct(nulls.alias("nulls"), key.alias("key"), *(F.col(t).alias(f"t{i}") for i, t in enumerate(self.tag)))
 
