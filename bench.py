@@ -41,7 +41,7 @@ def main() -> None:
     from rangecut.sources.tables import load
 
     df = load(spark, SF_DIR, "lineitem").repartition(2 * int(CPUS)).persist()
-    n, parts, eps = df.count(), 64, 0.02
+    n, parts, eps = df.count(), 32, 0.02
     spec = lineitem()
     seconds: dict[str, float] = {}
     facts: dict[str, float] = {"rows": n, "parts": parts, "eps": eps}
@@ -50,6 +50,7 @@ def main() -> None:
         began = time.time()
         out = f()
         seconds[name] = round(time.time() - began, 3)
+        print(name, seconds[name], file=sys.stderr, flush=True)
         return out
 
     noop = lambda d: d.write.format("noop").mode("overwrite").save()
@@ -57,19 +58,19 @@ def main() -> None:
     ours = timed("search_narrowing", lambda: search.budget_rounds(df, spec, parts, eps, 5, portable=False))
     rival = timed("search_per_interval", lambda: search.per_interval_rounds(df, spec, parts, eps, 5, portable=False))
     scan = timed("search_greedy_scan", lambda: baselines.greedy_scan(df, spec, parts, eps))
-    one = timed("search_one_round", lambda: search.one_round(df, spec, parts, eps, portable=False))
+    one = timed("search_one_round", lambda: search.one_round(df, spec, 8, 0.1, portable=False))
     cents = "CAST(round(l_extendedprice * 100) AS BIGINT)"
-    bisect = timed("search_domain_bisect", lambda: baselines.domain_bisect(df, cents, parts, eps, 0, 20_000_000))
+    bisect = timed("search_domain_bisect", lambda: baselines.domain_bisect(df, cents, 8, 0.1, 0, 20_000_000))
     facts |= {
         "narrowing_rounds": ours.rounds, "narrowing_samples_per_part": ours.sample / parts, "per_interval_rounds": rival.rounds, "per_interval_samples_per_part": rival.sample / parts,
-        "scan_samples_per_part": scan[1] / parts, "one_round_samples_per_part": one.sample / parts, "bisect_rounds": len(bisect[1]),
+        "scan_samples_per_part": scan[1] / parts, "one_round_samples_per_part_8_parts": one.sample / 8, "bisect_rounds": len(bisect[1]),
         "narrowing_rows_counted_share": sum(t[3] for t in ours.trace) / n,
         "narrowing_rank_error_share": max(ours.state.error(i) or 0 for i in range(parts - 1)) / n,
     }
     facts["imbalance"] = exchange.imbalance(exchange.assign_bucket(df, spec, ours.keys), parts)
     timed("exchange_and_sort", lambda: noop(exchange.range_sort(df, spec, parts, eps, ours.keys)))
     timed("platform_sort", lambda: noop(df.orderBy(spec.column(df))))
-    staged = timed("two_stage_search", lambda: workloads.two_stage(spark, SF_DIR, 256, 16, 0.01))
+    staged = timed("two_stage_search", lambda: workloads.two_stage(spark, SF_DIR, 64, 8, 0.02))
     facts["two_stage_rounds"] = sum(staged[1])
     facts["warm_start_rounds"] = timed("warm_start", lambda: search.warm_start(df, spec, ours.keys, parts, eps)).rounds
     timed("exact_quantiles", lambda: quantiles.exact_quantiles(df, spec, [0.01, 0.5, 0.99]))

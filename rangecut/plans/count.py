@@ -101,14 +101,14 @@ def _codes(bounds: list, rows: np.ndarray) -> np.ndarray:
 
 def strict_search(boundaries: list):
     """(below, upto): boundaries strictly below, and at or below, whole strict keys; null for null."""
-    fields = [list(column) for column in zip(*(tuple(b) for b in boundaries), strict=True)]
+    m, fields = len(boundaries), [list(column) for column in zip(*(tuple(b) for b in boundaries), strict=True)]
 
     @F.pandas_udf("below int, upto int")
     def search(keys: pd.DataFrame) -> pd.DataFrame:
         wanted = keys.iloc[:, 0].notna().to_numpy()
         below, upto = np.zeros(len(keys), "int32"), np.zeros(len(keys), "int32")
         if wanted.any():
-            m, n = len(boundaries), int(wanted.sum())
+            n = int(wanted.sum())
             columns = []
             for k, bounds in enumerate(fields):
                 column = keys.iloc[:, k][wanted]
