@@ -59,11 +59,9 @@ def main() -> None:
     rival = timed("search_per_interval", lambda: search.per_interval_rounds(df, spec, parts, eps, 5, portable=False))
     scan = timed("search_greedy_scan", lambda: baselines.greedy_scan(df, spec, parts, eps))
     one = timed("search_one_round", lambda: search.one_round(df, spec, 8, 0.1, portable=False))
-    cents = "CAST(round(l_extendedprice * 100) AS BIGINT)"
-    bisect = timed("search_domain_bisect", lambda: baselines.domain_bisect(df, cents, 8, 0.1, 0, 20_000_000))
     facts |= {
         "narrowing_rounds": ours.rounds, "narrowing_samples_per_part": ours.sample / parts, "per_interval_rounds": rival.rounds, "per_interval_samples_per_part": rival.sample / parts,
-        "scan_samples_per_part": scan[1] / parts, "one_round_samples_per_part_8_parts": one.sample / 8, "bisect_rounds": len(bisect[1]),
+        "scan_samples_per_part": scan[1] / parts, "one_round_samples_per_part_8_parts": one.sample / 8,
         "narrowing_rows_counted_share": sum(t[3] for t in ours.trace) / n,
         "narrowing_rank_error_share": max(ours.state.error(i) or 0 for i in range(parts - 1)) / n,
     }
