@@ -9,13 +9,19 @@
    neighbour are brought together by joins, and meet each other: who is a
    neighbour's neighbour is likely a neighbour. Only pairs better than the
    worst neighbour that one of them has are kept, and the best ``DEGREE`` of
-   old and new make the next graph.
-4. Greedy search: a query holds its best ``BEAM`` nodes, starting from entry
-   points of its leaves; in each step its best unexpanded nodes are joined with
-   the graph, whose lists carry the neighbours' directions; neighbours better
-   than the worst one held come in, until nothing unexpanded is left. The graph
-   is a table in buckets of its nodes, so steps don't shuffle it.
-5. Scores are computed anew in double precision on the original vectors.
+   old and new make the next graph. Every round samples anew; rounds go on until
+   a round replaces at most ``SETTLED`` of the neighbours. Lists only get better,
+   so they end.
+4. Greedy search: a query holds its best nodes, ``BEAM`` at first, starting from
+   its own list in the graph, the nodes that list it, and entry points of its
+   leaves; in each step its best unexpanded nodes are joined with the graph,
+   whose lists carry the neighbours' directions; neighbours better than the worst
+   one held come in, until nothing unexpanded is left. The graph is a table in
+   buckets of its nodes, so steps don't shuffle it.
+5. The nearest of a sample of queries are found exactly, by one scan. While
+   searches miss more than 1 - ``RECALL`` of them, all go on with beams twice as
+   wide; beyond ``WIDEST`` all queries are compared with all nodes, in blocks.
+6. Scores are computed anew in double precision on the original vectors.
 
 Cases: null ids, and vectors that are null, empty, zero or hold null or
 non-finite components, take no part; neither do vectors of another length than
@@ -31,7 +37,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Row, Window
 from pyspark.sql import functions as F
 
 from rangecut.llm.shared import forget, written
@@ -39,10 +45,15 @@ from rangecut.llm.shared import forget, written
 #: Vectors that the trees are fitted on, those whose id hashes lowest.
 TREE_SAMPLE = 20_000
 TREES, LEAF, CHUNK = 4, 1200, 3000
-#: Neighbours in the graph; of them, and of the reverse ones, how many meet in a round; rounds.
-#: These suit vectors without any structure in 64 dimensions, the hardest case; others need far less.
-DEGREE, MEET, ROUNDS = 32, 20, 2
-ENTRIES, BEAM, EXPANDED, STEPS = 16, 256, 64, 10
+#: Neighbours in the graph; of them, and of the reverse ones, how many meet in a round.
+DEGREE, MEET = 32, 20
+#: Rounds end once at most this share of the graph is new.
+SETTLED = 0.05
+ENTRIES, BEAM, EXPANDED = 16, 512, 128
+#: Share of the nearest to be found, the queries it is measured on, the widest beam before all is compared.
+RECALL, MEASURED, WIDEST = 0.98, 400, 2048
+#: Queries compared with all nodes at once.
+COMPARED = 2000
 #: Nodes in a bucket of the graph, about.
 BUCKET_ROWS = 20_000
 
@@ -67,10 +78,7 @@ def nodes_of(good: DataFrame, answers: int) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            v = _matrix(batch.column(2))
-            # Scaled first, so that squares neither overflow nor vanish.
-            v = v / np.abs(v).max(1, keepdims=True)
-            packed = pack_units(v / np.sqrt((v * v).sum(1, keepdims=True)))
+            packed = pack_units(_directions(_matrix(batch.column(2))))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([u.tobytes() for u in packed], pa.binary())], names=["node", "ids", "v", "unit"])
 
     rows = grouped.select(F.element_at("ids", 1).alias("node"), "ids", "v")
@@ -81,6 +89,12 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
+def _directions(v: np.ndarray) -> np.ndarray:
+    # Scaled first, so that squares neither overflow nor vanish.
+    v = v / np.abs(v).max(1, keepdims=True)
+    return v / np.sqrt((v * v).sum(1, keepdims=True))
+
+
 def pack_units(unit: np.ndarray) -> np.ndarray:
     """Rows of bytes: a 32-bit scale, then a signed byte a component. Only the choice of candidates sees the rounding."""
     scale = (np.abs(unit).max(1, keepdims=True) / 127).astype("<f4")
@@ -179,15 +193,15 @@ def _pair_batch(node: np.ndarray, other: np.ndarray, sim: np.ndarray) -> pa.Reco
 
 
 def best(pairs: DataFrame, n: int) -> DataFrame:
-    """Each node's ``n`` best different partners."""
+    """Each node's ``n`` best different partners; one is fresh where all its pairs are."""
     rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("sim"), "other"))
     # Dealt by node once: both the grouping and the window find their rows together.
     dealt = pairs.repartition("node")
-    return dealt.groupBy("node", "other").agg(F.max("sim").alias("sim")).withColumn("row", rank).where(F.col("row") <= n)
+    return dealt.groupBy("node", "other").agg(F.max("sim").alias("sim"), F.min("fresh").alias("fresh")).withColumn("row", rank).where(F.col("row") <= n)
 
 
 def first_graph(placed: DataFrame) -> DataFrame:
-    """Exact neighbours inside leaves, joined over the trees: node, other, sim, row."""
+    """Exact neighbours inside leaves, joined over the trees: node, other, sim, fresh, row."""
     sizes = placed.groupBy("tree", "leaf").agg(F.ceil(F.count("*") / F.lit(CHUNK)).alias("chunks"))
     chunked = placed.join(F.broadcast(sizes), ["tree", "leaf"])  # at most trees times sample rows
     chunked = chunked.withColumn("chunk", F.pmod(F.xxhash64("node"), "chunks")).drop("chunks")
@@ -207,14 +221,14 @@ def first_graph(placed: DataFrame) -> DataFrame:
                 yield _pair_batch(np.repeat(node[i : i + 512], k), node[at].ravel(), np.take_along_axis(sim, at, 1).ravel())
 
     dealt = chunked.repartition("tree", "leaf", "chunk").sortWithinPartitions("tree", "leaf", "chunk")
-    return best(dealt.mapInArrow(meet, PAIRS), DEGREE)
+    return best(dealt.mapInArrow(meet, PAIRS).withColumn("fresh", F.lit(True)), DEGREE)
 
 
-def descend(graph: DataFrame, nodes: DataFrame) -> DataFrame:
+def descend(graph: DataFrame, nodes: DataFrame, round_: int) -> DataFrame:
     """One round of NN-descent: the graph joined with itself through the nodes in the middle."""
     worst = graph.groupBy("node").agg(F.min("sim").alias("worst"))
     forward = graph.where(F.col("row") <= MEET).select(F.col("node").alias("middle"), F.col("other").alias("node"))
-    sampled = F.row_number().over(Window.partitionBy("middle").orderBy(F.xxhash64("node", "middle")))
+    sampled = F.row_number().over(Window.partitionBy("middle").orderBy(F.xxhash64("node", "middle", F.lit(round_))))
     reverse = graph.select(F.col("other").alias("middle"), "node").withColumn("row", sampled).where(F.col("row") <= MEET).drop("row")
     around = forward.union(reverse).distinct()
     carried = nodes.select("node", "unit").join(worst, "node")
@@ -237,7 +251,21 @@ def descend(graph: DataFrame, nodes: DataFrame) -> DataFrame:
 
     dealt = around.join(carried, "node").select("middle", "node", "unit", "worst").repartition("middle").sortWithinPartitions("middle")
     met = dealt.mapInArrow(meet, PAIRS)
-    return best(graph.select("node", "other", "sim").union(met), DEGREE)
+    old = graph.select("node", "other", "sim", F.lit(False).alias("fresh"))
+    return best(old.union(met.withColumn("fresh", F.lit(True))), DEGREE)
+
+
+def settled_graph(placed: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Rounds of NN-descent on the first graph until hardly a neighbour is new."""
+    graph = written(first_graph(placed), "graph")
+    round_ = 0
+    while True:
+        following = written(descend(graph, nodes, round_), "graph")
+        forget(graph)
+        graph, round_ = following, round_ + 1
+        fresh, edges = graph.agg(F.count_if("fresh"), F.count("*")).first()
+        if fresh <= SETTLED * edges:
+            return graph
 
 
 def _similar(rows: DataFrame, keep: str) -> DataFrame:
@@ -265,14 +293,30 @@ def listed(graph: DataFrame, nodes: DataFrame, total: int) -> str:
     return name
 
 
-def search(queries: DataFrame, lists: DataFrame, placed: DataFrame, trees: list[Tree]) -> DataFrame:
-    """query, node: the ``BEAM`` nodes that each query (query, q: a unit vector's bytes) ends with."""
+def starts(queries: DataFrame, placed: DataFrame, trees: list[Tree], graph: DataFrame, width: int) -> DataFrame:
+    """query, node, sim: entry points of each query's leaves, its own list and the best of the nodes that list it."""
     few = F.row_number().over(Window.partitionBy("tree", "leaf").orderBy(F.xxhash64("node")))
     entries = placed.withColumn("row", few).where(F.col("row") <= ENTRIES).select("tree", "leaf", "node", "unit")
     routed = leaves_of(queries.select("query", F.col("q").alias("unit")), trees, "query long, unit binary").withColumnRenamed("unit", "q")
-    started = _similar(routed.join(entries, ["tree", "leaf"]), "query long, node long").distinct()
-    held = F.slice(F.sort_array(F.collect_list(F.struct("sim", "node", "open")), False), 1, BEAM)
-    beam = written(started.withColumn("open", F.lit(True)).groupBy("query").agg(held.alias("beam")), "beam")
+    entered = _similar(routed.join(entries, ["tree", "leaf"]), "query long, node long")
+    asked = queries.select("query")
+    own = graph.select(F.col("node").alias("query"), F.col("other").alias("node"), F.col("sim").cast("double").alias("sim")).join(asked, "query", "left_semi")
+    nearest = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("sim"), "node"))
+    back = graph.select(F.col("other").alias("query"), "node", F.col("sim").cast("double").alias("sim")).join(asked, "query", "left_semi")
+    back = back.withColumn("row", nearest).where(F.col("row") <= width).drop("row")
+    return entered.unionByName(own).unionByName(back)
+
+
+def held(width: int) -> Column:
+    return F.slice(F.sort_array(F.collect_list(F.struct("sim", "node", "open")), False), 1, width).alias("beam")
+
+
+def search(queries: DataFrame, lists: DataFrame, started: DataFrame, width: int) -> DataFrame:
+    """query, node, sim: the ``width`` nodes that each query (query, q: a unit vector's bytes) ends with, from those in ``started``."""
+    once = started.groupBy("query", "node").agg(F.max("sim").alias("sim"))
+    beam = written(once.withColumn("open", F.lit(True)).groupBy("query").agg(held(width)), "beam")
+    is_open = F.exists("beam", lambda b: b["open"])
+    finished: list[DataFrame] = []
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -291,12 +335,18 @@ def search(queries: DataFrame, lists: DataFrame, placed: DataFrame, trees: list[
                 good = sim > worst[at]
                 yield pa.RecordBatch.from_arrays([pa.array(query[at[good]]), pa.array(others[rows][good]), pa.array(sim[good])], names=["query", "node", "sim"])
 
-    for _ in range(STEPS):
-        opened = F.slice(F.filter("beam", lambda b: b["open"]), 1, EXPANDED)
-        worst = F.when(F.size("beam") < BEAM, F.lit(-2.0)).otherwise(F.element_at("beam", -1)["sim"])
-        front = beam.select("query", "beam", opened.alias("front"), worst.alias("worst"))
-        if not front.where(F.size("front") > 0).take(1):
+    while True:
+        going, all_ = beam.agg(F.count_if(is_open), F.count("*")).first()
+        if not going:
             break
+        if 2 * going <= all_:  # those that are through needn't be carried along
+            finished.append(written(beam.where(~is_open), "beam"))
+            active = beam.where(is_open)
+        else:
+            active = beam
+        opened = F.slice(F.filter("beam", lambda b: b["open"]), 1, EXPANDED)
+        worst = F.when(F.size("beam") < width, F.lit(-2.0)).otherwise(F.element_at("beam", -1)["sim"])
+        front = active.select("query", "beam", opened.alias("front"), worst.alias("worst"))
         reached = front.select("query", "worst", F.explode("front.node").alias("node")).join(queries.select("query", "q"), "query")
         found = reached.join(lists, "node").select("query", "worst", "q", "others", "units").mapInArrow(compare, "query long, node long, sim double")
         stayed = F.transform("beam", lambda b: F.struct(b["sim"].alias("sim"), b["node"].alias("node"), (b["open"] & ~F.array_contains(F.col("front.node"), b["node"])).alias("open")))
@@ -304,10 +354,71 @@ def search(queries: DataFrame, lists: DataFrame, placed: DataFrame, trees: list[
         both = closed.unionByName(found.withColumn("open", F.lit(True)))
         # A node that was expanded isn't open again, however it is found.
         once = both.groupBy("query", "node").agg(F.max("sim").alias("sim"), F.min("open").alias("open"))
-        following = written(once.groupBy("query").agg(held.alias("beam")), "beam")
+        following = written(once.groupBy("query").agg(held(width)), "beam")
         forget(beam)
         beam = following
-    return beam.select("query", F.explode("beam.node").alias("node"))
+    for part in finished:
+        beam = beam.unionByName(part)
+    return beam.select("query", F.inline("beam")).select("query", "node", "sim")
+
+
+def nearest_nodes(nodes: DataFrame, asked: list[Row], answers: int) -> DataFrame:
+    """query, node: the ``answers`` nearest other nodes of each of ``asked`` (query, a), compared with all nodes in one scan."""
+    spark = nodes.sparkSession
+    if not asked:
+        return spark.createDataFrame([], "query long, node long")
+    own = np.array([r.query for r in asked], np.int64)
+    a = _directions(np.array([r.a for r in asked], np.float64))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sims, found = np.full((len(own), answers), -2.0), np.zeros((len(own), answers), np.int64)
+        for batch in batches:
+            for i in range(0, batch.num_rows, 2000):
+                part = batch.slice(i, 2000)
+                node = part.column(0).to_numpy()
+                sim = a @ _directions(_matrix(part.column(1))).T
+                sim[own[:, None] == node] = -2
+                both = np.hstack([sims, sim])
+                at = np.argpartition(-both, answers - 1, axis=1)[:, :answers]
+                sims = np.take_along_axis(both, at, 1)
+                found = np.take_along_axis(np.hstack([found, np.broadcast_to(node, sim.shape)]), at, 1)
+        good = sims > -2
+        yield _pair_batch(np.broadcast_to(own[:, None], sims.shape)[good], found[good], sims[good])
+
+    # Each task leaves its own best, so a window over tasks times answers rows decides.
+    met = nodes.select("node", "v").mapInArrow(compare, "node long, other long, sim float")
+    rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("sim"), "other"))
+    return met.withColumn("row", rank).where(F.col("row") <= answers).select(F.col("node").alias("query"), F.col("other").alias("node"))
+
+
+def compared(queries: DataFrame, nodes: DataFrame, answers: int) -> DataFrame:
+    """query, node: the nearest nodes of all queries, exactly: a scan of the nodes for each block of queries."""
+    numbered = queries.select("query").join(nodes.select(F.col("node").alias("query"), F.col("v").alias("a")), "query")
+    n = max(1, -(-numbered.count() // COMPARED))
+    out = None
+    for block in range(n):
+        mine = numbered.where(F.pmod(F.xxhash64("query"), F.lit(n)) == block).collect()
+        part = written(nearest_nodes(nodes, mine, answers), "compared")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def reach(queries: DataFrame, lists: DataFrame, placed: DataFrame, trees: list[Tree], graph: DataFrame, nodes: DataFrame, answers: int) -> DataFrame:
+    """query, node: the nodes whose scores are computed, at least ``RECALL`` of the nearest ones by the measured queries."""
+    few = queries.select("query").orderBy(F.xxhash64("query"), "query").limit(MEASURED)
+    asked = few.join(nodes.select(F.col("node").alias("query"), F.col("v").alias("a")), "query").collect()
+    truth = written(nearest_nodes(nodes, asked, answers), "truth")
+    known = truth.count()
+    width, before = BEAM, None
+    while True:
+        started = starts(queries, placed, trees, graph, width)
+        found = written(search(queries, lists, started if before is None else started.unionByName(before), width), "reached")
+        met = found.select("query", "node").join(F.broadcast(truth), ["query", "node"]).count()  # at most MEASURED times answers rows
+        if met >= RECALL * known:
+            return found.select("query", "node")
+        if 2 * width > WIDEST:
+            return compared(queries, nodes, answers)
+        width, before = 2 * width, found
 
 
 def exact_scores(rows: DataFrame, keep: str) -> DataFrame:
@@ -334,17 +445,13 @@ def neighbours(vectors: DataFrame, is_query: Column, answers: int = 5) -> DataFr
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     trees = fit_trees(nodes, total)
     placed = written(leaves_of(nodes, trees, "node long, unit binary"), "leaves")
-    graph = written(first_graph(placed), "graph")
-    for _ in range(ROUNDS):
-        following = written(descend(graph, nodes), "graph")
-        forget(graph)
-        graph = following
+    graph = settled_graph(placed, nodes)
     # Queries with equal vectors search once, as their node.
     asking = good.where(is_query).select("id", "v").join(nodes.select("node", "v", "unit"), "v").select("id", "node", "unit")
     asking = written(asking, "asking")
     queries = written(asking.select(F.col("node").alias("query"), F.col("unit").alias("q")).distinct(), "queries")
     lists = listed(graph, nodes, total)
-    reached = search(queries, vectors.sparkSession.table(lists), placed, trees)
+    reached = reach(queries, vectors.sparkSession.table(lists), placed, trees, graph, nodes, answers)
     reached = written(reached.union(queries.select("query", F.col("query").alias("node"))).distinct(), "reached")
     vectors.sparkSession.sql(f"DROP TABLE {lists}")
     pairs = reached.join(nodes.select(F.col("node").alias("query"), F.col("v").alias("a")), "query").join(nodes.select("node", "ids", "v"), "node")

@@ -36,3 +36,36 @@ def test_few_rows(spark):
     rows = [tuple(r) for r in nn_descent.neighbours(df, F.col("id") % 50 == 0).orderBy("query_id", "rank").collect()]
     assert rows == [(0, 1, 50, 1.0), (0, 2, 3, 0.0), (50, 1, 0, 1.0), (50, 2, 3, 0.0)]
     assert nn_descent.neighbours(df.where("false"), F.col("id") % 50 == 0).count() == 0
+
+
+def test_narrow_beams_and_small_leaves_lose_nothing(spark, monkeypatch):
+    """Settings far too small for the table: rounds, steps and beams have to follow it."""
+    for name, value in {"LEAF": 60, "CHUNK": 120, "TREES": 1, "DEGREE": 8, "MEET": 6, "BEAM": 16, "EXPANDED": 1, "ENTRIES": 2}.items():
+        monkeypatch.setattr(nn_descent, name, value)
+    rng = np.random.default_rng(1)
+    v = rng.normal(size=(3000, 32))
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    got = {}
+    for r in nn_descent.neighbours(df, F.col("id") % 50 == 0).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    unit = v / np.sqrt((v * v).sum(1, keepdims=True))
+    hits = 0
+    for q in range(0, 3000, 50):
+        score = unit @ unit[q]
+        score[q] = -2
+        hits += len(got[q] & set(np.argsort(-score)[:5].tolist()))
+    assert hits >= 0.97 * 5 * 60
+
+
+def test_exact_comparison_finds_all(spark, monkeypatch):
+    monkeypatch.setattr(nn_descent, "COMPARED", 20)
+    v = np.random.default_rng(2).normal(size=(500, 8))
+    nodes = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "node long, v array<double>")
+    got = sorted((r.query, r.node) for r in nn_descent.compared(nodes.where("node % 7 = 0").select(F.col("node").alias("query")), nodes, 3).collect())
+    unit = v / np.sqrt((v * v).sum(1, keepdims=True))
+    want = []
+    for q in range(0, 500, 7):
+        score = unit @ unit[q]
+        score[q] = -2
+        want += [(q, int(i)) for i in np.argsort(-score)[:3]]
+    assert got == sorted(want)
