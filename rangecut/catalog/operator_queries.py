@@ -136,6 +136,15 @@ def o_interval_join(spark, d):
     return joins.interval_join(a, b, "a_lo", "a_hi", "b_lo", "b_hi", 8, KeySpec("a_lo", ("a",), ("a",))).select("a", "b")
 
 
+@query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.ts <= b.ts + INTERVAL 40 SECOND AND b.ts <= a.ts + INTERVAL 60 SECOND")
+def o_interval_join_whole(spark, d):
+    """All events on both sides."""
+    e = load(spark, d, "events").select("event_id", "ts")
+    a = e.select(F.col("event_id").alias("a"), F.col("ts").alias("a_lo"), F.expr("ts + INTERVAL 60 SECONDS").alias("a_hi"))
+    b = e.select(F.col("event_id").alias("b"), F.col("ts").alias("b_lo"), F.expr("ts + INTERVAL 40 SECONDS").alias("b_hi"))
+    return joins.interval_join(a, b, "a_lo", "a_hi", "b_lo", "b_hi", 8, KeySpec("a_lo", ("a",), ("a",))).select("a", "b")
+
+
 @query("SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 400000)")
 def o_semi_join(spark, d):
     o = load(spark, d, "orders").where("o_totalprice > 400000")

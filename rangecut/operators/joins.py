@@ -2,13 +2,21 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 from rangecut.plans import exchange, search
 from rangecut.plans.exchange import BUCKET
 from rangecut.plans.keys import KeySpec
 
+#: Pairs of overlapping intervals that leave a task at once, about.
+PAIRS_AT_ONCE = 100_000
+
 
 def range_join_bucket(df: DataFrame, key: str, bounds: list) -> DataFrame:
     """Key to bucket by a join with a table of ranges: the declarative form of a bucket lookup."""
@@ -71,17 +79,70 @@ def asof_join(left: DataFrame, right: DataFrame, on: str, by: str, value: str, o
 
 
 def interval_join(a: DataFrame, b: DataFrame, a_lo: str, a_hi: str, b_lo: str, b_hi: str, parts: int, spec: KeySpec) -> DataFrame:
-    """Pairs of overlapping closed intervals. Rows go to every range that they touch; a pair is kept where its later start lies."""
+    """Pairs of overlapping closed intervals. Rows go to every range that they touch; a pair is made where its later start lies.
+
+    Inside a range both sides are sorted by start. What starts within an interval is
+    a run of the other side, so only pairs that overlap are ever formed. Intervals
+    with a null end, or that end before they start, overlap nothing.
+    """
     bounds = [(True, k) for k in sorted({k[1] for k in exchange.find(a, spec, parts)})]
 
-    def spread(df: DataFrame, lo: str, hi: str) -> DataFrame:
-        first = exchange.assign_bucket(df, KeySpec(lo), bounds, "_first")
+    def spread(df: DataFrame, lo: str, hi: str, side: int) -> DataFrame:
+        first = exchange.assign_bucket(df.where(F.col(lo) <= F.col(hi)), KeySpec(lo), bounds, "_first")
         both = exchange.assign_bucket(first, KeySpec(hi), bounds, "_last")
-        return both.withColumn(BUCKET, F.explode(F.sequence("_first", "_last")))
-
-    left, right = spread(a, a_lo, a_hi).drop("_last"), spread(b, b_lo, b_hi).drop("_last").withColumnRenamed("_first", "_first_b")
-    met = left.join(right, BUCKET).where((F.col(a_lo) <= F.col(b_hi)) & (F.col(b_lo) <= F.col(a_hi)))
-    return met.where(F.col(BUCKET) == F.greatest("_first", "_first_b")).drop(BUCKET, "_first", "_first_b")
+        every = both.withColumn(BUCKET, F.explode(F.sequence("_first", "_last"))).drop("_last")
+        return every.withColumn("_lo", F.col(lo)).withColumn("_hi", F.col(hi)).withColumn("_side", F.lit(side))
+
+    both = spread(a, a_lo, a_hi, 0).unionByName(spread(b, b_lo, b_hi, 1), allowMissingColumns=True)
+    dealt = both.repartition(max(1, parts), BUCKET).sortWithinPartitions(BUCKET, "_lo")
+    lefts, rights = a.columns, b.columns
+
+    def sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in _by_range(batches):
+            bucket = rows.column(BUCKET)[0].as_py()
+            side, here = rows.column("_side").to_numpy(), rows.column("_first").to_numpy() == bucket
+            lo, hi = (rows.column(c).to_numpy() for c in ("_lo", "_hi"))
+            # Equal starts belong to the first of the two cases only.
+            for spans, points, edge in ((0, 1, "left"), (1, 0, "right")):
+                at, inside = np.flatnonzero(side == spans), np.flatnonzero((side == points) & here)
+                from_ = np.searchsorted(lo[inside], lo[at], edge)
+                size = np.maximum(np.searchsorted(lo[inside], hi[at], "right") - from_, 0)
+                ends = np.cumsum(size)
+                i = 0
+                while i < len(at):
+                    # As many intervals as make a batch of pairs, at least one.
+                    done = ends[i] - size[i]
+                    j = max(i + 1, int(np.searchsorted(ends, done + PAIRS_AT_ONCE, "right")))
+                    n = size[i:j]
+                    met = inside[np.repeat(from_[i:j] - (ends[i:j] - n - done), n) + np.arange(n.sum())]
+                    of = np.repeat(at[i:j], n)
+                    left, right = (of, met) if spans == 0 else (met, of)
+                    if len(of):
+                        picked = [*rows.select(lefts).take(left).columns, *rows.select(rights).take(right).columns]
+                        yield from pa.Table.from_arrays(picked, names=[*lefts, *rights]).combine_chunks().to_batches()
+                    i = j
+
+    schema = StructType([*(StructField(f.name, f.dataType) for f in [*a.schema, *b.schema])])
+    return dealt.mapInArrow(sweep, schema)
+
+
+def _by_range(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Rows sorted by range, a table for each."""
+    held: list[pa.RecordBatch] = []
+    last = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        bucket = batch.column(BUCKET).to_numpy()
+        cuts = np.flatnonzero(bucket[1:] != bucket[:-1]) + 1
+        for start, end in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
+            if held and bucket[start] != last:
+                yield pa.Table.from_batches(held).combine_chunks()
+                held = []
+            last = bucket[start]
+            held.append(batch.slice(start, end - start))
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks()
 
 
 def ranged_set(a: DataFrame, b: DataFrame, kind: str, all_rows: bool = False) -> DataFrame:
