@@ -348,6 +348,29 @@ def o_except(spark, d):
     return joins.ranged_set(*_sides(spark, d), "except", all_rows=True)
 
 
+_PARTS, _CUSTOMERS = "SELECT l_partkey AS k FROM lineitem", "SELECT o_custkey AS k FROM orders"
+
+
+def _whole_sides(spark, d):
+    return load(spark, d, "lineitem").select(F.col("l_partkey").alias("k")), load(spark, d, "orders").select(F.col("o_custkey").alias("k"))
+
+
+@query(f"{_PARTS} UNION {_CUSTOMERS}")
+def o_union_whole(spark, d):
+    """All keys of both tables, inside shared ranges."""
+    return joins.ranged_set(*_whole_sides(spark, d), "union")
+
+
+@query(f"{_PARTS} INTERSECT ALL {_CUSTOMERS}")
+def o_intersect_whole(spark, d):
+    return joins.ranged_set(*_whole_sides(spark, d), "intersect", all_rows=True)
+
+
+@query(f"{_PARTS} EXCEPT ALL {_CUSTOMERS}")
+def o_except_whole(spark, d):
+    return joins.ranged_set(*_whole_sides(spark, d), "except", all_rows=True)
+
+
 @query("SELECT DISTINCT md5(text) AS digest FROM documents")
 def o_range_distinct(spark, d):
     """Exact copies among long strings: ranges of the text's own order, equal texts in one."""

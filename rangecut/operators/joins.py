@@ -145,14 +145,26 @@ def _by_range(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held).combine_chunks()
 
 
-def ranged_set(a: DataFrame, b: DataFrame, kind: str, all_rows: bool = False) -> DataFrame:
-    """union, intersect or except of two tables of equal columns."""
+def ranged_set(a: DataFrame, b: DataFrame, kind: str, all_rows: bool = False, on: str | None = None, parts: int = 8) -> DataFrame:
+    """union, intersect or except of two tables of equal columns, range by range: both sides share ranges of ``on`` (the first column)."""
+    if kind == "union" and all_rows:
+        return a.unionByName(b)
+    columns, on = a.columns, on or a.columns[0]
+    # Cuts between different keys: equal rows of both sides meet in one range.
+    bounds = [(True, k) for k in shared_splitters(a.select(on).distinct(), b.select(on).distinct(), on, parts, on, on)]
+    sides = a.select(*columns, F.lit(1).alias("_a"), F.lit(0).alias("_b")).unionByName(b.select(*columns, F.lit(0).alias("_a"), F.lit(1).alias("_b")))
+    placed = exchange.assign_bucket(sides, KeySpec(on), bounds)
+    met = placed.groupBy(BUCKET, *columns).agg(F.sum("_a").alias("_a"), F.sum("_b").alias("_b"))
     if kind == "union":
-        both = a.unionByName(b)
-        return both if all_rows else both.distinct()
-    if kind == "intersect":
-        return a.intersectAll(b) if all_rows else a.intersect(b)
-    return a.exceptAll(b) if all_rows else a.subtract(b)
+        copies = F.lit(1)
+    elif kind == "intersect":
+        copies = F.least("_a", "_b")
+    else:
+        copies = F.greatest(F.col("_a") - F.col("_b"), F.lit(0)) if all_rows else F.when(F.col("_b") == 0, F.col("_a")).otherwise(F.lit(0))
+    found = met.withColumn("_copies", copies).where("_copies > 0")
+    if all_rows:
+        found = found.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies").cast("long"))))
+    return found.select(*columns)
 
 
 def range_distinct(df: DataFrame, spec: KeySpec, parts: int = 8) -> DataFrame:

@@ -53,3 +53,22 @@ def test_interval_join_forms_no_pairs_that_do_not_overlap(spark):
 def test_interval_join_over_all_events(spark):
     same_as_sql(spark, "o_interval_join")
     same_as_sql(spark, "o_interval_join_whole")
+
+
+@pytest.mark.parametrize("kind", ["union", "intersect", "except"])
+@pytest.mark.parametrize("all_rows", [False, True])
+def test_sets_inside_shared_ranges(spark, kind, all_rows):
+    rng = np.random.default_rng(3)
+    a, b = ([(None if k == 9 else int(k), int(x)) for k, x in rng.integers(0, (40, 3), (n, 2))] for n in (300, 200))
+    left, right = (spark.createDataFrame(r, "k int, x int") for r in (a, b))
+    got = joins.ranged_set(left, right, kind, all_rows)
+    theirs = {"union": left.union, "intersect": left.intersectAll if all_rows else left.intersect, "except": left.exceptAll if all_rows else left.subtract}[kind](right)
+    want = theirs if all_rows or kind != "union" else theirs.distinct()
+    assert sorted(map(repr, got.collect())) == sorted(map(repr, want.collect()))
+    if kind != "union":
+        assert "_bucket" in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+@pytest.mark.parametrize("name", ["o_union_whole", "o_intersect_whole", "o_except_whole"])
+def test_sets_of_whole_tables(spark, name):
+    same_as_sql(spark, name)
