@@ -128,6 +128,14 @@ def o_asof_join(spark, d):
     return out.select("event_id", "asof_value")
 
 
+@query("SELECT l.event_id, r.value AS asof_value FROM events l ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') r ON l.user_id = r.user_id AND l.ts >= r.ts")
+def o_asof_join_whole(spark, d):
+    """Every event with its user's last purchase so far."""
+    e = load(spark, d, "events").select("event_id", "ts", "user_id", "event_type", "value")
+    out = joins.asof_join(e.drop("event_type"), e.where("event_type = 'purchase'").drop("event_type"), "ts", "user_id", "value", ["event_id"])
+    return out.select("event_id", "asof_value")
+
+
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.event_id % 5 = 0 AND b.event_id % 7 = 0 AND a.ts <= b.ts + INTERVAL 40 SECOND AND b.ts <= a.ts + INTERVAL 60 SECOND")
 def o_interval_join(spark, d):
     e = load(spark, d, "events").select("event_id", "ts")
@@ -164,6 +172,13 @@ def o_outer_join(spark, d):
     return joins.co_range_join(c, o, "k", 8, "c_custkey", "o_orderkey", "full").select("c_custkey", "o_orderkey")
 
 
+@query("SELECT c_custkey, o_orderkey FROM customer FULL JOIN orders ON c_custkey = o_custkey")
+def o_outer_join_whole(spark, d):
+    c = load(spark, d, "customer").select("c_custkey", F.col("c_custkey").alias("k"))
+    o = load(spark, d, "orders").select("o_orderkey", F.col("o_custkey").alias("k"))
+    return joins.co_range_join(c, o, "k", 8, "c_custkey", "o_orderkey", "full").select("c_custkey", "o_orderkey")
+
+
 @query(f"WITH t AS (SELECT *, row_number() OVER (ORDER BY {ORDER}) - 1 AS r, count(*) OVER () AS n FROM orders) SELECT (((r + 1) * 10 - 1) // n)::INTEGER AS bin, min(o_totalprice) AS lo, max(o_totalprice) AS hi, count(*)::BIGINT AS rows, count(DISTINCT o_totalprice)::BIGINT AS distinct FROM t GROUP BY 1")
 def o_equi_depth(spark, d):
     return quantiles.equi_depth(load(spark, d, "orders"), orders(), 10)
@@ -439,6 +454,17 @@ def o_udtf_splitters(spark, d):
     return spark.sql("SELECT t.i, t.split_key FROM rangecut_sample, LATERAL rangecut_cut(keys, 8) t")
 
 
+@query("WITH s AS (SELECT o_totalprice AS k, row_number() OVER (ORDER BY o_totalprice) - 1 AS r, count(*) OVER () AS n FROM orders) SELECT i::INTEGER AS i, k AS split_key FROM range(1, 8) x(i) JOIN s ON r = n * i // 8")
+def o_udtf_splitters_whole(spark, d):
+    """The table function over eight keys of known ranks among all rows, however many there are."""
+    df = load(spark, d, "orders")
+    n = df.count()
+    keys = [key for _, key in quantiles.keys_at(df, orders(), [n * i // 8 for i in range(8)])]
+    spark.udtf.register("rangecut_cut", udfs.split_points())
+    spark.createDataFrame([(keys,)], "keys array<double>").createOrReplaceTempView("rangecut_ranked")
+    return spark.sql("SELECT t.i, t.split_key FROM rangecut_ranked, LATERAL rangecut_cut(keys, 8) t")
+
+
 @query(f"SELECT bucket, count(*)::BIGINT AS rows FROM ({_BUCKETS}) GROUP BY bucket")
 def o_sql_rank(spark, d):
     df = load(spark, d, "orders")

@@ -72,3 +72,8 @@ def test_sets_inside_shared_ranges(spark, kind, all_rows):
 @pytest.mark.parametrize("name", ["o_union_whole", "o_intersect_whole", "o_except_whole"])
 def test_sets_of_whole_tables(spark, name):
     same_as_sql(spark, name)
+
+
+@pytest.mark.parametrize("name", ["o_asof_join_whole", "o_outer_join_whole", "o_udtf_splitters_whole"])
+def test_joins_and_splitters_of_whole_tables(spark, name):
+    same_as_sql(spark, name)
