@@ -156,10 +156,10 @@ def viterbi(parts: list[np.ndarray], transition: np.ndarray) -> list[np.ndarray]
     return out
 
 
-def train(sample: list[tuple[str, int]], neighbours: bool, rounds: int = 100, most_lines: int = 200, ridge: float = 2e-3) -> Chain | None:
+def train(sample: list[tuple[str, int]], neighbours: bool, rounds: int = 100, ridge: float = 2e-3) -> Chain | None:
     """Maximum likelihood by Adam over the sample, each class weighing the same; None where a class is missing.
 
-    Of a training text the first ``most_lines`` lines count; scoring always takes whole texts.
+    All lines of all sampled texts count; the number of texts bounds memory.
     """
     labels = np.array([y for _, y in sample], np.int64)
     if len(set(labels.tolist())) < 2:
@@ -167,7 +167,7 @@ def train(sample: list[tuple[str, int]], neighbours: bool, rounds: int = 100, mo
     xs = []
     for text, _ in sample:
         x = line_features(text)
-        xs.append((with_neighbours(x) if neighbours else x)[:most_lines])
+        xs.append(with_neighbours(x) if neighbours else x)
     share = np.where(labels == 1, 0.5 / (labels == 1).sum(), 0.5 / (labels == 0).sum())
     n_lines = np.array([len(x) for x in xs], np.float64)
     weight = share / n_lines  # a long text counts as much as a short one

@@ -88,3 +88,12 @@ def test_without_labels_or_rows(spark):
     assert quality_rules.fit(docs, labels.where("false")) is None
     assert line_quality.score(docs, None).where("score != 0.5").count() == 0
     assert quality_rules.judge(docs.where("false"), None).count() == 0
+
+
+def test_training_sees_the_end_of_long_texts():
+    clean = [f"The river number {i} ran past the old mill and out to the sea, as it always had." for i in range(220)]
+    junk = [f"$$$ ### {i} %%% ***" for i in range(220)]
+    sample = [("\n".join(clean), 1)] * 5 + [("\n".join(clean + junk), 0)] * 5
+    chain = linechain.train(sample, neighbours=False)
+    labels = linechain.viterbi([chain.scores("\n".join(clean + junk))], chain.transition)[0]
+    assert labels[:200].mean() > 0.9 and labels[-200:].mean() < 0.1
