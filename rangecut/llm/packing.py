@@ -21,6 +21,8 @@ other columns are left out. Texts are tokenized whole.
 from __future__ import annotations
 
 import base64
+import json
+import re
 import zlib
 from collections import defaultdict
 from collections.abc import Iterator
@@ -48,10 +50,11 @@ class Encoder:
     A text is cut where single spaces lead a word; the tokenizer's own rule
     never joins anything across these places, so words can be encoded one by
     one and remembered. Texts with other runs of white space go through the
-    tokenizer whole.
+    tokenizer whole. ``added`` tokens (text to id) are taken out of a text
+    first; what stands between them is encoded by itself.
     """
 
-    def __init__(self, ranks_path: str):
+    def __init__(self, ranks_path: str, added: dict[str, int] | None = None):
         import public_tokenizers
         import tiktoken
 
@@ -59,11 +62,21 @@ class Encoder:
             ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, lines)}
         self.encoding = tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
         self.known = _Known(self.whole)
+        self.added = {token: np.array([i], "<u4").tobytes() for token, i in (added or {}).items()}
+        longest_first = sorted(self.added, key=len, reverse=True)
+        self.cut = re.compile(f"({'|'.join(map(re.escape, longest_first))})") if self.added else None
 
     def whole(self, text: str) -> bytes:
         return np.array(self.encoding.encode_ordinary(text), "<u4").tobytes()
 
     def __call__(self, text: str) -> bytes:
+        if self.cut is None:
+            return self.words(text)
+        # Every second part is an added token.
+        parts = self.cut.split(text)
+        return b"".join(self.added[part] if k % 2 else self.words(part) for k, part in enumerate(parts))
+
+    def words(self, text: str) -> bytes:
         first, *rest = text.split(" ")
         if not first or first[-1].isspace():
             return self.whole(text)
@@ -91,6 +104,16 @@ class _Known(dict):
         return found
 
 
+def added_tokens(tokenizer_path: str) -> dict[str, int]:
+    """The vocabulary's added tokens, as the tokenizer's file lists them."""
+    with open(tokenizer_path, encoding="utf-8") as file:
+        listed = json.load(file).get("added_tokens") or []
+    for token in listed:
+        if token.get("single_word") or token.get("lstrip") or token.get("rstrip") or token.get("normalized"):
+            raise ValueError(f"added token {token['content']!r} isn't matched as it stands")
+    return {token["content"]: token["id"] for token in listed}
+
+
 def cut_lengths(total: int, size: int) -> list[int]:
     """Lengths of a document's pieces: all of ``size`` but the first, which may be shorter."""
     first = total % size
@@ -103,7 +126,8 @@ def pieces(docs: DataFrame, size: int, vocabulary: str = "byte_bpe_50k.tiktoken"
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import public_tokenizers
 
-        encode = Encoder(public_tokenizers.path(vocabulary))
+        added = added_tokens(public_tokenizers.path(vocabulary.replace(".tiktoken", ".json")))
+        encode = Encoder(public_tokenizers.path(vocabulary), added)
         closing = np.array([CLOSING_ID], "<u4").tobytes()
         for batch in batches:
             out: tuple[list, ...] = ([], [], [], [], [])

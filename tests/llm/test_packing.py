@@ -63,3 +63,13 @@ def test_pack(spark):
         parts.sort()
         assert parts[0][0] == 0 and all(a + n == b for (a, n), (b, _) in zip(parts, parts[1:])) and sum(n for _, n in parts) <= 256
     assert packing.pack(docs.where("false"), 256).count() == 0
+
+
+def test_added_tokens_are_single_ids(spark):
+    whole = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    texts = ["<|endoftext|> x", "a <|endoftext|>", "a<|endoftext|><|endoftext|>  b", "<|endoftext", "a b\n<|endoftext|>\n c", " <|endoftext|> ", "<|endoftext|>"]
+    assert whole.encode(texts[0], add_special_tokens=False).ids == [50256, 2124]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for r in packing.pieces(docs, 256).collect():
+        ids = np.array([*whole.encode(texts[r.doc_id], add_special_tokens=False).ids, 0], "<u4")
+        assert r.length == len(ids) and r.ids_crc32 == zlib.crc32(ids.tobytes())
