@@ -18,8 +18,8 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     labels = table(spark, sf_dir, "labels", "doc_id", "quality")
-    chain = line_quality.fit(docs, labels, ~held_out(F.col("doc_id"), 3, 1))
-    scored = line_quality.score(docs, chain)
+    model = line_quality.fit(docs, labels, ~held_out(F.col("doc_id"), 3, 1))
+    scored = line_quality.score(docs, model)
     return scored.select("doc_id", held_out(F.col("doc_id"), 3, 1).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 

@@ -2,9 +2,17 @@
 
 Lines (what stands between newlines) get a vector of plain features; a line's
 label also depends on its neighbour's label, and optionally on the neighbours'
-features. Labels of single lines don't exist, so training gives every line the
-label of its document: over many documents, what marks a kind of line wins and
-the transitions learn that kinds come in runs.
+features. Only documents have labels, so training finds those of lines first:
+
+1. All lines of a good document are good, those of a bad one bad. Weights
+   without transitions are fitted, lines of bad documents that look good are
+   relabelled, and so on, a few times. At least one line of a bad document stays
+   bad: the one that looks worst.
+2. The sequences of the chain are the documents with these labels, and joins of
+   a good and a bad document's lines in either order, so that changes of the
+   label occur and transitions mean something.
+3. One conditional likelihood of those label sequences, weighted by sequence,
+   is maximised for emissions and transitions together.
 
 Many texts are handled at once: they are ordered by their number of lines, so
 step t of the recursions works on the first so many of them, and a text of
@@ -15,10 +23,11 @@ from __future__ import annotations
 
 import re
 from dataclasses import dataclass
+from operator import eq
 
 import numpy as np
 
-N_FEATURES = 15
+N_FEATURES = 16
 _UPPER = bytes(range(65, 91))
 _LOWER = bytes(range(97, 123))
 _DIGIT = bytes(range(48, 58))
@@ -55,6 +64,7 @@ def line_features(text: str) -> np.ndarray:
         row[12] = (n - len(line.translate(None, _HIGH))) / n
         row[13] = min(1.0, 5 * len(_ADDRESS.findall(line)) / n_words)
         row[14] = n_words < 5
+        row[15] = sum(map(eq, words, words[1:])) / n_words
         seen.add(line)
     return out
 
@@ -97,9 +107,10 @@ class _Ragged:
         self.all = np.concatenate(parts)
 
 
-def marginals(parts: list[np.ndarray], transition: np.ndarray) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
-    """Forward-backward: for each text the probability of state 1 of its lines; log partition; expected transitions (2, 2)."""
+def marginals(parts: list[np.ndarray], transition: np.ndarray, weight: np.ndarray | None = None) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    """Forward-backward: for each text the probability of state 1 of its lines; log partition; expected transitions (2, 2), ``weight`` a text."""
     r = _Ragged(parts)
+    each = np.ones(len(parts)) if weight is None else weight[r.order]
     e, tr = r.all.astype(np.float64), transition.astype(np.float64)
     alpha, beta = np.empty_like(e), np.zeros_like(e)
     steps = len(r.active)
@@ -119,7 +130,7 @@ def marginals(parts: list[np.ndarray], transition: np.ndarray) -> tuple[list[np.
         for j in (0, 1):
             beta[at, j] = np.logaddexp(tr[j, 0] + ahead[:, 0], tr[j, 1] + ahead[:, 1])
             for k in (0, 1):
-                expected[j, k] += np.exp(alpha[at, j] + tr[j, k] + ahead[:, k] - log_z[:n]).sum()
+                expected[j, k] += each[:n] @ np.exp(alpha[at, j] + tr[j, k] + ahead[:, k] - log_z[:n])
     lines_z = np.empty(len(e))
     for s, n, z in zip(r.start, r.length, log_z, strict=True):
         lines_z[s : s + n] = z
@@ -156,42 +167,107 @@ def viterbi(parts: list[np.ndarray], transition: np.ndarray) -> list[np.ndarray]
     return out
 
 
-def train(sample: list[tuple[str, int]], neighbours: bool, rounds: int = 100, ridge: float = 2e-3) -> Chain | None:
-    """Maximum likelihood by Adam over the sample, each class weighing the same; None where a class is missing.
+#: Training cuts texts into pieces of so many lines, which bounds the steps of its recursions; no line is left out.
+PIECE = 64
+#: Times that the lines of bad documents are labelled anew.
+RELABELLED = 4
+
+
+@dataclass
+class Sequences:
+    """Label sequences to learn from: features and labels of all lines, where sequences end, and their weights."""
+
+    rows: np.ndarray
+    labels: np.ndarray
+    lengths: np.ndarray
+    weight: np.ndarray
+
+    def likelihood(self, theta: np.ndarray, ridge: float) -> tuple[float, np.ndarray]:
+        """The weighted conditional log likelihood of all sequences less the ridge, and its gradient."""
+        emission, transition = theta[:-4].reshape(-1, 2), theta[-4:].reshape(2, 2)
+        scores = self.rows @ emission
+        parts = np.split(scores, np.cumsum(self.lengths)[:-1])
+        good, log_z, expected = marginals(parts, transition, self.weight)
+        each = np.repeat(self.weight, self.lengths)
+        inner = np.ones(len(self.labels), bool)
+        inner[np.cumsum(self.lengths)[:-1]] = False  # a sequence's first line follows no other
+        before, after = self.labels[:-1][inner[1:]], self.labels[1:][inner[1:]]
+        observed = np.zeros((2, 2))
+        np.add.at(observed, (before, after), each[1:][inner[1:]])
+        value = each @ scores[np.arange(len(scores)), self.labels] + (observed * transition).sum() - self.weight @ log_z
+        miss = each * (self.labels - np.concatenate(good))
+        gradient = np.concatenate([np.stack([-self.rows.T @ miss, self.rows.T @ miss], axis=1).ravel(), (observed - expected).ravel()])
+        return value - 0.5 * ridge * theta @ theta, gradient - ridge * theta
+
+
+def ascend(gradient, theta: np.ndarray, steps: int) -> np.ndarray:
+    """Adam on whole gradients."""
+    theta, m, v = theta.copy(), np.zeros_like(theta), np.zeros_like(theta)
+    for step in range(1, steps + 1):
+        g = gradient(theta)
+        m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g**2
+        theta += 0.15 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
+    return theta
+
+
+def line_labels(rows: np.ndarray, doc: np.ndarray, quality: np.ndarray, ridge: float) -> np.ndarray:
+    """Labels of lines (rows of document ``doc``) from documents' labels, without the chain."""
+    bad = quality[doc] == 0
+    label = np.where(bad, 0, 1)
+    n_lines = np.bincount(doc, minlength=len(quality))
+    weights = np.zeros(rows.shape[1])
+    for _ in range(RELABELLED):
+        w = np.empty(len(rows))
+        for c in (0, 1):
+            each = 1.0 / n_lines[doc[label == c]]
+            w[label == c] = 0.5 * each / each.sum()
+        weights = ascend(lambda t: rows.T @ (w * (label - 1 / (1 + np.exp(-np.clip(rows @ t, -30, 30))))) - ridge * t, weights, 60)  # noqa: B023
+        looks = rows @ weights
+        worst = np.full(len(quality), np.inf)
+        np.minimum.at(worst, doc, looks)
+        relabelled = np.where(bad, (looks > 0) & (looks > worst[doc]), 1).astype(np.int64)
+        if (relabelled == label).all():
+            break
+        label = relabelled
+    return label
+
+
+def sequences(sample: list[tuple[str, int]], neighbours: bool, ridge: float) -> Sequences:
+    """Pieces of the documents with their lines' labels, and joins of good and bad pieces; both classes weigh the same."""
+    features = [line_features(text) for text, _ in sample]
+    quality = np.array([y for _, y in sample], np.int64)
+    doc = np.repeat(np.arange(len(features)), [len(x) for x in features])
+    rows = np.concatenate(features).astype(np.float64)
+    labels = line_labels(rows, doc, quality, ridge)
+    by_class: tuple[list, list] = ([], [])
+    at = 0
+    for x, y in zip(features, quality, strict=True):
+        for i in range(0, len(x), PIECE):
+            piece = x[i : i + PIECE]
+            by_class[y].append((piece, labels[at + i : at + i + len(piece)], 1.0 / len(x)))
+        at += len(x)
+    found = []
+    for pieces in by_class:
+        total = sum(w * len(x) for x, _, w in pieces)
+        found += [(x, z, 0.5 * w / total) for x, z, w in pieces]
+    good, bad = by_class[1], by_class[0]
+    n = max(len(good), len(bad))
+    for k in range(n):
+        a, b = good[k % len(good)], bad[k % len(bad)]
+        a, b = (a, b) if k % 2 else (b, a)
+        x = np.concatenate([a[0], b[0]])
+        found.append((x, np.concatenate([a[1], b[1]]), 1.0 / n / len(x)))
+    xs = [with_neighbours(x) if neighbours else x for x, _, _ in found]
+    return Sequences(np.concatenate(xs).astype(np.float64), np.concatenate([z for _, z, _ in found]), np.array([len(x) for x in xs]), np.array([w for _, _, w in found]))
+
+
+def train(sample: list[tuple[str, int]], neighbours: bool, rounds: int = 100, ridge: float = 1e-3) -> Chain | None:
+    """The chain of greatest likelihood over the sample; None where a class is missing.
 
     All lines of all sampled texts count; the number of texts bounds memory.
     """
-    labels = np.array([y for _, y in sample], np.int64)
-    if len(set(labels.tolist())) < 2:
+    if len({y for _, y in sample}) < 2:
         return None
-    xs = []
-    for text, _ in sample:
-        x = line_features(text)
-        xs.append(with_neighbours(x) if neighbours else x)
-    share = np.where(labels == 1, 0.5 / (labels == 1).sum(), 0.5 / (labels == 0).sum())
-    n_lines = np.array([len(x) for x in xs], np.float64)
-    weight = share / n_lines  # a long text counts as much as a short one
-    rows = np.concatenate(xs).astype(np.float64)
-    doc = np.repeat(np.arange(len(xs)), n_lines.astype(int))
-    y, w = labels[doc], weight[doc]
-    theta = np.zeros(rows.shape[1] * 2 + 4)
-    m, v = np.zeros_like(theta), np.zeros_like(theta)
-    cuts = np.cumsum(n_lines.astype(int))[:-1]
-    classes = [(c, np.flatnonzero(labels == c), np.flatnonzero(y == c)) for c in (0, 1)]
-    for step in range(1, rounds + 1):
-        emission, transition = theta[:-4].reshape(-1, 2), theta[-4:].reshape(2, 2)
-        parts = np.split(rows @ emission, cuts)
-        grad_t = np.zeros((2, 2))
-        p = np.empty(len(rows))
-        # Expected less observed transitions, by class so that both weigh the same.
-        for c, at, lines in classes:
-            good, _, expected = marginals([parts[i] for i in at], transition)
-            p[lines] = np.concatenate(good)
-            grad_t += 0.5 * expected / max(expected.sum(), 1.0)
-            grad_t[c, c] -= 0.5
-        diff = w * (p - y)
-        grad_e = np.stack([-rows.T @ diff, rows.T @ diff], axis=1)
-        grad = np.concatenate([grad_e.ravel(), 0.2 * grad_t.ravel()]) + ridge * theta
-        m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
-        theta -= 0.15 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
+    learned = sequences(sample, neighbours, ridge)
+    theta = ascend(lambda t: learned.likelihood(t, ridge)[1], np.zeros(learned.rows.shape[1] * 2 + 4), rounds)
     return Chain(theta[:-4].reshape(-1, 2), theta[-4:].reshape(2, 2), neighbours)

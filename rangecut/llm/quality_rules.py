@@ -6,10 +6,12 @@ is kept where lines of content hold at least ``CONTENT_SHARE`` of its
 characters.
 
 Cases: a null text is an empty one, which fails the base rules; a null id stays
-null; repeated rows give a row each; an empty table gives no rows; columns
-beyond doc_id and text are left out by ``judge`` and kept by ``keep``. Where no
-labelled document of either class exists, no field can be trained and the base
-rules decide alone.
+null; texts of any length are read whole; repeated rows give a row each, judged
+alike; a share of exactly ``CONTENT_SHARE`` is kept, and of two equally good
+labellings the one with content counts; an empty table gives no rows; columns
+beyond doc_id and text are left out by ``judge``, whatever their names, and
+kept by ``keep``. Where no labelled document of either class exists, no field
+can be trained and the base rules decide alone.
 """
 
 from __future__ import annotations
@@ -59,7 +61,7 @@ def _repeated(words: list[bytes]) -> int:
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> linechain.Chain | None:
-    """The field, from at most ``TRAINING_DOCUMENTS`` labelled documents: good ones are content, others boilerplate."""
+    """The field, from at most ``TRAINING_DOCUMENTS`` labelled documents: lines that good ones are made of are content."""
     return linechain.train(labelled_sample(docs, labels, "quality", TRAINING_DOCUMENTS), neighbours=False)
 
 
