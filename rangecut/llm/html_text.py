@@ -2,10 +2,11 @@
 
 A page is read by a tolerant tokenizer into blocks: runs of text between
 block-level tags, each with the elements that it stands in. Every block is a
-vertex. A logistic classifier of a block's features gives the costs of calling
-it content or boilerplate; they are the capacities of its edges to the two
+vertex. A logistic classifier of a block's features gives the log odds of
+content against boilerplate; they are the capacities of its edges to the two
 terminals. Neighbours in the page, and next siblings of one parent, are joined
-by smoothness edges, the heavier the closer they are in the document tree. The
+by smoothness edges, each of a kind: how far apart the two stand in the document
+tree, and whether a landmark or a telling class name begins between them. The
 minimum cut is the cheapest labelling; blocks on the content side are the text.
 
 The cut is exact. Vertices whose terminal edge outweighs all their other edges
@@ -13,15 +14,20 @@ keep their label in every minimum cut, so they are decided first and their edges
 move to the neighbours' terminals; only what stays undecided goes through
 maximum flow (shortest augmenting paths).
 
-The classifier is trained here without labels of pages: on a bounded sample,
-blocks in landmark elements (article, main against nav, footer, aside, form)
-are taken as examples, half of them with the landmarks blotted out so that
-density, links and class names are learned too. A Gaussian prior around plain
-expectations keeps the weights of features that the sample never shows.
+All capacities are learned, in one currency: log odds. Examples are a few pages
+labelled by hand (``html_seeds``), and on a bounded sample of the corpus the
+blocks in landmark elements (article, main against nav, footer, aside, form).
+Every third page has its landmarks and class names blotted out, so that density,
+links, tags and position have to carry its blocks. First the classifier is
+fitted, by maximum likelihood with a ridge. Then, with the log odds as offsets,
+each kind of edge gets the weight that makes blocks' labels given their
+neighbours' likeliest (pseudo-likelihood), none below zero: what is usual among
+neighbours on the sampled pages counts as much as a feature of the same odds.
 
 Cases: a null page is an empty one and has an empty text; a null id or URL
-stays null; repeated rows give a row each; an empty table gives no rows; other
-columns are left out. Pages are read whole; nesting and length have no limit.
+stays null; repeated rows give a row each; a block at equal cost on both sides
+is boilerplate; an empty table gives no rows; other columns are left out, so
+none can clash. Pages are read whole; nesting and length have no limit.
 """
 
 from __future__ import annotations
@@ -37,8 +43,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rangecut.llm import html_seeds
+
 #: Pages that train the classifier, those whose id hashes lowest.
 TRAINING_PAGES = 400
+#: Share of the hand-labelled pages in what is learned.
+SEED_SHARE = 0.3
 
 # Kinds of HTML elements.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -48,7 +58,7 @@ CONTENT_TAGS = frozenset(("article", "main"))
 BOILERPLATE_TAGS = frozenset("nav footer aside form menu dialog fieldset".split())
 BOILERPLATE_ROLES = frozenset("navigation banner contentinfo complementary search dialog alert alertdialog menu menubar toolbar form status".split())
 BOILERPLATE_NAMES = frozenset(
-    "ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs byline comment comments consent cookie cookies copyright disclaimer discussion disqus footer gdpr header hidden legal login masthead menu menus modal nav navbar navigation navi newsletter notice notices notification overlay pagination pager popup popular promo promoted promotion recommended related replies reply respond response responses rail search share sharing sidebar sidebars signup skip social sponsor sponsored subscribe subscription tags teaser toc toolbar topbar trending widget widgets".split()
+    "ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs byline comment commentlist comments consent cookie cookies copyright disclaimer discussion disqus footer gdpr header hidden legal login masthead menu menus modal nav navbar navigation navi newsletter notice notices notification overlay pagination pager popup popular promo promoted promotion recommended related replies reply respond response responses rail search share sharing sidebar sidebars signup skip social sponsor sponsored subscribe subscription tags teaser toc toolbar topbar trending widget widgets".split()
 )
 CONTENT_NAMES = frozenset("article articlebody body content contents entry main maincontent post postbody prose story storybody text".split())
 
@@ -200,8 +210,6 @@ def blocks_of(page: str) -> list[Block]:
 
 
 N_FEATURES = 16
-#: Plain expectations: a block's features and what they should weigh, towards content.
-PRIOR = np.array([-0.5, 4.0, -5.0, 1.0, -5.0, -3.0, 1.5, 1.0, 0.8, 0.6, -0.8, 1.2, -1.0, -0.5, 0.0, 0.3])
 _NOTICE = re.compile(r"©|\(c\)\s*\d|all rights reserved|cookie|privacy policy|terms of (?:use|service)|subscribe|newsletter|sign up|log ?in|advertisement|sponsored", re.I)
 
 
@@ -231,44 +239,110 @@ def features_of(blocks: list[Block], blotted: bool = False) -> np.ndarray:
     return out
 
 
-def train(pages: list[str], rounds: int = 300, prior_weight: float = 0.02) -> np.ndarray:
-    """Weights from landmark blocks, both classes weighing the same, and from the prior."""
-    xs, ys = [], []
+@dataclass
+class Cutter:
+    """Weights of features, and of the kinds of edges."""
+
+    weights: np.ndarray
+    edges: np.ndarray
+
+    def gains(self, blocks: list[Block], blotted: bool = False) -> np.ndarray:
+        return np.clip(features_of(blocks, blotted) @ self.weights, -30, 30)
+
+    def content(self, blocks: list[Block], blotted: bool = False) -> np.ndarray:
+        edges = [(i, j, self.edges[k]) for i, j, k in edges_of(blocks, blotted) if self.edges[k] > 0]
+        return minimum_cut(self.gains(blocks, blotted), edges)
+
+
+@dataclass
+class Example:
+    """A page to learn from: 1 content, 0 boilerplate, -1 unknown."""
+
+    blocks: list[Block]
+    labels: np.ndarray
+    blotted: bool
+    weight: float
+
+
+def examples_of(pages: list[str]) -> list[Example]:
+    """The hand-labelled pages, each seen with its landmarks and without, and the landmark blocks of ``pages``."""
+    found = []
+    for page in html_seeds.PAGES:
+        blocks = blocks_of(page)
+        labels = np.array([b.text.startswith(html_seeds.MARK) for b in blocks], np.int64)
+        for b in blocks:
+            b.text = b.text.removeprefix(html_seeds.MARK)
+        found += [Example(blocks, labels, blotted, share * SEED_SHARE / len(html_seeds.PAGES)) for blotted, share in ((False, 0.6), (True, 0.4))]
     for k, page in enumerate(pages):
         blocks = blocks_of(page)
-        marked = np.array([b.element.landmark if b.element.names >= 0 else -1 for b in blocks])
-        if len(blocks) and marked.any():
-            x = features_of(blocks, blotted=k % 2 == 1)[marked != 0]
-            xs.append(x)
-            ys.append(marked[marked != 0] > 0)
-    w = PRIOR.copy()
-    if not xs:
-        return w
-    x, y = np.concatenate(xs), np.concatenate(ys).astype(np.float64)
-    share = np.where(y == 1, 0.5 / max(1, y.sum()), 0.5 / max(1, (1 - y).sum()))
+        said = np.array([b.element.landmark if b.element.names >= 0 else -1 for b in blocks])
+        if len(blocks) and said.any():
+            found.append(Example(blocks, np.where(said == 0, -1, said > 0), k % 3 == 1, (1 - SEED_SHARE) / len(pages)))
+    return found
+
+
+def train(pages: list[str], ridge: float = 2e-4) -> Cutter:
+    examples = examples_of(pages)
+    known = [e.labels >= 0 for e in examples]
+    x = np.concatenate([features_of(e.blocks, e.blotted)[k] for e, k in zip(examples, known, strict=True)])
+    y = np.concatenate([e.labels[k] for e, k in zip(examples, known, strict=True)]).astype(np.float64)
+    w = np.concatenate([np.full(k.sum(), e.weight / k.sum()) for e, k in zip(examples, known, strict=True)])
+    for c in (0, 1):  # both kinds of blocks weigh the same
+        w[y == c] *= 0.5 / w[y == c].sum()
+    weights = np.zeros(N_FEATURES)
+    for _ in range(30):  # Newton's method
+        p = 1 / (1 + np.exp(-np.clip(x @ weights, -30, 30)))
+        curve = (x * (w * p * (1 - p))[:, None]).T @ x + ridge * np.eye(N_FEATURES)
+        step = np.linalg.solve(curve, x.T @ (w * (y - p)) - ridge * weights)
+        weights = weights + step / max(1.0, np.abs(step).max() / 2)
+    return Cutter(weights, _edge_weights(examples, weights))
+
+
+def _edge_weights(examples: list[Example], weights: np.ndarray, rounds: int = 400, ridge: float = 5e-3) -> np.ndarray:
+    sides, offsets, labels, each = [], [], [], []
+    for e in examples:
+        sign = np.where(e.labels < 0, 0, 2 * e.labels - 1)
+        side = np.zeros((len(e.blocks), EDGE_KINDS))
+        for i, j, k in edges_of(e.blocks, e.blotted):
+            side[i, k] += sign[j]
+            side[j, k] += sign[i]
+        known = sign != 0
+        sides.append(side[known])
+        offsets.append(np.clip(features_of(e.blocks, e.blotted) @ weights, -30, 30)[known])
+        labels.append(e.labels[known])
+        each.append(np.full(known.sum(), e.weight / max(1, known.sum())))
+    side, offset, y, w = np.concatenate(sides), np.concatenate(offsets), np.concatenate(labels), np.concatenate(each)
+    w = w / w.sum()
+    found = np.zeros(EDGE_KINDS)
     for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        w -= 0.5 * (x.T @ (share * (p - y)) + prior_weight * (w - PRIOR))
-    return w
+        p = 1 / (1 + np.exp(-np.clip(offset + side @ found, -30, 30)))
+        found = np.maximum(0.0, found + 0.5 * (side.T @ (w * (y - p)) - ridge * found))
+    return found
 
 
-#: Smoothness of neighbours that are siblings; it halves with each step of their distance in the tree.
-SMOOTHNESS = 0.8
+#: Kinds of edges: neighbours in the page by steps in the tree (0 for siblings, 3 for 3 and more), next siblings' children, across a landmark or name.
+EDGE_KINDS = 6
+_UNDER_SIBLINGS, _ACROSS = 4, 5
 
 
-def edges_of(blocks: list[Block]) -> list[tuple[int, int, float]]:
-    """Neighbours in the page, and next siblings under one grandparent, with their weights."""
+def edges_of(blocks: list[Block], blotted: bool = False) -> list[tuple[int, int, int]]:
+    """Neighbours in the page, and next ones under one grandparent, with their kinds."""
     edges = []
     last: dict[int, int] = {}
     for i, block in enumerate(blocks):
+        here = block.element
         if i:
-            edges.append((i - 1, i, SMOOTHNESS * 0.5 ** tree_distance(blocks[i - 1].element, block.element)))
-        parent = id(block.element.parent)
+            before = blocks[i - 1].element
+            across = not blotted and (before.landmark, before.names) != (here.landmark, here.names)
+            edges.append((i - 1, i, _ACROSS if across else min(3, tree_distance(before, here))))
+        parent = id(here.parent)
         j = last.get(parent)
         if j is not None and j != i - 1:
-            edges.append((j, i, SMOOTHNESS * 0.25))
+            before = blocks[j].element
+            across = not blotted and (before.landmark, before.names) != (here.landmark, here.names)
+            edges.append((j, i, _ACROSS if across else _UNDER_SIBLINGS))
         last[parent] = i
-    return [(i, j, w) for i, j, w in edges if w > 1e-3]
+    return edges
 
 
 def tree_distance(a: Element, b: Element) -> int:
@@ -343,28 +417,27 @@ def _max_flow(open_: np.ndarray, gain: np.ndarray, around: list[dict[int, float]
             room[v][u] = room[v].get(u, 0.0) + flow
 
 
-def main_text(page: str, weights: np.ndarray) -> str:
+def main_text(page: str, cutter: Cutter) -> str:
     blocks = blocks_of(page)
     if not blocks:
         return ""
-    content = minimum_cut(np.clip(features_of(blocks) @ weights, -30, 30), edges_of(blocks))
-    return "\n".join(b.text for b, keep in zip(blocks, content, strict=True) if keep)
+    return "\n".join(b.text for b, keep in zip(blocks, cutter.content(blocks), strict=True) if keep)
 
 
-def fit(pages: DataFrame) -> np.ndarray:
-    """The classifier's weights, from at most ``TRAINING_PAGES`` pages."""
+def fit(pages: DataFrame) -> Cutter:
+    """The capacities, from at most ``TRAINING_PAGES`` pages."""
     ids = pages.select("page_id").where(F.col("page_id").isNotNull()).distinct().orderBy(F.xxhash64("page_id"), "page_id").limit(TRAINING_PAGES)
     rows = pages.join(F.broadcast(ids), "page_id").groupBy("page_id").agg(F.min(F.coalesce("html", F.lit(""))).alias("html")).collect()
     return train([r.html for r in sorted(rows, key=lambda r: r.page_id)])
 
 
-def extract(pages: DataFrame, weights: np.ndarray) -> DataFrame:
+def extract(pages: DataFrame, cutter: Cutter) -> DataFrame:
     """page_id, url, text, n_chars."""
 
     @F.pandas_udf("string")
     def extracted(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for part in parts:
-            yield pd.Series([main_text(page or "", weights) for page in part], dtype=object)
+            yield pd.Series([main_text(page or "", cutter) for page in part], dtype=object)
 
     found = pages.select("page_id", "url", extracted("html").alias("text"))
     return found.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
