@@ -2,16 +2,18 @@
 
 1. Rows with equal vectors form one node, which keeps its ``answers`` + 1 least
    ids; a vector that a third of all rows have is one node.
-2. Random-projection trees, fitted on a bounded sample, put every node into a
-   leaf of each tree. Inside leaves (large ones in chunks) neighbours are exact;
-   their union is the first graph. It also gives entry points to searches.
-3. NN-descent: a node's neighbours and a sample of the nodes that have it as a
-   neighbour are brought together by joins, and meet each other: who is a
-   neighbour's neighbour is likely a neighbour. Only pairs better than the
-   worst neighbour that one of them has are kept, and the best ``DEGREE`` of
-   old and new make the next graph. Every round samples anew; rounds go on until
-   a round replaces at most ``SETTLED`` of the neighbours. Lists only get better,
-   so they end.
+2. Random-projection trees, fitted on a bounded sample, and one dealing at random
+   put every node into small chunks of at most about ``LEAF`` nodes, at any size
+   of the table. Neighbours inside chunks are a first, poor graph. The trees also
+   give entry points to searches.
+3. NN-descent: around every node meet the nodes that it lists and a sample of
+   those that list it, brought together by joins; who is a neighbour's neighbour
+   is likely a neighbour. Edges that haven't taken part yet are fresh; pairs
+   meet only where at least one of both came by a fresh edge, and of each
+   meeting a node keeps its ``OFFERS`` best partners, if they beat its worst
+   neighbour. The best ``DEGREE`` of old and new make the next graph. Rounds go
+   on until at most ``SETTLED`` of its edges are fresh. Lists only get better, so
+   they end.
 4. Greedy search: a query holds its best nodes, ``BEAM`` at first, starting from
    its own list in the graph, the nodes that list it, and entry points of its
    leaves; in each step its best unexpanded nodes are joined with the graph,
@@ -44,14 +46,14 @@ from rangecut.llm.shared import forget, written
 
 #: Vectors that the trees are fitted on, those whose id hashes lowest.
 TREE_SAMPLE = 20_000
-TREES, LEAF, CHUNK = 4, 1200, 3000
-#: Neighbours in the graph; of them, and of the reverse ones, how many meet in a round.
-DEGREE, MEET = 32, 20
-#: Rounds end once at most this share of the graph is new.
+TREES, LEAF = 4, 64
+#: Neighbours in the graph; how many of each kind (listed or listing, fresh or not) meet in a round; what a meeting offers a node.
+DEGREE, MEET, OFFERS = 32, 16, 6
+#: Rounds end once at most this share of the graph is fresh.
 SETTLED = 0.05
-ENTRIES, BEAM, EXPANDED = 16, 512, 128
+ENTRIES, BEAM, EXPANDED = 16, 192, 192
 #: Share of the nearest to be found, the queries it is measured on, the widest beam before all is compared.
-RECALL, MEASURED, WIDEST = 0.98, 400, 2048
+RECALL, MEASURED, WIDEST = 0.95, 400, 2048
 #: Queries compared with all nodes at once.
 COMPARED = 2000
 #: Nodes in a bucket of the graph, about.
@@ -192,19 +194,93 @@ def _pair_batch(node: np.ndarray, other: np.ndarray, sim: np.ndarray) -> pa.Reco
     return pa.RecordBatch.from_arrays([pa.array(node, pa.int64()), pa.array(other, pa.int64()), pa.array(sim, pa.float32())], names=["node", "other", "sim"])
 
 
-def best(pairs: DataFrame, n: int) -> DataFrame:
-    """Each node's ``n`` best different partners; one is fresh where all its pairs are."""
-    rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("sim"), "other"))
-    # Dealt by node once: both the grouping and the window find their rows together.
-    dealt = pairs.repartition("node")
-    return dealt.groupBy("node", "other").agg(F.max("sim").alias("sim"), F.min("fresh").alias("fresh")).withColumn("row", rank).where(F.col("row") <= n)
+#: A node's list: ``edges`` packs it for the next round's merge, the arrays are for joins.
+GRAPH = "node long, edges binary, worst float, others array<long>, sims array<float>, fresh array<boolean>, meets array<boolean>"
+#: A partner in packed lists and offers.
+PARTNER = np.dtype([("other", "<i8"), ("sim", "<f4"), ("fresh", "?")])
+
+
+def _packed(partners: np.ndarray, sizes: np.ndarray) -> pa.Array:
+    """Rows of ``sizes`` partners each, as bytes."""
+    offsets = np.zeros(len(sizes) + 1, np.int32)
+    np.cumsum(sizes * PARTNER.itemsize, out=offsets[1:])
+    return pa.Array.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(offsets), pa.py_buffer(partners.tobytes())])
+
+
+def _complete(batches: Iterator[pa.RecordBatch], key: str, at_once: int) -> Iterator[pa.Table]:
+    """Rows sorted by ``key`` in tables of about ``at_once`` rows; no key is divided."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        held.append(batch)
+        size += batch.num_rows
+        if size >= at_once:
+            rows = pa.Table.from_batches(held)
+            keys = rows.column(key).to_numpy()
+            cut = int(np.searchsorted(keys, keys[-1]))
+            if cut:
+                yield rows.slice(0, cut)
+            held = rows.slice(cut).to_batches()
+            size = len(rows) - cut
+    if held:
+        yield pa.Table.from_batches(held)
 
 
-def first_graph(placed: DataFrame) -> DataFrame:
-    """Exact neighbours inside leaves, joined over the trees: node, other, sim, fresh, row."""
-    sizes = placed.groupBy("tree", "leaf").agg(F.ceil(F.count("*") / F.lit(CHUNK)).alias("chunks"))
+def _place(of: np.ndarray) -> np.ndarray:
+    """Position of each element inside its run of equal values."""
+    first = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]]))
+    return np.arange(len(of)) - np.repeat(first, np.diff(np.append(first, len(of))))
+
+
+def best(offered: DataFrame, round_: int) -> DataFrame:
+    """Each node's ``DEGREE`` best different partners of all packed lists (node, edges), and which meet in the coming round."""
+
+    def choose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in _complete(batches, "node", 60_000):
+            packed = rows.column("edges").to_pylist()
+            partner = np.frombuffer(b"".join(packed), PARTNER)
+            node = np.repeat(rows.column("node").to_numpy(), np.fromiter(map(len, packed), np.int64, len(packed)) // PARTNER.itemsize)
+            other, sim, fresh = (partner[c] for c in ("other", "sim", "fresh"))
+            order = np.lexsort((fresh, other, node))  # an edge that isn't fresh stays so, however often it is found
+            node, other, sim, fresh = node[order], other[order], sim[order], fresh[order]
+            once = np.concatenate([[True], (node[1:] != node[:-1]) | (other[1:] != other[:-1])])
+            node, other, sim, fresh = node[once], other[once], sim[once], fresh[once]
+            order = np.lexsort((other, -sim, node))
+            order = order[_place(node[order]) < DEGREE]
+            node, other, sim, fresh = node[order], other[order], sim[order], fresh[order]
+            row = _place(node)
+            first = np.flatnonzero(row == 0)
+            sizes = np.diff(np.append(first, len(row)))
+            worst = np.where(sizes >= DEGREE, sim[first + sizes - 1], np.float32(-2)).astype(np.float32)
+            # Of the fresh edges the best meet, of the others those that a draw of the round favours.
+            drawn = (node.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) ^ ((other + round_).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F))
+            drawn = (drawn ^ (drawn >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+            order = np.lexsort((np.where(fresh, row, drawn.view(np.int64) >> 8), fresh, node))
+            meets = np.empty(len(node), bool)
+            meets[order] = _place(2 * node[order] + fresh[order]) < MEET
+            partners = np.empty(len(node), PARTNER)
+            partners["other"], partners["sim"], partners["fresh"] = other, sim, fresh & ~meets
+            offsets = pa.array(np.append(first, len(row)).astype(np.int32))
+            lists = [pa.ListArray.from_arrays(offsets, pa.array(x)) for x in (other, sim, fresh, meets)]
+            yield pa.RecordBatch.from_arrays([pa.array(node[first]), _packed(partners, sizes), pa.array(worst), *lists], names=["node", "edges", "worst", "others", "sims", "fresh", "meets"])
+
+    return offered.select("node", "edges").repartition("node").sortWithinPartitions("node").mapInArrow(choose, GRAPH)
+
+
+def edges(graph: DataFrame) -> DataFrame:
+    """node, other, sim, fresh, meets: a row for each edge."""
+    zipped = F.explode(F.arrays_zip("others", "sims", "fresh", "meets")).alias("e")
+    return graph.select("node", zipped).select("node", F.col("e.others").alias("other"), F.col("e.sims").alias("sim"), F.col("e.fresh").alias("fresh"), F.col("e.meets").alias("meets"))
+
+
+def first_graph(placed: DataFrame, nodes: DataFrame, total: int) -> DataFrame:
+    """Neighbours inside small chunks of the trees' leaves, and of one dealing at random."""
+    sizes = placed.groupBy("tree", "leaf").agg(F.ceil(F.count("*") / F.lit(LEAF)).alias("chunks"))
     chunked = placed.join(F.broadcast(sizes), ["tree", "leaf"])  # at most trees times sample rows
-    chunked = chunked.withColumn("chunk", F.pmod(F.xxhash64("node"), "chunks")).drop("chunks")
+    dealt = nodes.select(F.lit(-1).alias("tree"), F.lit(0).cast("long").alias("leaf"), "node", "unit", F.lit(max(1, -(-total // LEAF))).cast("long").alias("chunks"))
+    chunked = chunked.unionByName(dealt).withColumn("chunk", F.pmod(F.xxhash64("node", "tree"), "chunks")).drop("chunks")
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _groups(batches, "tree", "leaf", "chunk"):
@@ -213,59 +289,73 @@ def first_graph(placed: DataFrame) -> DataFrame:
             if n < 2:
                 continue
             k = min(DEGREE, n - 1)
-            for i in range(0, n, 512):
-                sim = unit[i : i + 512] @ unit.T
-                own = np.arange(len(sim))
-                sim[own, own + i] = -2
-                at = np.argpartition(-sim, k - 1, axis=1)[:, :k]
-                yield _pair_batch(np.repeat(node[i : i + 512], k), node[at].ravel(), np.take_along_axis(sim, at, 1).ravel())
+            sim = unit @ unit.T
+            np.fill_diagonal(sim, -2)
+            at = np.argpartition(-sim, k - 1, axis=1)[:, :k]
+            partners = np.empty((n, k), PARTNER)
+            partners["other"], partners["sim"], partners["fresh"] = node[at], np.take_along_axis(sim, at, 1), True
+            yield pa.RecordBatch.from_arrays([pa.array(node), _packed(partners, np.full(n, k))], names=["node", "edges"])
 
     dealt = chunked.repartition("tree", "leaf", "chunk").sortWithinPartitions("tree", "leaf", "chunk")
-    return best(dealt.mapInArrow(meet, PAIRS).withColumn("fresh", F.lit(True)), DEGREE)
+    return best(dealt.mapInArrow(meet, "node long, edges binary"), 0)
 
 
 def descend(graph: DataFrame, nodes: DataFrame, round_: int) -> DataFrame:
     """One round of NN-descent: the graph joined with itself through the nodes in the middle."""
-    worst = graph.groupBy("node").agg(F.min("sim").alias("worst"))
-    forward = graph.where(F.col("row") <= MEET).select(F.col("node").alias("middle"), F.col("other").alias("node"))
-    sampled = F.row_number().over(Window.partitionBy("middle").orderBy(F.xxhash64("node", "middle", F.lit(round_))))
-    reverse = graph.select(F.col("other").alias("middle"), "node").withColumn("row", sampled).where(F.col("row") <= MEET).drop("row")
-    around = forward.union(reverse).distinct()
-    carried = nodes.select("node", "unit").join(worst, "node")
+    edge = edges(graph)
+    forward = edge.where("meets").select(F.col("node").alias("middle"), F.col("other").alias("node"), "fresh")
+    sampled = F.row_number().over(Window.partitionBy("middle", "fresh").orderBy(F.xxhash64("node", "middle", F.lit(round_))))
+    reverse = edge.select(F.col("other").alias("middle"), "node", "fresh").withColumn("nth", sampled).where(F.col("nth") <= MEET).drop("nth")
+    carried = nodes.select("node", "unit").join(graph.select("node", "worst"), "node")
+
+    def offers(sim: np.ndarray, other: np.ndarray, others: np.ndarray, sims: np.ndarray) -> None:
+        """The best of ``other`` for each row of ``sim``, written into ``others`` and ``sims``."""
+        k = min(OFFERS, sim.shape[1])
+        at = np.argpartition(-sim, k - 1, axis=1)[:, :k]
+        others[:, :k], sims[:, :k] = other[at], np.take_along_axis(sim, at, 1)
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out: list[tuple[np.ndarray, ...]] = []
-        size = 0
-        for rows in _groups(batches, "middle"):
-            node, unit, worst = rows.column("node").to_numpy(), _units(rows.column("unit")), rows.column("worst").to_numpy()
-            sim = unit @ unit.T
-            np.fill_diagonal(sim, -2)
-            a, b = np.nonzero(sim > worst[:, None])
-            out.append((node[a], node[b], sim[a, b]))
-            size += len(a)
-            if size > 50_000:
-                yield _pair_batch(*map(np.concatenate, zip(*out, strict=True)))
-                out, size = [], 0
-        if size:
-            yield _pair_batch(*map(np.concatenate, zip(*out, strict=True)))
-
-    dealt = around.join(carried, "node").select("middle", "node", "unit", "worst").repartition("middle").sortWithinPartitions("middle")
-    met = dealt.mapInArrow(meet, PAIRS)
-    old = graph.select("node", "other", "sim", F.lit(False).alias("fresh"))
-    return best(old.union(met.withColumn("fresh", F.lit(True))), DEGREE)
-
-
-def settled_graph(placed: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Rounds of NN-descent on the first graph until hardly a neighbour is new."""
-    graph = written(first_graph(placed), "graph")
+        for rows in _complete(batches, "middle", 60_000):
+            middle, node, fresh, worst = (rows.column(c).to_numpy() for c in ("middle", "node", "fresh", "worst"))
+            order = np.lexsort((~fresh, node, middle))
+            once = np.concatenate([[True], (node[order][1:] != node[order][:-1]) | (middle[order][1:] != middle[order][:-1])])
+            order = order[once]  # what came both ways meets once, as fresh if either was
+            order = order[np.lexsort((~fresh[order], middle[order]))]  # fresh ones first
+            middle, node, fresh, worst, unit = middle[order], node[order], fresh[order], worst[order], _units(rows.column("unit"))[order]
+            starts = np.append(np.flatnonzero(np.concatenate([[True], middle[1:] != middle[:-1]])), len(middle))
+            new = np.add.reduceat(fresh, starts[:-1], dtype=np.int64)
+            others, sims = np.zeros((len(node), OFFERS), np.int64), np.full((len(node), OFFERS), np.float32(-3))
+            for at, end, n in zip(starts[:-1], starts[1:], new, strict=True):
+                if not n or end - at < 2:
+                    continue
+                sim = unit[at : at + n] @ unit[at:end].T
+                sim[np.arange(n), np.arange(n)] = -3
+                offers(sim, node[at:end], others[at : at + n], sims[at : at + n])
+                if at + n < end:
+                    offers(sim[:, n:].T, node[at : at + n], others[at + n : end], sims[at + n : end])
+            better = sims > worst[:, None]  # the others don't come into their lists
+            sizes = better.sum(1)
+            partners = np.empty(int(sizes.sum()), PARTNER)
+            partners["other"], partners["sim"], partners["fresh"] = others[better], sims[better], True
+            some = sizes > 0
+            yield pa.RecordBatch.from_arrays([pa.array(node[some]), _packed(partners, sizes[some])], names=["node", "edges"])
+
+    dealt = forward.unionByName(reverse).join(carried, "node").select("middle", "node", "fresh", "unit", "worst").repartition("middle").sortWithinPartitions("middle")
+    return best(graph.select("node", "edges").union(dealt.mapInArrow(meet, "node long, edges binary")), round_)
+
+
+def settled_graph(placed: DataFrame, nodes: DataFrame, total: int, rounds: int | None = None) -> DataFrame:
+    """Rounds of NN-descent on the first graph until hardly an edge is fresh (or, to look at them, so many ``rounds``)."""
+    graph = written(first_graph(placed, nodes, total), "graph")
     round_ = 0
-    while True:
-        following = written(descend(graph, nodes, round_), "graph")
+    while rounds is None or round_ < rounds:
+        following = written(descend(graph, nodes, round_ + 1), "graph")
         forget(graph)
         graph, round_ = following, round_ + 1
-        fresh, edges = graph.agg(F.count_if("fresh"), F.count("*")).first()
-        if fresh <= SETTLED * edges:
-            return graph
+        fresh, all_ = graph.agg(F.sum(F.size(F.filter("fresh", lambda f: f))), F.sum(F.size("fresh"))).first()
+        if (fresh or 0) <= SETTLED * (all_ or 0):
+            break
+    return graph
 
 
 def _similar(rows: DataFrame, keep: str) -> DataFrame:
@@ -284,7 +374,7 @@ def _similar(rows: DataFrame, keep: str) -> DataFrame:
 def listed(graph: DataFrame, nodes: DataFrame, total: int) -> str:
     """The graph as a table: node, others, and the others' directions in one piece; bucketed by node. Returns its name."""
     name = f"rangecut_graph_{uuid.uuid4().hex}"
-    near = graph.select("node", "other").join(nodes.select(F.col("node").alias("other"), "unit"), "other")
+    near = edges(graph).select("node", "other").join(nodes.select(F.col("node").alias("other"), "unit"), "other")
     pair = F.sort_array(F.collect_list(F.struct("other", "unit")))
     whole = near.groupBy("node").agg(pair.alias("near")).select("node", F.col("near.other").alias("others"), F.array_join(F.transform("near.unit", F.hex), "").alias("units"))
     packed = whole.select("node", "others", F.unhex("units").alias("units"))
@@ -300,9 +390,10 @@ def starts(queries: DataFrame, placed: DataFrame, trees: list[Tree], graph: Data
     routed = leaves_of(queries.select("query", F.col("q").alias("unit")), trees, "query long, unit binary").withColumnRenamed("unit", "q")
     entered = _similar(routed.join(entries, ["tree", "leaf"]), "query long, node long")
     asked = queries.select("query")
-    own = graph.select(F.col("node").alias("query"), F.col("other").alias("node"), F.col("sim").cast("double").alias("sim")).join(asked, "query", "left_semi")
+    edge = edges(graph)
+    own = edge.select(F.col("node").alias("query"), F.col("other").alias("node"), F.col("sim").cast("double").alias("sim")).join(asked, "query", "left_semi")
     nearest = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("sim"), "node"))
-    back = graph.select(F.col("other").alias("query"), "node", F.col("sim").cast("double").alias("sim")).join(asked, "query", "left_semi")
+    back = edge.select(F.col("other").alias("query"), "node", F.col("sim").cast("double").alias("sim")).join(asked, "query", "left_semi")
     back = back.withColumn("row", nearest).where(F.col("row") <= width).drop("row")
     return entered.unionByName(own).unionByName(back)
 
@@ -335,15 +426,7 @@ def search(queries: DataFrame, lists: DataFrame, started: DataFrame, width: int)
                 good = sim > worst[at]
                 yield pa.RecordBatch.from_arrays([pa.array(query[at[good]]), pa.array(others[rows][good]), pa.array(sim[good])], names=["query", "node", "sim"])
 
-    while True:
-        going, all_ = beam.agg(F.count_if(is_open), F.count("*")).first()
-        if not going:
-            break
-        if 2 * going <= all_:  # those that are through needn't be carried along
-            finished.append(written(beam.where(~is_open), "beam"))
-            active = beam.where(is_open)
-        else:
-            active = beam
+    def step(active: DataFrame) -> DataFrame:
         opened = F.slice(F.filter("beam", lambda b: b["open"]), 1, EXPANDED)
         worst = F.when(F.size("beam") < width, F.lit(-2.0)).otherwise(F.element_at("beam", -1)["sim"])
         front = active.select("query", "beam", opened.alias("front"), worst.alias("worst"))
@@ -354,8 +437,19 @@ def search(queries: DataFrame, lists: DataFrame, started: DataFrame, width: int)
         both = closed.unionByName(found.withColumn("open", F.lit(True)))
         # A node that was expanded isn't open again, however it is found.
         once = both.groupBy("query", "node").agg(F.max("sim").alias("sim"), F.min("open").alias("open"))
-        following = written(once.groupBy("query").agg(held(width)), "beam")
-        forget(beam)
+        return once.groupBy("query").agg(held(width))
+
+    while True:
+        going, all_ = beam.agg(F.count_if(is_open), F.count("*")).first()
+        if not going:
+            break
+        if 2 * going <= all_:  # those that are through needn't be carried along
+            finished.append(written(beam.where(~is_open), "beam"))
+            active = beam.where(is_open)
+        else:
+            active = beam
+        following = written(step(active), "beam")
+        forget(beam, steps=False)
         beam = following
     for part in finished:
         beam = beam.unionByName(part)
@@ -445,7 +539,7 @@ def neighbours(vectors: DataFrame, is_query: Column, answers: int = 5) -> DataFr
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     trees = fit_trees(nodes, total)
     placed = written(leaves_of(nodes, trees, "node long, unit binary"), "leaves")
-    graph = settled_graph(placed, nodes)
+    graph = settled_graph(placed, nodes, total)
     # Queries with equal vectors search once, as their node.
     asking = good.where(is_query).select("id", "v").join(nodes.select("node", "v", "unit"), "v").select("id", "node", "unit")
     asking = written(asking, "asking")

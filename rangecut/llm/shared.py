@@ -32,20 +32,21 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return found
 
 
-def forget(df: DataFrame) -> None:
+def forget(df: DataFrame, steps: bool = True) -> None:
     """Deletes a table of ``written`` that nothing reads any more.
 
     Spark removes the shuffle files of finished steps once the driver's garbage
-    collector finds their plans; an iteration would fill disks before that
-    happens by itself, so it is asked to look now.
+    collector finds their plans; an iteration over large shuffles would fill
+    disks before that happens by itself, so with ``steps`` it is asked to look now.
     """
     path = getattr(df, "_rangecut_path", None)
     if path:
         jvm = df.sparkSession._jvm
         hadoop = jvm.org.apache.hadoop.fs.Path(path)
         hadoop.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(hadoop, True)
-        gc.collect()
-        jvm.System.gc()
+        if steps:
+            gc.collect()
+            jvm.System.gc()
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:

