@@ -3,15 +3,17 @@
 ``position`` is the number of boundaries at or below a key (or strictly below).
 A few untagged boundaries become a balanced decision tree of comparisons in
 generated code. Otherwise numbers take a vectorised binary search of the key
-alone, and only rows whose key equals a boundary's send their tags to a second
-search of whole strict keys. Keys of other types take the second at once. The
-fold of higher-order functions serves types that neither knows. What is sent
-out has as many entries as there are boundaries, which is checked, and travels
-with the function: no row carries it.
+alone, and only rows whose key equals a boundary's compare their tags: with the
+few boundaries of that key, which a broadcast table of checked size holds, or,
+where many share a key, by a second vectorised search of whole strict keys. Keys
+of other types take that at once. The fold of higher-order functions serves
+types that neither knows. What is sent out has as many entries as there are
+boundaries, which is checked.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from typing import Any
 
 import numpy as np
@@ -26,6 +28,8 @@ from rangecut.plans.keys import KEY
 TREE = 64
 #: Boundaries of one count; beyond it splitters are found in stages.
 MOST_BOUNDARIES = 2_000_000
+#: Boundaries sent out as a table, and those of one key that a row is compared with one by one.
+JOINED, SAME_KEY = 100_000, 8
 
 
 def literal(value: Any, kind: T.DataType) -> Column:
@@ -35,6 +39,13 @@ def literal(value: Any, kind: T.DataType) -> Column:
     return F.lit(value).cast(kind)
 
 
+def lookup(values: list[int], position: Column, kind: str = "int") -> Column:
+    """``values[position]`` from one literal of equally wide entries, so that plans stay as small however many there are."""
+    width = max((len(str(v)) for v in values), default=1)
+    packed = F.lit("".join(str(v).rjust(width) for v in values).encode())
+    return F.substring(packed, (position * width + 1).cast("int"), F.lit(width)).cast("string").cast(kind)
+
+
 def tree(key: Column, boundaries: list[Column], strict: bool) -> Column:
     def build(start: int, end: int) -> Column:
         if start == end:
@@ -164,6 +175,23 @@ def with_position(df: DataFrame, boundaries: list, out: str, strict: bool = Fals
     before = sum(1 for b in boundaries if b[1] is None and not b[0])
     values = np.array([float(b[1]) for b in boundaries if b[1] is not None and b[1] == b[1]])
     found = df.withColumn("_near", numeric_search(values)(number))
+    same = Counter(_kind_of(b[1]) for b in boundaries)
+    if len(boundaries) <= JOINED and max(same.values()) <= SAME_KEY:
+        nulls = sum(1 for b in boundaries if b[1] is None)
+        base = F.when(number.isNull(), F.when(F.col(f"{key}.nulls"), F.lit(len(boundaries) - nulls)).otherwise(F.lit(0))).otherwise(F.col("_near.first") + before)
+        same_key = F.when(number.isNull(), F.lit(-1)).when(F.isnan(number), F.lit(-2)).when(F.col("_near.first") < F.col("_near.last"), F.col("_near.first"))
+        groups: dict[int, list] = {}
+        for b in boundaries:
+            of = _kind_of(b[1])
+            groups.setdefault(of if isinstance(of, int) else int(np.searchsorted(values, of)), []).append(b)
+        schema = T.StructType([T.StructField("_same", T.IntegerType()), T.StructField("_bounds", T.ArrayType(kind))])
+        table = df.sparkSession.createDataFrame(list(groups.items()), schema)
+        joined = found.withColumn("_same", same_key).join(F.broadcast(table), "_same", "left")  # at most JOINED entries
+        passed = F.filter("_bounds", lambda b: (b < F.col(key)) if strict else (b <= F.col(key)))
+        joined = joined.withColumn(out, (base + F.coalesce(F.size(passed), F.lit(0))).cast("int"))
+        if equal:
+            joined = joined.withColumn(equal, F.coalesce(F.exists("_bounds", lambda b: b == F.col(key)), F.lit(False)))
+        return joined.drop("_near", "_same", "_bounds")
     plain = (F.col("_near.first") == F.col("_near.last")) & number.isNotNull() & ~F.isnan(number)
     found = found.withColumn("_strict", search(F.when(~plain, F.col(key))))
     found = found.withColumn(out, F.when(plain, F.col("_near.first") + before).otherwise(F.col(f"_strict.{pick}")))
@@ -172,6 +200,11 @@ def with_position(df: DataFrame, boundaries: list, out: str, strict: bool = Fals
     return found.drop("_near", "_strict")
 
 
+def _kind_of(value: Any) -> int | float:
+    """What rows of equal plain key share: -1 for null, -2 for NaN, else the number."""
+    return -1 if value is None else -2 if value != value else float(value)
+
+
 def counts(df: DataFrame, boundaries: list, strategy: str = "auto", weight: str | None = None) -> list[int]:
     """Rows (or weights) at each position 0..len(boundaries). Tasks count first, so little is shuffled."""
     placed = with_position(df, boundaries, "_at", strategy=strategy)

@@ -29,14 +29,8 @@ def find(df: DataFrame, spec: KeySpec, parts: int, eps: float = 0.05, seed: int
     strict = spec.strict(df)
     n = strict.count()
     state = SplitState(n, parts, search.exact_eps(eps))
-    few = search.finish_limit(strict)
     rate = lambda j, s, live: (5 * parts, max(1, live))
-    sampler = search.bernoulli(spec, seed, rate, portable=False)
-    for round_ in range(1, 65):
-        if not state.unsettled() or state.live_size() <= few:
-            break
-        search.run(strict, state, lambda d, r, s, live, size, at=round_: sampler(d, at, s, live, size), 1)
-    search.finish(strict, state)
+    search.run(strict, state, search.bernoulli(spec, seed, rate, portable=False), 64, enough=search.finish_limit(strict))
     keys, last = [], None
     for p in (state.choice(i) for i in range(parts - 1)):
         if p is not None and p.rank != last:

@@ -82,7 +82,7 @@ def live_rows(strict: DataFrame, live: list[tuple[Probe, Probe]], n: int) -> Dat
     rows = strict.where(hull) if _comparable(kind) else strict
     placed = count.with_position(rows, keys, "_below", strict=True, equal="_end")
     # A row that equals an end is no inner row.
-    return placed.where(~F.col("_end")).withColumn("_in", F.element_at(F.array(*map(F.lit, owner)), F.col("_below") + 1)).where("_in >= 0").drop("_below", "_end")
+    return placed.where(~F.col("_end")).withColumn("_in", count.lookup(owner, F.col("_below"))).where("_in >= 0").drop("_below", "_end")
 
 
 def _comparable(kind) -> bool:
@@ -124,7 +124,7 @@ def per_interval(spec: KeySpec, seed: int, beta: int, portable: bool = True) ->
                 sharing[pair] += 1
         limits = [coin.threshold(beta * sharing[low.rank, high.rank], high.rank - low.rank - 1) for low, high in live]
         drawn = coin.draw(spec.coin, seed, round_, portable)
-        return live_df.where(drawn < F.element_at(F.array(*(F.lit(x) for x in limits)), F.col("_in") + 1)), max(limits)
+        return live_df.where(drawn < count.lookup(limits, F.col("_in"), "long")), max(limits)
 
     return sample
 
@@ -155,8 +155,9 @@ def run(
     drop_settled: bool = True,
     persist: bool = True,
     start: Iterable[Probe] = (),
+    enough: int | None = None,
 ) -> Result:
-    """The loop of rounds. ``start``: probes of known rank to begin with."""
+    """The loop of rounds. ``start``: probes of known rank to begin with; ``enough``: so few live rows are sorted at once instead."""
     result = Result(state)
     state.narrow(sorted(start, key=lambda p: p.rank))
     held: DataFrame | None = None
@@ -167,6 +168,8 @@ def run(
         for round_ in range(1, rounds + 1):
             live = state.live(drop_settled)
             size = state.live_size(drop_settled)
+            if enough is not None and size <= enough:
+                break
             if not live or (stop_when_settled and not state.unsettled()):
                 break
             inside = live_rows(base, live, state.n)
@@ -178,6 +181,8 @@ def run(
             state.narrow(ranked(inside, live, drawn))
             result.trace.append((round_, limit, len(drawn), size, state.live_size(drop_settled), len(state.unsettled())))
             result.probes_sent = max(result.probes_sent, len(drawn))
+        if enough is not None:
+            finish(base, state, drop_settled)
     finally:
         if held is not None:
             held.unpersist()
@@ -252,12 +257,7 @@ def keys_at(df: DataFrame, spec: KeySpec, ranks: list[int], n: int | None = None
     state = SplitState(n, 1, Fraction(0), ideals=wanted)
     rate = lambda j, s, live: (budget * len(wanted), max(1, live))
     sampler = bernoulli(spec, seed, rate, portable)
-    held = strict
-    for round_ in range(64):
-        if state.live_size() <= finish_limit(strict):
-            break
-        run(held, state, lambda d, r, s, live, size, at=round_: sampler(d, at + 1, s, live, size), 1)
-    finish(strict, state)
+    run(strict, state, sampler, 64, enough=finish_limit(strict))
     found = {p.rank: p for i in range(len(wanted)) for p in (state.low[i], state.high[i])}
     return [found[r] for r in wanted]
 

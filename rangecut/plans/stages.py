@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from fractions import Fraction
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangecut.plans import coin, exchange, search
+from rangecut.plans import coin, count, exchange, search
 from rangecut.plans.keys import KEY, KeySpec
 from rangecut.plans.state import Probe, SplitState
 
@@ -25,51 +25,72 @@ def fanouts(parts: int, stages: int) -> list[int]:
     return [*out, left]
 
 
-def grouped_rounds(strict: DataFrame, spec: KeySpec, sizes: dict[int, int], parts: int, eps: float, budget: int, seed: int, rival: bool = False, max_rounds: int = 64) -> tuple[dict[int, SplitState], int]:
+def live_in_groups(strict: DataFrame, live: list[tuple[int, Probe, Probe]]) -> DataFrame:
+    """Rows strictly inside the live intervals (group, low, high) of all groups, with ``_in``, the interval's number.
+
+    Groups are ranges of keys in their order, so one search among all ends finds
+    a row's interval: it begins at the end before the row, or, where that lies
+    in an earlier group, with the row's own group.
+    """
+    ends: dict[tuple[int, int], object] = {(g, p.rank): p.key for g, low, high in live for p in (low, high) if p.key is not None}
+    order = sorted(ends)
+    begins = {(g, low.rank): i for i, (g, low, _) in enumerate(live)}
+    owner = [-1, *(begins.get(e, -1) for e in order)]
+    group = [-1, *(g for g, _ in order)]
+    most = max(g for g, _, _ in live)
+    opening = [begins.get((g, -1), -1) for g in range(most + 1)]
+    rows = strict.where(F.col(GROUP) <= most)
+    placed = count.with_position(rows, [ends[e] for e in order], "_below", strict=True, equal="_end")
+    same = count.lookup(group, F.col("_below")) == F.col(GROUP)
+    inside = F.when(same, count.lookup(owner, F.col("_below"))).otherwise(count.lookup(opening, F.col(GROUP)))
+    return placed.where(~F.col("_end")).withColumn("_in", inside).where("_in >= 0").drop("_below", "_end")
+
+
+def grouped_rounds(strict: DataFrame, spec: KeySpec, sizes: dict[int, int], parts: int, eps: float, budget: int, seed: int, rival: bool = False, max_rounds: int = 64) -> tuple[dict[int, SplitState], int, int]:
     """Narrowing inside every group at once: one sampling and one counting job per round, whatever the number of groups.
 
-    A group's sample is a column of a joined table of live intervals, so
-    neither plan nor driver work grows with rows.
+    Returns the groups' states, the rounds, and the keys sampled. Driver work
+    grows with the number of splitters, tasks see rows of any group.
     """
-    spark = strict.sparkSession
-    states = {g: SplitState(n, parts, search.exact_eps(eps)) for g, n in sizes.items()}
-    kind = strict.schema[KEY].dataType
-    rounds = 0
-    for round_ in range(1, max_rounds + 1):
-        live = [(g, low, high) for g, s in states.items() for low, high in s.live() if s.unsettled()]
-        if not live:
-            break
-        rounds = round_
-        total = {g: sum(h.rank - l.rank - 1 for x, l, h in live if x == g) for g in states}
-        sharing = {}
-        for g, s in states.items():
-            for i in s.unsettled():
-                pair = (g, s.low[i].rank, s.high[i].rank)
-                sharing[pair] = sharing.get(pair, 0) + 1
-        rows = []
-        for g, low, high in live:
-            chance = (budget * sharing.get((g, low.rank, high.rank), 1), high.rank - low.rank - 1) if rival else (budget * parts, total[g])
-            rows.append((g, low.rank, low.key, high.key, coin.threshold(*chance)))
-        intervals = spark.createDataFrame(rows, f"_g int, _base long, _low {kind.simpleString()}, _high {kind.simpleString()}, _below long")
-        inside = strict.join(
-            F.broadcast(intervals),  # at most two entries for each splitter
-            (F.col(GROUP) == F.col("_g")) & (F.col("_low").isNull() | (F.col("_low") < F.col(KEY))) & (F.col("_high").isNull() | (F.col(KEY) < F.col("_high"))),
-        )
-        drawn = inside.where(coin.draw(spec.coin, seed, round_, portable=False) < F.col("_below")).select(GROUP, KEY, "_base")
-        probes = [(r[GROUP], r["_base"], r[KEY]) for r in drawn.orderBy(GROUP, KEY).collect()]
-        if not probes:
-            continue
-        sample = spark.createDataFrame([(g, b, k, j) for j, (g, b, k) in enumerate(probes)], f"_g int, _b long, _probe {kind.simpleString()}, _j int")
-        # Ranks by sorting probes among the live rows of their interval and counting what stands before.
-        marked = inside.select(GROUP, "_base", KEY, F.lit(None).cast("int").alias("_j")).union(sample.select("_g", "_b", "_probe", "_j"))
-        before = F.count_if(F.col("_j").isNull()).over(Window.partitionBy(GROUP, "_base").orderBy(F.col(KEY), F.col("_j").isNull()).rowsBetween(Window.unboundedPreceding, 0))
-        rank = {r["_j"]: r["_base"] + 1 + r["_n"] for r in marked.withColumn("_n", before).where("_j IS NOT NULL").select("_j", "_base", "_n").collect()}
-        found: dict[int, list[Probe]] = {}
-        for j, (g, _, k) in enumerate(probes):
-            found.setdefault(g, []).append(Probe(rank[j], k))
-        for g, ps in found.items():
-            states[g].narrow(sorted(ps, key=lambda p: p.rank))
-    return states, rounds
+    states = {g: SplitState(n, parts, search.exact_eps(eps)) for g, n in sorted(sizes.items())}
+    rounds = sampled = 0
+    held: DataFrame | None = None
+    base = strict
+    try:
+        for round_ in range(1, max_rounds + 1):
+            open_ = {g: s.unsettled() for g, s in states.items()}
+            live = [(g, low, high) for g, s in states.items() if open_[g] for low, high in s.live()]
+            if not live:
+                break
+            rounds = round_
+            size: dict[int, int] = {}
+            for g, low, high in live:
+                size[g] = size.get(g, 0) + high.rank - low.rank - 1
+            sharing: dict[tuple[int, int, int], int] = {}
+            for g, s in states.items():
+                for i in open_[g]:
+                    pair = (g, s.low[i].rank, s.high[i].rank)
+                    sharing[pair] = sharing.get(pair, 0) + 1
+            limits = []
+            for g, low, high in live:
+                chance = (budget * sharing.get((g, low.rank, high.rank), 1), high.rank - low.rank - 1) if rival else (budget * parts, size[g])
+                limits.append(coin.threshold(*chance))
+            inside = live_in_groups(base, live)
+            if held is None and sum(size.values()) < search.PERSIST_BELOW * sum(sizes.values()):
+                held = base = inside.drop("_in").persist()
+                inside = live_in_groups(base, live)
+            drawn = inside.where(coin.draw(spec.coin, seed, round_, portable=False) < count.lookup(limits, F.col("_in"), "long"))
+            sample = [(r["_in"], r[KEY]) for r in drawn.select("_in", KEY).orderBy(KEY).collect()]
+            sampled += len(sample)
+            found: dict[int, list[Probe]] = {}
+            for (i, _), probe in zip(sample, search.ranked(inside, [(low, high) for _, low, high in live], sample), strict=True):
+                found.setdefault(live[i][0], []).append(probe)
+            for g, probes in found.items():
+                states[g].narrow(probes)
+    finally:
+        if held is not None:
+            held.unpersist()
+    return states, rounds, sampled
 
 
 def staged_split(df: DataFrame, spec: KeySpec, parts: int, eps: float, stages: int = 2, fanout: list[int] | None = None, budget: int = 5, seed: int = 1, finder: str = "narrow", eps_stage: float | None = None, physical: str = "once") -> tuple[DataFrame, list[int]]:
@@ -92,7 +113,7 @@ def staged_split(df: DataFrame, spec: KeySpec, parts: int, eps: float, stages: i
         if finder == "scan":
             states, used = grouped_scan(strict, spec, sizes, r, each, seed + stage), 1
         else:
-            states, used = grouped_rounds(strict, spec, sizes, r, each, budget, seed + stage, rival=finder == "per_interval")
+            states, used, _ = grouped_rounds(strict, spec, sizes, r, each, budget, seed + stage, rival=finder == "per_interval")
         rounds.append(used)
         keys, begins = [], []
         for g in sorted(states):
@@ -104,10 +125,7 @@ def staged_split(df: DataFrame, spec: KeySpec, parts: int, eps: float, stages: i
         number = {0: 0}
         for j, (g, i) in enumerate(begins, 1):
             number[j] = g * r + i
-        first = {}
-        for j, (g, _) in enumerate(begins):
-            first.setdefault(g, j)
-        inner = F.element_at(F.array(*(F.lit(number[j]) for j in range(len(begins) + 1))), F.col("_at") + 1)
+        inner = count.lookup([number[j] for j in range(len(begins) + 1)], F.col("_at"))
         placed = placed.withColumn(GROUP, F.when(F.floor(inner / r) == F.col(GROUP), inner).otherwise(F.col(GROUP) * r).cast("int")).drop("_at")
         if physical == "each":
             placed = placed.repartitionById(max(1, parts), GROUP)
@@ -118,7 +136,7 @@ def grouped_scan(strict: DataFrame, spec: KeySpec, sizes: dict[int, int], parts:
     """The scan baseline in every group: one sample, one histogram, a greedy walk."""
     from itertools import accumulate
 
-    from rangecut.plans import baselines, count, theory
+    from rangecut.plans import baselines, theory
 
     n = sum(sizes.values())
     rate = coin.threshold(max(1, int(len(sizes) * parts * theory.scan_ratio(parts, eps, max(2, n)) + 0.5)), max(1, n))
