@@ -15,7 +15,10 @@
    is left and computes exact similarities. A pair that shares several buckets
    is looked at in the one with the smallest key only.
 4. From how many pairs were met in one run and in two the number of pairs met
-   in none is estimated; runs are added until ``recall`` is reached.
+   in none is estimated; runs are added until ``recall`` is reached. Should
+   ``DOUBLINGS`` not be enough, all pairs that share a token of their prefixes
+   are compared instead, which misses none: similar sets share one of the
+   n - least * n + 1 rarest tokens of either.
 5. A bucket gives a row for each node: the nodes that it is linked with, counted
    with their copies, and a spanning forest of the links. Connected components
    of the forests (alternating large and small stars) are the groups.
@@ -24,9 +27,11 @@ No step emits the pairs of a group, and a bucket that ``LEVELS`` splits leave
 large is compared exactly in blocks.
 
 Cases: a null text is an empty one; texts without words are copies of each
-other; texts of fewer than five words are one run; a null id stays null;
-repeated rows are copies; an empty table gives no rows; other columns are left
-out by ``links`` and kept by ``keep_one``.
+other; texts of fewer than five words are one run; very long texts are read
+whole, by one task each; a similarity of exactly the threshold links; of equal
+ids the least text hash stands for its group; a null id stays null; repeated
+rows are copies; an empty table gives no rows; other columns, whatever their
+names, are left out by ``links`` and kept by ``keep_one``.
 """
 
 from __future__ import annotations
@@ -36,7 +41,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rangecut.llm.shared import forget, written
@@ -135,8 +140,11 @@ def paths(nodes: DataFrame, runs: int) -> DataFrame:
     def coordinate(*seed):
         return F.element_at("signature", (F.pmod(F.xxhash64(*seed), F.lit(COORDINATES)) + 1).cast("int"))
 
+    # Every run starts at a coordinate of its own, as long as there are any left.
+    own = F.element_at("signature", (F.pmod(F.col("run") * 27 + 5, F.lit(COORDINATES)) + 1).cast("int"))
+
     level = nodes.select("node", "signature", F.explode(F.sequence(F.lit(0), F.lit(runs - 1))).alias("run"))
-    level = level.select("node", "run", F.xxhash64("run", coordinate(F.lit("root"), "run")).alias("bucket"))
+    level = level.select("node", "run", F.xxhash64("run", own).alias("bucket"))
     done, used = [], []
     for depth in range(1, LEVELS + 1):
         level = written(level, f"paths-{depth}")
@@ -149,8 +157,7 @@ def paths(nodes: DataFrame, runs: int) -> DataFrame:
             break
         large = placed.where(F.col("members") > BUCKET)
         if depth == LEVELS:
-            chunks = F.ceil(F.col("members") / F.lit(BUCKET // 2)).cast("int")
-            done.append(large.select("node", "run", "bucket", F.pmod(F.xxhash64("node"), chunks).cast("int").alias("chunk"), chunks.alias("chunks")))
+            done.append(chunked(large))
             break
         # One coordinate, and for one path in four a second one.
         turns = F.when(F.pmod(F.xxhash64("bucket", F.lit("turns")), F.lit(4)) == 0, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))
@@ -159,12 +166,37 @@ def paths(nodes: DataFrame, runs: int) -> DataFrame:
     every = done[0]
     for more in done[1:]:
         every = every.unionByName(more)
+    found = blocked(every)
+    for step in used:
+        forget(step)
+    return found
+
+
+def chunked(large: DataFrame) -> DataFrame:
+    """Buckets that stay large (node, run, bucket, members), dealt into chunks that meet two at a time."""
+    chunks = F.ceil(F.col("members") / F.lit(BUCKET // 2)).cast("int")
+    return large.select("node", "run", "bucket", F.pmod(F.xxhash64("node"), chunks).cast("int").alias("chunk"), chunks.alias("chunks"))
+
+
+def blocked(every: DataFrame) -> DataFrame:
     blocks = F.when(F.col("chunks") == 1, F.array(F.lit(0))).otherwise(
         F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.least(o, F.col("chunk")) * F.col("chunks") + F.greatest(o, F.col("chunk")))
     )
-    found = written(every.withColumn("block", F.explode(blocks)).select("node", "run", "bucket", "block", "chunk", "chunks"), "buckets")
-    for step in used:
-        forget(step)
+    return written(every.withColumn("block", F.explode(blocks)).select("node", "run", "bucket", "block", "chunk", "chunks"), "buckets")
+
+
+def prefixes(docs: DataFrame, nodes: DataFrame, least: float, words: int) -> DataFrame:
+    """The buckets of an exact join: each node under the rarest tokens of its set, so many that similar sets share one."""
+    sets = sets_of(docs, nodes.select("node", "rep_id", "rep_key"), words)
+    tokens = written(sets.select("node", F.size("tokens").alias("n"), F.explode("tokens").alias("bucket")), "tokens")
+    known = tokens.join(tokens.groupBy("bucket").agg(F.count("*").alias("held_by")), "bucket")
+    nth = F.row_number().over(Window.partitionBy("node").orderBy("held_by", "bucket"))
+    prefix = known.withColumn("nth", nth).where(F.col("nth") <= F.col("n") - F.ceil(F.lit(least) * F.col("n") - 1e-9) + 1)
+    level = prefix.select("node", F.lit(0).alias("run"), "bucket")
+    placed = level.join(level.groupBy("bucket").agg(F.count("*").alias("members")).where("members > 1"), "bucket")
+    small = placed.where(F.col("members") <= BUCKET).select("node", "run", "bucket", F.lit(0).alias("chunk"), F.lit(1).alias("chunks"))
+    found = blocked(small.unionByName(chunked(placed.where(F.col("members") > BUCKET))))
+    forget(tokens)
     return found
 
 
@@ -355,8 +387,9 @@ def links(docs: DataFrame, least: float = 0.8, words: int = 5, recall: float = R
     nodes = base.groupBy("node", "n").agg(rep, F.count("*").alias("copies"), F.first("signature").alias("signature"))
     nodes = written(nodes.select("node", "n", "copies", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key"), "signature"), "nodes")
     runs = RUNS
-    for attempt in range(DOUBLINGS + 1):
-        buckets = paths(nodes, runs)
+    for attempt in range(DOUBLINGS + 2):
+        exact = attempt > DOUBLINGS
+        buckets = prefixes(docs, nodes, least, words) if exact else paths(nodes, runs)
         of_node = buckets.groupBy("node").agg(F.collect_set("bucket").alias("buckets"))
         carried = of_node.join(nodes, "node").select("node", "n", "copies", "signature", "buckets")
         seen = buckets.drop("run").distinct().join(carried, "node")
@@ -369,7 +402,7 @@ def links(docs: DataFrame, least: float = 0.8, words: int = 5, recall: float = R
         forget(buckets)
         once, twice, met = linked.agg(F.sum("met_once"), F.sum("met_twice"), F.sum("met")).first()
         missed = once**2 / (2 * twice + 2) if met else 0
-        if not met or met / (met + missed) >= recall or attempt == DOUBLINGS:
+        if exact or (not met and recall <= 1) or met / (met + missed) >= recall:
             break
         forget(linked)
         runs *= 2

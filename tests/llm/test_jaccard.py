@@ -89,3 +89,15 @@ def test_components(spark):
     edges = [(i, i + 1) for i in range(1, 40)] + [(100, 103), (103, 101)]
     got = {r.node: r.root for r in jaccard_join.components(spark.createDataFrame(edges, "node long, root long")).collect()}
     assert got == {**{i: 1 for i in range(2, 41)}, 101: 100, 103: 100}
+
+
+def test_below_its_recall_the_join_is_done_exactly(spark, monkeypatch):
+    """With a recall that no run reaches, the pairs come from shared prefixes; none may be missing."""
+    monkeypatch.setattr(jaccard_join, "RUNS", 1)
+    monkeypatch.setattr(jaccard_join, "DOUBLINGS", 0)
+    monkeypatch.setattr(jaccard_join, "BUCKET", 4)  # prefixes' buckets are dealt into blocks, too
+    rows = list(enumerate(texts()))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    linked, label = brute(rows)
+    got = {r.doc_id: (r.n_links, r.class_id) for r in jaccard_join.links(docs, recall=1.1).collect()}
+    assert got == {i: (len(linked[i]), label[i]) for i in range(len(rows))}
