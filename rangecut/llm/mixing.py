@@ -1,8 +1,7 @@
 """Mixing sources to target weights, by blocks that are joined by index.
 
 1. Each source's texts, in a fixed order, are one stream of words, cut into
-   blocks of fixed length (``BLOCK`` words; shorter for a small source, so that
-   it has ``LEAST_BLOCKS`` of them).
+   blocks of ``BLOCK`` words; only a stream's last block may be shorter.
 2. Targets: all sources share ``volume`` times the corpus by weight; a target
    stops at ``most_repeats`` times its source, the excess is shared again by
    weight among the others until none is above.
@@ -12,7 +11,9 @@
 4. A source's n-th slot takes block p(n mod blocks) of its stream, p being a
    pseudorandom permutation of the source's own: a Feistel network over
    the block index with rejection by walking. No block is drawn again before
-   all have been drawn, and none more often than ``most_repeats`` times.
+   all have been drawn, and none more often than ``most_repeats`` times. The last
+   slot of a source takes no more words of its block than the target lacks, so
+   the words taken are the target's whole words.
 5. Slots and blocks are joined by (source, block index).
 
 Words before a document in its stream come from sums per (source, salt) and
@@ -21,8 +22,11 @@ many tasks. The list of sources (name, size) is the only thing the driver gets;
 ``MOST_SOURCES`` bounds it.
 
 Cases: a null text has no words; a null source is a source, the last in order;
-a null id stays null; repeated rows are separate documents with counts of their
-own; an empty table gives no rows; other columns are left out.
+a null id stays null; repeated rows are separate documents with counts and
+stretches of their own; ties of the order within a source go by id, then text
+hash; very long texts span blocks and are never cut short; an empty table gives
+no rows; other columns are left out by ``taken_words`` and kept by
+``mixed_documents``, but for names that begin with ``_rc_``.
 """
 
 from __future__ import annotations
@@ -39,7 +43,6 @@ from pyspark.sql import functions as F
 from rangecut.llm.shared import WORD, written
 
 BLOCK = 256
-LEAST_BLOCKS = 512
 #: A shard has at least so many slots; beyond ``MOST_SHARDS`` shards grow instead, so the driver's list of draws is bounded.
 SLOTS_A_SHARD, MOST_SHARDS = 4096, 50_000
 MOST_SOURCES = 1_000_000
@@ -54,9 +57,10 @@ class Source:
     name: str | None
     size: int
     target: float
-    block: int
     blocks: int
     slots: int
+    #: Words that the last slot takes of its block.
+    last: int
 
 
 def size_of(text: Column) -> Column:
@@ -85,7 +89,7 @@ def targets_of(sizes: Sequence[int], weights: Sequence[float], volume: float, mo
     return target
 
 
-def sources_of(sized: DataFrame, weights: Sequence[float], volume_share: float, most_repeats: float) -> list[Source]:
+def sources_of(sized: DataFrame, weights: Sequence[float], volume_share: float, most_repeats: float, seed: int = SEED) -> list[Source]:
     rows = sized.groupBy("source").agg(F.sum("size").alias("size")).limit(MOST_SOURCES + 1).collect()
     if len(rows) > MOST_SOURCES:
         raise ValueError(f"more than {MOST_SOURCES} sources")
@@ -94,13 +98,27 @@ def sources_of(sized: DataFrame, weights: Sequence[float], volume_share: float,
     targets = targets_of(sizes, [weights[i % len(weights)] for i in range(len(rows))], volume_share * sum(sizes), most_repeats)
     found = []
     for i, (row, target) in enumerate(zip(rows, targets, strict=True)):
-        block = max(1, min(BLOCK, row["size"] // LEAST_BLOCKS))
-        blocks = -(-row["size"] // block)
-        slots = min(int(target / block + 0.5), int(most_repeats * blocks))
-        found.append(Source(i, row.source, row["size"], target, block, blocks, slots))
+        found.append(Source(i, row.source, row["size"], target, -(-row["size"] // BLOCK), *slots_for(i, row["size"], target, seed)))
     return found
 
 
+def slots_for(number: int, size: int, target: float, seed: int) -> tuple[int, int]:
+    """How many slots reach the target's whole words, and how many words the last one takes of its block."""
+    words, blocks = int(target), -(-size // BLOCK)
+    if not words:
+        return 0, 0
+    turns, rest = divmod(words, size)
+    if not rest:
+        return turns * blocks, BLOCK  # the short block is short by itself
+    short = size - (blocks - 1) * BLOCK
+    at = int(unpermuted(np.array([blocks - 1]), np.array([blocks]), np.array([number + 1_000_003 * seed]))[0])
+    k = -(-rest // BLOCK)
+    if at < k and k * BLOCK - (BLOCK - short) < rest:
+        k += 1
+    before = (k - 1) * BLOCK - (BLOCK - short if at < k - 1 else 0)
+    return turns * blocks + k, rest - before
+
+
 def draw_shards(slots: Sequence[int], a_shard: int, seed: int) -> Iterator[np.ndarray]:
     """For each shard, how many slots each source gets: multinomial over what is left, never more than that."""
     rng = np.random.default_rng(seed)
@@ -122,8 +140,8 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-def permuted(index: np.ndarray, n: np.ndarray, key: np.ndarray) -> np.ndarray:
-    """A permutation of 0..n-1 for each key: four Feistel rounds on the smallest even number of bits, walked until inside."""
+def _feistel(index: np.ndarray, n: np.ndarray, key: np.ndarray, turns: Sequence[int]) -> np.ndarray:
+    """Feistel rounds on the smallest even number of bits, walked until inside 0..n-1; ``turns`` backwards undo them."""
     bits = np.maximum(1, (np.ceil(np.log2(np.maximum(n, 2).astype(np.float64))) + 1) // 2).astype(np.uint64)
     mask = (np.uint64(1) << bits) - np.uint64(1)
     out = index.astype(np.uint64)
@@ -133,19 +151,29 @@ def permuted(index: np.ndarray, n: np.ndarray, key: np.ndarray) -> np.ndarray:
         while going.any():
             at = np.flatnonzero(going)
             left, right = out[at] >> bits[at], out[at] & mask[at]
-            for turn in range(4):
-                f = _mix(right + (key[at] * np.uint64(4) + np.uint64(turn + 1)) * np.uint64(0x9E3779B97F4A7C15)) & mask[at]
-                left, right = right, left ^ f
+            for turn in turns:
+                f = lambda half: _mix(half + (key[at] * np.uint64(4) + np.uint64(turn + 1)) * np.uint64(0x9E3779B97F4A7C15)) & mask[at]  # noqa: B023, E731
+                left, right = (right, left ^ f(right)) if turns[0] == 0 else (right ^ f(left), left)
             out[at] = (left << bits[at]) | right
             going[at] = out[at] >= n[at].astype(np.uint64)
     return out.astype(np.int64)
 
 
-SLOTS = "shard long, slot int, number int, block_index long, turn int"
+def permuted(index: np.ndarray, n: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """A permutation of 0..n-1 for each key."""
+    return _feistel(index, n, key, (0, 1, 2, 3))
+
+
+def unpermuted(index: np.ndarray, n: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """Where ``permuted`` has put each index."""
+    return _feistel(index, n, key, (3, 2, 1, 0))
+
+
+SLOTS = "shard long, slot int, number int, block_index long, turn int, most int"
 
 
 def slots_of(spark, sources: list[Source], seed: int) -> DataFrame:
-    """The mix as slots: shard, slot, source number, block index, and how often the block was taken before. A shard's slots are spread by a permutation of their own."""
+    """The mix as slots: shard, slot, source number, block index, how often the block was taken before, and its words at most. A shard's slots are spread by a permutation of their own."""
     taken = np.zeros(len(sources), np.int64)
     shards = []
     a_shard = max(SLOTS_A_SHARD, -(-sum(s.slots for s in sources) // MOST_SHARDS))
@@ -154,7 +182,7 @@ def slots_of(spark, sources: list[Source], seed: int) -> DataFrame:
         shards.append((shard, at.tolist(), drawn[at].tolist(), taken[at].tolist()))
         taken += drawn
     drawn_rows = spark.createDataFrame(shards, "shard long, numbers array<int>, counts array<int>, begins array<long>")
-    blocks = np.array([s.blocks for s in sources], np.int64)
+    blocks, slots, last = (np.array([getattr(s, c) for s in sources], np.int64) for c in ("blocks", "slots", "last"))
 
     def fill(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for part in parts:
@@ -166,18 +194,19 @@ def slots_of(spark, sources: list[Source], seed: int) -> DataFrame:
                 n = blocks[number]
                 shard = np.full(len(number), row.shard)
                 slot = permuted(np.arange(len(number)), np.full(len(number), len(number)), shard + 1_000_003 * (seed + 1))
-                yield pd.DataFrame({"shard": shard, "slot": slot.astype("int32"), "number": number.astype("int32"), "block_index": permuted(nth % n, n, number + 1_000_003 * seed), "turn": (nth // n).astype("int32")})
+                yield pd.DataFrame({"shard": shard, "slot": slot.astype("int32"), "number": number.astype("int32"), "block_index": permuted(nth % n, n, number + 1_000_003 * seed), "turn": (nth // n).astype("int32"), "most": np.where(nth == slots[number] - 1, last[number], BLOCK).astype("int32")})
 
     return drawn_rows.repartition(max(1, min(len(shards), 4096))).mapInPandas(fill, SLOTS)
 
 
 def streamed(sized: DataFrame, sources: list[Source]) -> DataFrame:
-    """Adds each document's source number, block length and first word's place in its source's stream."""
+    """Adds each document's source number and first word's place in its source's stream."""
     spark = sized.sparkSession
-    names = spark.createDataFrame([(s.number, s.name, s.size, float(s.target), s.block) for s in sources], "number int, source string, source_size long, target double, block int")
+    names = spark.createDataFrame([(s.number, s.name, s.size, float(s.target)) for s in sources], "number int, source string, source_size long, target double")
     total = sized.count()
     salts = max(1, -(-total // SUMMED_AT_ONCE))
-    numbered = sized.join(F.broadcast(names), sized["source"].eqNullSafe(names["source"])).drop("source")
+    names = names.withColumnRenamed("source", "_name")
+    numbered = sized.join(F.broadcast(names), sized["source"].eqNullSafe(names["_name"])).drop("_name")  # at most MOST_SOURCES rows
     salted = numbered.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "text_key"), F.lit(salts)))
     sums = salted.groupBy("number", "_salt").agg(F.sum("size").alias("words"))
     before = sums.select("number", "_salt", (F.sum("words").over(Window.partitionBy("number").orderBy("_salt")) - F.col("words")).alias("_before"))
@@ -188,9 +217,9 @@ def streamed(sized: DataFrame, sources: list[Source]) -> DataFrame:
 def block_pieces(stream: DataFrame) -> DataFrame:
     """A row for each block that a document has words in: block_index, from_word (within the document), n_words."""
     last = F.col("first_word") + F.col("size") - 1
-    exploded = stream.where("size > 0").withColumn("block_index", F.explode(F.sequence(F.floor(F.col("first_word") / F.col("block")), F.floor(last / F.col("block")))))
-    begin = F.greatest(F.col("first_word"), F.col("block_index") * F.col("block"))
-    end = F.least(F.col("first_word") + F.col("size"), (F.col("block_index") + 1) * F.col("block"))
+    exploded = stream.where("size > 0").withColumn("block_index", F.explode(F.sequence(F.floor(F.col("first_word") / F.lit(BLOCK)), F.floor(last / F.lit(BLOCK)))))
+    begin = F.greatest(F.col("first_word"), F.col("block_index") * BLOCK)
+    end = F.least(F.col("first_word") + F.col("size"), (F.col("block_index") + 1) * BLOCK)
     return exploded.withColumn("from_word", begin - F.col("first_word")).withColumn("n_words", end - begin)
 
 
@@ -204,11 +233,13 @@ def mix(docs: DataFrame, weights: Sequence[float], volume_share: float, most_rep
     spark = docs.sparkSession
     key = F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_key")
     sized = written(docs.select("doc_id", "source", key, size_of(F.col("text")).alias("size")), "sizes")
-    sources = sources_of(sized, weights, volume_share, most_repeats)
+    sources = sources_of(sized, weights, volume_share, most_repeats, seed)
     stream = streamed(sized, sources)
     # Slots grow with the corpus, which the planner can't see through the function that fills them: no broadcast.
     mixed = slots_of(spark, sources, seed).hint("merge").join(block_pieces(stream), ["number", "block_index"])
-    return mixed, stream
+    # The part of the piece that the slot still takes.
+    left = F.col("block_index") * BLOCK + F.col("most") - (F.col("first_word") + F.col("from_word"))
+    return mixed.withColumn("n_words", F.least("n_words", left)).where("n_words > 0").drop("most"), stream
 
 
 def taken_words(docs: DataFrame, weights: Sequence[float], volume_share: float, most_repeats: int, seed: int = SEED) -> DataFrame:
@@ -245,7 +276,21 @@ def mixed_documents(docs: DataFrame, weights: Sequence[float], volume_share: flo
     """
     mixed, stream = mix(docs, weights, volume_share, most_repeats, seed)
     one = F.struct("number", "first_word", "turn", "from_word", "n_words")
-    lists = mixed.groupBy(F.col("doc_id").alias("_rc_id"), F.col("text_key").alias("_rc_text")).agg(F.collect_list(one).alias("_rc_pieces"))
+    same = ["doc_id", "text_key", "source"]
+    lists = mixed.groupBy(*same, "first_word").agg(F.collect_list(one).alias("_rc_pieces"))
+    keyed = docs.withColumn("_rc_key", F.xxhash64(F.coalesce(docs["text"], F.lit(""))))
+    nth = F.lit(1)
+    if stream.groupBy(*same).count().where("count > 1").take(1):
+        # Rows with the same id, text and source have places of their own in the stream: the n-th row takes the n-th place.
+        number = F.row_number().over(Window.partitionBy(*same).orderBy("first_word"))
+        lists = lists.join(stream.where("size > 0").select(*same, "first_word", number.alias("_rc_nth")).withColumnRenamed("source", "_s").withColumnRenamed("doc_id", "_d").withColumnRenamed("text_key", "_t"), "first_word", "inner").where(
+            F.col("source").eqNullSafe(F.col("_s")) & F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("text_key") == F.col("_t"))
+        )
+        nth = F.row_number().over(Window.partitionBy("doc_id", "_rc_key", "source").orderBy(F.xxhash64(*docs.columns)))
+    else:
+        lists = lists.withColumn("_rc_nth", F.lit(1))
+    lists = lists.select(F.col("doc_id").alias("_rc_id"), F.col("text_key").alias("_rc_text"), F.col("source").alias("_rc_source"), "_rc_nth", "_rc_pieces")
+    keyed = keyed.withColumn("_rc_own", nth)
 
     @F.pandas_udf("array<string>")
     def stretches(text: pd.Series, pieces: pd.Series) -> pd.Series:
@@ -257,13 +302,8 @@ def mixed_documents(docs: DataFrame, weights: Sequence[float], volume_share: flo
             out.append([s for turn in sorted(turns) for s in cut_out(t or "", turns[turn])])
         return pd.Series(out, dtype=object)
 
-    keyed = docs.withColumn("_rc_key", F.xxhash64(F.coalesce(docs["text"], F.lit(""))))
-    if stream.groupBy("doc_id", "text_key").count().where("count > 1").take(1):
-        # The list of a text covers all its equal rows, so one of them stands for them.
-        keyed = keyed.dropDuplicates(["doc_id", "_rc_key", "source"])
-        first = F.row_number().over(Window.partitionBy("doc_id", "_rc_key").orderBy("source"))
-        keyed = keyed.withColumn("_rc_first", first).where("_rc_first = 1").drop("_rc_first")
-    joined = keyed.join(lists, keyed["doc_id"].eqNullSafe(lists["_rc_id"]) & (keyed["_rc_key"] == lists["_rc_text"]))
+    mine = keyed["doc_id"].eqNullSafe(lists["_rc_id"]) & (keyed["_rc_key"] == lists["_rc_text"]) & keyed["source"].eqNullSafe(lists["_rc_source"])
+    joined = keyed.join(lists, mine & (keyed["_rc_own"] == lists["_rc_nth"]))
     out = joined.withColumn("_rc_out", F.explode(stretches("text", "_rc_pieces")))
     new = {"text": F.col("_rc_out"), "n_chars": F.length("_rc_out").cast("long")}
     return out.select(*(new[c].alias(c) if c in new else F.col(c) for c in docs.columns))
