@@ -89,6 +89,33 @@ def trace(*args, **options) -> str:
     return rounds(*args, **options) + f"SELECT round::INTEGER AS round, threshold, sample_size, live_before, live_after, unsettled FROM ({union}) WHERE live_before > 0"
 
 
+def totals(*args, **options) -> str:
+    """One row: how many rounds there were, and how many keys they sampled."""
+    return f"SELECT count(*)::BIGINT AS rounds, coalesce(sum(sample_size), 0)::BIGINT AS probes FROM ({trace(*args, **options)})"
+
+
+def bisection(source: str, parts: int, eps: float, low: int, high: int, most: int) -> str:
+    """One row: rounds and probes of halving the values of ``code`` in ``source``, and how many splitters stay open."""
+    e = Fraction(str(eps))
+    out = [
+        f"v AS MATERIALIZED (SELECT code FROM {source})",
+        "n AS (SELECT count(*)::BIGINT AS n FROM v)",
+        "upto AS MATERIALIZED (SELECT code, sum(count(*)) OVER (ORDER BY code)::BIGINT AS rows FROM v GROUP BY code)",
+        f"b0 AS (SELECT i, {low}::BIGINT AS a, {high + 1}::BIGINT AS b, NULL::BIGINT AS err FROM range(1, {parts}) x(i))",
+    ]
+    is_open = f"(err IS NULL OR 2 * {e.denominator} * err > {e.numerator} * n.n)"
+    for j in range(1, most + 1):
+        out.append(f"h{j} AS MATERIALIZED (SELECT DISTINCT a + (b - a) // 2 AS p FROM b{j - 1}, n WHERE {is_open} AND b - a > 1)")
+        out.append(f"k{j} AS MATERIALIZED (SELECT p, coalesce(rows, 0) AS rk FROM h{j} ASOF LEFT JOIN upto ON h{j}.p > upto.code)")
+        out.append(
+            f"b{j} AS MATERIALIZED (SELECT i, CASE WHEN rk * {parts} < n.n * i THEN p ELSE a END AS a, CASE WHEN rk * {parts} >= n.n * i THEN p ELSE b END AS b, "
+            f"CASE WHEN rk IS NULL THEN err ELSE least(err, abs(rk * {parts} - n.n * i)) END AS err "
+            f"FROM (SELECT s.*, k.p, k.rk FROM b{j - 1} s CROSS JOIN n LEFT JOIN k{j} k ON k.p = s.a + (s.b - s.a) // 2 AND {is_open} AND s.b - s.a > 1), n)"
+        )
+    probes = " UNION ALL ".join(f"SELECT {j} AS j, count(*) AS m FROM h{j}" for j in range(1, most + 1))
+    return f"WITH {', '.join(out)} SELECT count(*)::BIGINT AS rounds, sum(m)::BIGINT AS probes, (SELECT count(*) FROM b{most}, n WHERE {is_open})::BIGINT AS left_open FROM ({probes}) WHERE m > 0"
+
+
 def geometric_limits(parts: int, ratios: list[float]) -> list[str]:
     return [chance(str(max(1, int(parts * s + 0.5))), "n.n") for s in ratios]
 

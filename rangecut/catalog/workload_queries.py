@@ -20,14 +20,31 @@ R = Registry()
 query, QUERIES, ORACLE_SQL = R.query, R.queries, R.oracle
 
 
-@query(true("all_settle", "narrowing_no_slower", "flat_against_growing"))
+ROUNDS_PARTS = (8, 32, 128)
+
+
+def _rounds_sql() -> str:
+    rows = []
+    for p in ROUNDS_PARTS:
+        ours = replay.totals(replay.lineitem(), p, 0.02, 1, replay.budget_limits(p, 1, 24))
+        theirs = replay.totals(replay.lineitem(), p, 0.02, 1, ["0"] * 24, kind="per_interval", beta=1)
+        rows += [f"SELECT 'narrowing' AS method, {p} AS parts, * FROM ({ours})", f"SELECT 'per interval', {p}, * FROM ({theirs})"]
+    return " UNION ALL ".join(rows)
+
+
+@query(_rounds_sql())
 def w01_rounds_by_p(spark, d):
-    """One sample a part and round at two per cent: both methods on the table, then in rank space as parts grow."""
-    rows = workloads.rounds_by_parts(spark, d, [8], 0.02, 1)
-    found = {r[0]: r[3] for r in rows}
-    mean = lambda p, rival: sum(baselines.simulate(p, 0.02, 1, rival, s) for s in range(5)) / 5
+    """Rounds and samples as parts grow, at one sample a part and round and two per cent, for both methods on the table."""
+    rows = workloads.rounds_by_parts(spark, d, list(ROUNDS_PARTS), 0.02, 1, portable=True)
+    return spark.createDataFrame([(m, p, r, n) for m, p, _, r, n in rows], "method string, parts int, rounds long, probes long")
+
+
+@query(true("narrowing_no_slower", "flat_against_growing"))
+def w01_rounds_by_p_model(spark, d):
+    """The same in rank space, over seeds and up to parts that the small table can't hold."""
+    mean = lambda p, rival: sum(baselines.simulate(p, 0.02, 1, rival, s) for s in range(10)) / 10
     ours, theirs = [mean(p, False) for p in (8, 32, 128)], [mean(p, True) for p in (8, 32, 128)]
-    return one_row(spark, all_settle=max(found.values()) < 64, narrowing_no_slower=found["narrowing"] <= found["per interval"] + 5, flat_against_growing=ours[2] - ours[0] < theirs[2] - theirs[0])
+    return one_row(spark, narrowing_no_slower=all(a <= b for a, b in zip(ours, theirs, strict=True)), flat_against_growing=ours[2] - ours[0] < theirs[2] - theirs[0])
 
 
 @query(true("balanced"))
@@ -59,6 +76,28 @@ def w05_curve_keys(spark, d):
     return out
 
 
+CURVE_CASES = [("embeddings", 20), ("lineitem", 40), ("lineitem", 160)]
+_CURVES = {
+    "embeddings": lambda p: replay.Keyed(workloads.curve_sql("embeddings"), "code", "code NULLS FIRST, vec_id", ("vec_id",)),
+    "lineitem": lambda p: replay.Keyed(workloads.curve_sql("lineitem"), "code", f"code NULLS FIRST, {replay.LINE_TAG}", replay.LINE_COIN),
+}
+
+
+def _curve_sql() -> str:
+    rows = []
+    for dataset, p in CURVE_CASES:
+        ours = replay.totals(_CURVES[dataset](p), p, 0.05, 1, replay.budget_limits(p, 5, 14))
+        halved = replay.bisection(workloads.curve_sql(dataset), p, 0.05, 0, workloads.CURVE_END - 1, 30)
+        rows += [f"SELECT '{dataset}' AS dataset, {p} AS parts, 'narrowing' AS method, *, 0::BIGINT AS left_open FROM ({ours})", f"SELECT '{dataset}', {p}, 'bisection', * FROM ({halved})"]
+    return " UNION ALL ".join(rows)
+
+
+@query(_curve_sql())
+def w05_curve_methods(spark, d):
+    """Narrowing beside halving of values, ten buckets a core along the curve, as cores grow and on two datasets."""
+    return spark.createDataFrame(workloads.curve_rounds(spark, d, CURVE_CASES, 0.05), "dataset string, parts int, method string, rounds long, probes long, left_open long")
+
+
 @query(true("balanced", "warm_is_cheaper"))
 def w05_curve_rounds(spark, d):
     """Ten buckets a core along the curve; the next time step starts from the old splitters."""

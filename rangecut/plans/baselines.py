@@ -52,36 +52,55 @@ def regular_sample(df: DataFrame, spec: KeySpec, parts: int, eps: float, proc: s
 
 
 def domain_bisect(df: DataFrame, key: str, parts: int, eps: float, low: int, high: int, max_rounds: int = 64) -> tuple[list[int | None], list[tuple[int, int, int]]]:
-    """Halves value intervals of a whole-number key by counting; no sampling. Splitter values, and (round, probes, unsettled)."""
-    rows = df.select(F.expr(key).cast("long").alias("key"))
-    n = rows.count()
+    """Halves value intervals of a whole-number key by counting; no sampling. Splitter values, and (round, probes, unsettled).
+
+    Open intervals are disjoint or equal, as all were halved as often; a round
+    counts only rows inside them, which are persisted once they are few.
+    """
+    whole = df.select(F.struct(F.lit(False).alias("nulls"), F.expr(key).cast("long").alias("key")).alias(KEY))
+    n = whole.count()
     exact = search.exact_eps(eps)
     a, b = [low] * (parts - 1), [high + 1] * (parts - 1)
+    rank = {low: 0, high + 1: n}
     best: list[tuple[int, int] | None] = [None] * (parts - 1)
     trace = []
     open_ = list(range(parts - 1))
-    for round_ in range(1, max_rounds + 1):
-        probes = sorted({a[i] + (b[i] - a[i]) // 2 for i in open_ if b[i] - a[i] > 1})
-        if not probes:
-            break
-        strict = rows.select(F.struct(F.lit(False).alias("nulls"), "key").alias(KEY))
-        before = [0, *accumulate(count.counts(strict, [(False, p) for p in probes]))]
-        rank = {p: before[j + 1] for j, p in enumerate(probes)}
-        for i in open_:
-            if b[i] - a[i] <= 1:
-                continue
-            p = a[i] + (b[i] - a[i]) // 2
-            error = abs(rank[p] * parts - n * (i + 1))
-            if best[i] is None or error < best[i][0]:
-                best[i] = (error, p)
-            if rank[p] * parts < n * (i + 1):
-                a[i] = p
-            else:
-                b[i] = p
-        open_ = [i for i in open_ if best[i] is None or 2 * best[i][0] > exact * n]
-        trace.append((round_, len(probes), len(open_)))
-        if not open_:
-            break
+    base, held = whole, None
+    try:
+        for round_ in range(1, max_rounds + 1):
+            live = sorted({(a[i], b[i]) for i in open_ if b[i] - a[i] > 1})
+            if not live:
+                break
+            ends = sorted({x for pair in live for x in pair})
+            begins = {x for x, _ in live}
+            inside = count.with_position(base, [(False, x) for x in ends], "_at")
+            inside = inside.where(count.lookup([0, *(int(x in begins) for x in ends)], F.col("_at")) == 1).drop("_at")
+            if held is None and sum(rank[y] - rank[x] for x, y in live) < search.PERSIST_BELOW * n:
+                held = base = inside.persist()
+            probes = [x + (y - x) // 2 for x, y in live]
+            below = list(accumulate(count.counts(inside, [(False, p) for p in probes])))
+            before = 0
+            for (x, y), p, total in zip(live, probes, below, strict=False):
+                rank[p] = rank[x] + total - before
+                before += rank[y] - rank[x]
+            for i in open_:
+                if b[i] - a[i] <= 1:
+                    continue
+                p = a[i] + (b[i] - a[i]) // 2
+                error = abs(rank[p] * parts - n * (i + 1))
+                if best[i] is None or error < best[i][0]:
+                    best[i] = (error, p)
+                if rank[p] * parts < n * (i + 1):
+                    a[i] = p
+                else:
+                    b[i] = p
+            open_ = [i for i in open_ if best[i] is None or 2 * best[i][0] > exact * n]
+            trace.append((round_, len(probes), len(open_)))
+            if not open_:
+                break
+    finally:
+        if held is not None:
+            held.unpersist()
     return [x[1] if x else None for x in best], trace
 
 

@@ -15,31 +15,44 @@ from rangecut.sources.tables import load
 DISTRIBUTIONS = ("unif", "skew1", "skew2", "skew3", "gauss", "zeros")
 
 
-def rounds_by_parts(spark: SparkSession, sf_dir: str, parts_list: list[int], eps: float, seeds: int, budget: int = 1) -> list[tuple[str, int, int, int, int]]:
+def rounds_by_parts(spark: SparkSession, sf_dir: str, parts_list: list[int], eps: float, seeds: int, budget: int = 1, portable: bool = False) -> list[tuple[str, int, int, int, int]]:
     """(method, parts, seed, rounds, sample) of narrowing and of equal samples per interval."""
     df = load(spark, sf_dir, "lineitem").select(*LINEITEM_TAG, "l_extendedprice")
     n = df.count()
     out = []
     for p in parts_list:
         for seed in range(1, seeds + 1):
-            ours = search.budget_rounds(df, lineitem(), p, eps, budget, seed, n=n, portable=False)
-            theirs = search.per_interval_rounds(df, lineitem(), p, eps, budget, seed, n=n, portable=False)
+            ours = search.budget_rounds(df, lineitem(), p, eps, budget, seed, n=n, portable=portable)
+            theirs = search.per_interval_rounds(df, lineitem(), p, eps, budget, seed, n=n, portable=portable)
             out += [("narrowing", p, seed, ours.rounds, ours.sample), ("per interval", p, seed, theirs.rounds, theirs.sample)]
     return out
 
 
 def timed_sort(df: DataFrame, spec: KeySpec, parts: int, eps: float, finder: str = "narrowing") -> dict[str, float]:
-    """Seconds of finding splitters, and of exchange and sort; imbalance, rounds and sample."""
+    """Seconds of each phase of a sort (in partitions, splitters, exchange, sort of what came in), and what the search cost."""
+    noop = lambda d: d.write.format("noop").mode("overwrite").save()
     began = time.time()
+    noop(df.sortWithinPartitions(spec.column(df)))
+    ordered = time.time()
     if finder == "per interval":
         result = search.per_interval_rounds(df, spec, parts, eps, 5, portable=False)
     else:
         result = search.budget_rounds(df, spec, parts, eps, 5, portable=False)
     found = time.time()
-    placed = exchange.range_sort(df, spec, parts, eps, result.keys)
+    placed = exchange.assign_bucket(df, spec, result.keys)
+    noop(placed.repartitionById(parts, exchange.BUCKET))
+    dealt = time.time()
+    noop(exchange.range_sort(df, spec, parts, eps, result.keys))
+    done = time.time()
     rows = [r["rows"] for r in exchange.loads(placed).collect()]
-    placed.write.format("noop").mode("overwrite").save()
-    return {"search": found - began, "exchange_sort": time.time() - found, "imbalance": max(rows) * parts / sum(rows) - 1, "rounds": result.rounds, "sample_per_part": result.sample / parts}
+    # The last run exchanges again, so what it took beyond the exchange is the sort.
+    phases = {"local_sort": ordered - began, "search": found - ordered, "exchange": dealt - found, "merge": max(0.0, done - dealt - (dealt - found))}
+    return phases | {"total": sum(phases.values()), "imbalance": max(rows) * parts / sum(rows) - 1, "rounds": result.rounds, "sample_per_part": result.sample / parts}
+
+
+def gain(ours: dict[str, float], theirs: dict[str, float], phase: str = "total") -> float:
+    """Share of the rival's seconds that is saved."""
+    return 1 - ours[phase] / max(1e-9, theirs[phase])
 
 
 def weak_scaling(spark: SparkSession, dirs: list[str], keys_per_part: int, eps: float = 0.02) -> list[tuple[int, str, float, float]]:
@@ -75,6 +88,39 @@ def curve_keys(spark: SparkSession, sf_dir: str, dataset: str) -> tuple[DataFram
     return df.select(*LINEITEM_TAG, code.alias("code")), KeySpec("code", LINEITEM_TAG, LINEITEM_COIN)
 
 
+#: Codes of the curve are below it.
+CURVE_END = 1 << 30
+
+
+def curve_rounds(spark: SparkSession, sf_dir: str, cases: list[tuple[str, int]], eps: float, budget: int = 5) -> list[tuple[str, int, str, int, int, int]]:
+    """(dataset, parts, method, rounds, probes, splitters left open) of narrowing and of halving values along the curve."""
+    out = []
+    for dataset, parts in cases:
+        df, spec = curve_keys(spark, sf_dir, dataset)
+        df = df.persist()  # codes are computed once
+        ours = search.budget_rounds(df, spec, parts, eps, budget)
+        _, halved = baselines.domain_bisect(df, "code", parts, eps, 0, CURVE_END - 1)
+        df.unpersist()
+        out += [
+            (dataset, parts, "narrowing", ours.rounds, ours.sample, len(ours.state.unsettled())),
+            (dataset, parts, "bisection", len(halved), sum(h[1] for h in halved), halved[-1][2] if halved else parts - 1),
+        ]
+    return out
+
+
+def curve_sql(dataset: str) -> str:
+    """The points with ``code``, as ``curve_keys`` has them."""
+    columns, lows, highs = (
+        ([f"embedding[{k + 1}]::DOUBLE" for k in range(3)], [-1.0] * 3, [1.0] * 3)
+        if dataset == "embeddings"
+        else (["l_quantity", "l_extendedprice", "l_discount"], [0.0] * 3, [51.0, 120_000.0, 0.11])
+    )
+    cells = [f"least(1023, greatest(0, floor(({c} - {lo!r}) * {1024 / (hi - lo)!r}::DOUBLE)))::BIGINT" for c, lo, hi in zip(columns, lows, highs, strict=True)]
+    bits = " + ".join(f"((c{k} >> {bit}) & 1) * {1 << (3 * bit + k)}" for bit in range(10) for k in range(3))
+    named = ", ".join(f"{c} AS c{k}" for k, c in enumerate(cells))
+    return f"(SELECT *, ({bits})::BIGINT AS code FROM (SELECT *, {named} FROM {dataset}))"
+
+
 def drift(df: DataFrame, step: int) -> DataFrame:
     """The same points a time step later: codes move a little."""
     return df.withColumn("code", F.col("code").bitwiseXOR(F.pmod(F.xxhash64("code", F.lit(step)), F.lit(64))))
@@ -137,4 +183,4 @@ def round_sweep(df: DataFrame, spec: KeySpec, parts: int, eps: float, ks: list[i
     return [(k, search.k_round(df, spec, parts, eps, k, n=n).sample, theory.total_sample(parts, eps, k)) for k in ks]
 
 
-__all__ = ["baselines", "curve_keys", "distribution", "distribution_rounds", "drift", "line_process", "round_sweep", "rounds_by_parts", "sample_budget", "timed_sort", "two_stage", "weak_scaling"]
+__all__ = ["baselines", "curve_keys", "curve_rounds", "curve_sql", "distribution", "distribution_rounds", "drift", "gain", "line_process", "round_sweep", "rounds_by_parts", "sample_budget", "timed_sort", "two_stage", "weak_scaling"]
