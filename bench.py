@@ -69,7 +69,19 @@ def main() -> None:
     timed("exchange_and_sort", lambda: noop(exchange.range_sort(df, spec, parts, eps, ours.keys)))
     timed("platform_sort", lambda: noop(df.orderBy(spec.column(df))))
     staged = timed("two_stage_search", lambda: workloads.two_stage(spark, SF_DIR, 64, 8, 0.02))
-    facts["two_stage_rounds"] = sum(staged[1])
+    rival_staged = timed("two_stage_per_interval", lambda: workloads.two_stage(spark, SF_DIR, 64, 8, 0.02, "per_interval"))
+    facts |= {"two_stage_rounds": sum(staged[1]), "two_stage_rounds_per_interval": sum(rival_staged[1])}
+    curve, along = workloads.curve_keys(spark, SF_DIR, "lineitem")
+    curve = curve.repartition(2 * int(CPUS)).persist()
+    curve.count()
+    curved = timed("curve_narrowing", lambda: search.budget_rounds(curve, along, 80, 0.05, 5, portable=False))
+    _, halved = timed("curve_value_bisection", lambda: baselines.domain_bisect(curve, "code", 80, 0.05, 0, workloads.CURVE_END - 1))
+    facts |= {"curve_narrowing_rounds": curved.rounds, "curve_bisection_rounds": len(halved), "curve_gain_over_bisection": 1 - seconds["curve_narrowing"] / seconds["curve_value_bisection"]}
+    curve.unpersist()
+    phases = {m: workloads.timed_sort(df, spec, parts, eps, m) for m in ("narrowing", "per interval")}
+    for m, found in phases.items():
+        facts |= {f"{m.replace(' ', '_')}_{phase}_seconds": found[phase] for phase in ("local_sort", "search", "exchange", "merge", "total")}
+    facts["sort_gain_over_per_interval"] = workloads.gain(phases["narrowing"], phases["per interval"])
     facts["warm_start_rounds"] = timed("warm_start", lambda: search.warm_start(df, spec, ours.keys, parts, eps)).rounds
     timed("exact_quantiles", lambda: quantiles.exact_quantiles(df, spec, [0.01, 0.5, 0.99]))
     timed("global_row_number", lambda: noop(windows.row_number(df, spec, 16)))
