@@ -359,7 +359,7 @@ def m27_approx_rank_error(spark, d):
 def m28_narrow_on_rep(spark, d):
     df, rep = _rep(spark, d, theory.representative_keys(4, 0.1))
     n = df.count()
-    state = approx.narrow_on_rep(df, orders(), rep.persist(), n, 4, 0.1)
+    state = approx.narrow_on_rep(orders(), rep.persist(), n, 4, 0.1)
     chosen = [state.choice(i) for i in range(3)]
     before = list(accumulate(count.counts(orders().strict(df), [p.key for p in chosen])))
     off = max(abs(before[i] * 4 - n * (i + 1)) for i in range(3))

@@ -35,7 +35,7 @@ def shared_splitters(a: DataFrame, b: DataFrame, on: str, parts: int, coin_a: st
 
 
 def co_range_join(a: DataFrame, b: DataFrame, on: str, parts: int, coin_a: str, coin_b: str, how: str = "inner") -> DataFrame:
-    """Both sides in the same ranges of the key, then a merge join inside ranges: the output is in key order by bucket."""
+    """Both sides get the same ranges of the key, and a merge join takes range and key; the order of its output is not promised."""
     bounds = [(True, k) for k in shared_splitters(a, b, on, parts, coin_a, coin_b)]
     bare = KeySpec(on)
     left = exchange.assign_bucket(a, bare, bounds)

@@ -107,11 +107,12 @@ def weighted_split(df: DataFrame, key_columns: list[str], weight: str, parts: in
 
 
 def run_lengths(df: DataFrame, spec: KeySpec, parts: int = 8) -> DataFrame:
-    """key and rows, from ranges that don't split equal keys: no hash table as large as the keys."""
+    """key and rows, in the order of the keys by range. Rows are counted before they move, so a hot key costs a row a task."""
     keys = sorted({k[1] for k in exchange.find(df, spec, parts)})
     bare = KeySpec(spec.key)
     placed = exchange.assign_bucket(df.where(F.expr(spec.key).isNotNull()), bare, [(True, k) for k in keys])
-    return placed.select(F.expr(spec.key).alias("key"), BUCKET).repartitionById(max(1, parts), BUCKET).sortWithinPartitions("key").groupBy(BUCKET, "key").agg(F.count(F.lit(1)).alias("rows")).drop(BUCKET)
+    counted = placed.groupBy(BUCKET, F.expr(spec.key).alias("key")).agg(F.count(F.lit(1)).alias("rows"))
+    return counted.repartitionById(max(1, parts), BUCKET).sortWithinPartitions(BUCKET, "key").drop(BUCKET)
 
 
 def prefix_counts(df: DataFrame, spec: KeySpec, keys: list) -> list[int]:

@@ -38,37 +38,67 @@ def row_number(df: DataFrame, spec: KeySpec, parts: int = 8, out: str = "row_num
     return placed.withColumn(out, inside).join(F.broadcast(before), F.col(BUCKET) == F.col("_b")).withColumn(out, F.col(out) + F.col("_before")).drop("_b", "_before", BUCKET)
 
 
-def _by_key(df: DataFrame, spec: KeySpec, parts: int) -> tuple[DataFrame, DataFrame]:
-    numbered = row_number(df, spec, parts, "_rn").withColumn("_k", F.expr(spec.key))
-    keys = numbered.groupBy("_k").agg(F.min("_rn").alias("_first"), F.max("_rn").alias("_last"))
-    return numbered, keys
+def _stepped(df: DataFrame, spec: KeySpec, parts: int) -> tuple[DataFrame, int]:
+    """Rows with ``_first``, ``_last`` and ``_dense``, the places of their key's run of ties, and the number of rows.
 
-
-def _joined(numbered: DataFrame, keys: DataFrame) -> DataFrame:
-    other = keys.withColumnRenamed("_k", "_k2")
-    return numbered.join(other, F.col("_k").eqNullSafe(F.col("_k2"))).drop("_k2")
+    A run may span ranges, so no task ever gets more than a range: places are
+    counted inside ranges, and a range whose lowest key goes on from the range
+    before takes over that run's start, its end the other way round.
+    """
+    order = F.struct(F.col("_k.nulls"), F.col("_k.key"))
+    placed = ranges(df, spec, parts).withColumn("_k", KeySpec(spec.key, nulls_first=spec.nulls_first).column(df))
+    by_key = Window.partitionBy(BUCKET).orderBy(order)
+    local = (
+        placed.withColumn("_first", F.rank().over(by_key).cast("long"))
+        .withColumn("_dense", F.dense_rank().over(by_key).cast("long"))
+        .withColumn("_last", F.count(F.lit(1)).over(by_key.rangeBetween(Window.unboundedPreceding, 0)))
+    )
+    ends = placed.groupBy(F.col(BUCKET).alias("b")).agg(F.min(order).alias("lo"), F.max(order).alias("hi"), F.count(F.lit(1)).alias("n"))
+    steps = local.groupBy(F.col(BUCKET).alias("b")).agg(F.max("_first").alias("hi_first"), F.min("_last").alias("lo_last"), F.max("_dense").alias("keys"))
+    joins_on = F.lag("hi").over(Window.orderBy("b")).eqNullSafe(F.col("lo"))  # a row for each range
+    found = ends.withColumn("goes_on", joins_on).join(steps, "b").select("b", "n", "goes_on", "hi_first", "lo_last", "keys").collect()
+    found.sort(key=lambda r: r.b)
+    before = list(accumulate((r.n for r in found), initial=0))
+    starts, firsts, dense, seen = [], [], [], 0
+    for i, r in enumerate(found):
+        starts.append(firsts[-1] if r.goes_on else before[i] + 1)
+        firsts.append(starts[-1] if r.hi_first == 1 else before[i] + r.hi_first)
+        dense.append(seen - (1 if r.goes_on else 0))
+        seen = dense[-1] + r["keys"]
+    stops, lasts = [0] * len(found), [0] * len(found)
+    for i in reversed(range(len(found))):
+        r = found[i]
+        stops[i] = lasts[i + 1] if i + 1 < len(found) and found[i + 1].goes_on else before[i + 1]
+        lasts[i] = stops[i] if r.lo_last == r.n else before[i] + r.lo_last
+    rows = [(r.b, r.n, before[i], starts[i], stops[i], dense[i]) for i, r in enumerate(found)]
+    table = placed.sparkSession.createDataFrame(rows, "_b int, _n long, _before long, _start long, _stop long, _keys long")
+    whole = (
+        local.join(F.broadcast(table), F.col(BUCKET) == F.col("_b"))
+        .withColumn("_first", F.when(F.col("_first") == 1, F.col("_start")).otherwise(F.col("_first") + F.col("_before")))
+        .withColumn("_last", F.when(F.col("_last") == F.col("_n"), F.col("_stop")).otherwise(F.col("_last") + F.col("_before")))
+        .withColumn("_dense", F.col("_dense") + F.col("_keys"))
+    )
+    return whole.select(*df.columns, "_first", "_last", "_dense"), before[-1]
 
 
 def rank(df: DataFrame, spec: KeySpec, parts: int = 8, out: str = "rank") -> DataFrame:
-    numbered, keys = _by_key(df, spec, parts)
-    return _joined(numbered, keys).withColumn(out, F.col("_first")).drop("_rn", "_k", "_first", "_last")
+    stepped, _ = _stepped(df, spec, parts)
+    return stepped.select(*df.columns, F.col("_first").alias(out))
 
 
 def dense_rank(df: DataFrame, spec: KeySpec, parts: int = 8, out: str = "dense_rank") -> DataFrame:
-    numbered, keys = _by_key(df, spec, parts)
-    counted = row_number(keys, KeySpec("_k", coin=("_first",), nulls_first=spec.nulls_first), parts, out)
-    return _joined(numbered, counted).drop("_rn", "_k", "_first", "_last")
+    stepped, _ = _stepped(df, spec, parts)
+    return stepped.select(*df.columns, F.col("_dense").alias(out))
 
 
 def percent_rank(df: DataFrame, spec: KeySpec, parts: int = 8, out: str = "percent_rank") -> DataFrame:
-    n = df.count()
-    return rank(df, spec, parts, "_rank").withColumn(out, F.when(F.lit(n) > 1, (F.col("_rank") - 1) / F.lit(max(1, n - 1))).otherwise(0.0)).drop("_rank")
+    stepped, n = _stepped(df, spec, parts)
+    return stepped.select(*df.columns, ((F.col("_first") - 1) / F.lit(float(max(1, n - 1)))).alias(out))
 
 
 def cume_dist(df: DataFrame, spec: KeySpec, parts: int = 8, out: str = "cume_dist") -> DataFrame:
-    n = df.count()
-    numbered, keys = _by_key(df, spec, parts)
-    return _joined(numbered, keys).withColumn(out, F.col("_last") / F.lit(max(1, n))).drop("_rn", "_k", "_first", "_last")
+    stepped, n = _stepped(df, spec, parts)
+    return stepped.select(*df.columns, (F.col("_last") / F.lit(max(1, n))).alias(out))
 
 
 def ntile(df: DataFrame, spec: KeySpec, tiles: int, parts: int = 8, out: str = "ntile") -> DataFrame:

@@ -31,17 +31,19 @@ def approx_rank(rep: DataFrame, keys: list) -> list[int]:
     return list(accumulate(found.get(i, 0) for i in range(len(keys))))
 
 
-def narrow_on_rep(df: DataFrame, spec: KeySpec, rep: DataFrame, n: int, parts: int, eps: float, budget: int = 5, seed: int = 1, max_rounds: int = 64) -> SplitState:
-    """Rounds of narrowing whose ranks come from ``rep`` only; true ranks are then within twice the representatives' error."""
-    strict = spec.strict(df)
+def narrow_on_rep(spec: KeySpec, rep: DataFrame, n: int, parts: int, eps: float, budget: int = 5, seed: int = 1, max_rounds: int = 64) -> SplitState:
+    """Rounds of narrowing that draw from and count in ``rep`` only, never in the table; true ranks are then within twice the representatives' error."""
     state = SplitState(n, parts, search.exact_eps(eps), full_width=True)
+    drawn = rep.withColumn("_tag", F.xxhash64(KEY))
+    share = Fraction(rep.count(), max(1, n))
     for round_ in range(1, max_rounds + 1):
         live = state.live()
         if not live or not state.unsettled():
             break
-        inside = search.live_rows(strict, live, n)
-        below = coin.threshold(budget * parts, max(1, state.live_size()))
-        keys = [r[KEY] for r in inside.where(coin.draw(spec.coin, seed, round_, portable=False) < below).select(KEY).orderBy(KEY).collect()]
+        inside = search.live_rows(drawn, live, n)
+        # A representative stands for 1 / share keys.
+        below = coin.threshold(budget * parts * share.denominator, max(1, state.live_size() * share.numerator))
+        keys = [r[KEY] for r in inside.where(coin.draw(("_tag",), seed, round_, portable=False) < below).select(KEY).orderBy(KEY).collect()]
         if keys:
             ranks = list(accumulate(approx_rank(rep, keys), max))
             state.narrow([Probe(r, k) for r, k in zip(ranks, keys, strict=True)])
