@@ -121,31 +121,16 @@ def o_skew_join(spark, d):
     return out.select("l_orderkey", "l_linenumber", "l_partkey", "meaning")
 
 
-@query("SELECT l.event_id, r.value AS asof_value FROM (SELECT * FROM events WHERE event_id % 3 = 0) l ASOF LEFT JOIN (SELECT * FROM events WHERE event_id % 3 = 1) r ON l.user_id = r.user_id AND l.ts >= r.ts")
-def o_asof_join(spark, d):
-    e = load(spark, d, "events").select("event_id", "ts", "user_id", "value")
-    out = joins.asof_join(e.where("event_id % 3 = 0"), e.where("event_id % 3 = 1"), "ts", "user_id", "value", ["event_id"])
-    return out.select("event_id", "asof_value")
-
-
 @query("SELECT l.event_id, r.value AS asof_value FROM events l ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') r ON l.user_id = r.user_id AND l.ts >= r.ts")
-def o_asof_join_whole(spark, d):
+def o_asof_join(spark, d):
     """Every event with its user's last purchase so far."""
     e = load(spark, d, "events").select("event_id", "ts", "user_id", "event_type", "value")
     out = joins.asof_join(e.drop("event_type"), e.where("event_type = 'purchase'").drop("event_type"), "ts", "user_id", "value", ["event_id"])
     return out.select("event_id", "asof_value")
 
 
-@query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.event_id % 5 = 0 AND b.event_id % 7 = 0 AND a.ts <= b.ts + INTERVAL 40 SECOND AND b.ts <= a.ts + INTERVAL 60 SECOND")
-def o_interval_join(spark, d):
-    e = load(spark, d, "events").select("event_id", "ts")
-    a = e.where("event_id % 5 = 0").select(F.col("event_id").alias("a"), F.col("ts").alias("a_lo"), F.expr("ts + INTERVAL 60 SECONDS").alias("a_hi"))
-    b = e.where("event_id % 7 = 0").select(F.col("event_id").alias("b"), F.col("ts").alias("b_lo"), F.expr("ts + INTERVAL 40 SECONDS").alias("b_hi"))
-    return joins.interval_join(a, b, "a_lo", "a_hi", "b_lo", "b_hi", 8, KeySpec("a_lo", ("a",), ("a",))).select("a", "b")
-
-
 @query("SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.ts <= b.ts + INTERVAL 40 SECOND AND b.ts <= a.ts + INTERVAL 60 SECOND")
-def o_interval_join_whole(spark, d):
+def o_interval_join(spark, d):
     """All events on both sides."""
     e = load(spark, d, "events").select("event_id", "ts")
     a = e.select(F.col("event_id").alias("a"), F.col("ts").alias("a_lo"), F.expr("ts + INTERVAL 60 SECONDS").alias("a_hi"))
@@ -165,15 +150,8 @@ def o_anti_join(spark, d):
     return load(spark, d, "customer").join(o, F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey")
 
 
-@query("SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_custkey % 2 = 0) FULL JOIN (SELECT * FROM orders WHERE o_orderkey % 10 = 0) ON c_custkey = o_custkey")
-def o_outer_join(spark, d):
-    c = load(spark, d, "customer").where("c_custkey % 2 = 0").select("c_custkey", F.col("c_custkey").alias("k"))
-    o = load(spark, d, "orders").where("o_orderkey % 10 = 0").select("o_orderkey", F.col("o_custkey").alias("k"))
-    return joins.co_range_join(c, o, "k", 8, "c_custkey", "o_orderkey", "full").select("c_custkey", "o_orderkey")
-
-
 @query("SELECT c_custkey, o_orderkey FROM customer FULL JOIN orders ON c_custkey = o_custkey")
-def o_outer_join_whole(spark, d):
+def o_outer_join(spark, d):
     c = load(spark, d, "customer").select("c_custkey", F.col("c_custkey").alias("k"))
     o = load(spark, d, "orders").select("o_orderkey", F.col("o_custkey").alias("k"))
     return joins.co_range_join(c, o, "k", 8, "c_custkey", "o_orderkey", "full").select("c_custkey", "o_orderkey")
@@ -341,51 +319,29 @@ def o_range_counts(spark, d):
     return spark.createDataFrame(quantiles.count_between(load(spark, d, "orders"), "o_totalprice", BOUNDS), "low double, high double, rows long")
 
 
-_A, _B = "SELECT l_partkey % 50 AS k FROM lineitem WHERE l_orderkey % 5 = 0", "SELECT o_custkey % 70 AS k FROM orders WHERE o_orderkey % 3 = 0"
+_PARTS, _CUSTOMERS = "SELECT l_partkey AS k FROM lineitem", "SELECT o_custkey AS k FROM orders"
 
 
 def _sides(spark, d):
-    return load(spark, d, "lineitem").where("l_orderkey % 5 = 0").select((F.col("l_partkey") % 50).alias("k")), load(spark, d, "orders").where("o_orderkey % 3 = 0").select((F.col("o_custkey") % 70).alias("k"))
+    return load(spark, d, "lineitem").select(F.col("l_partkey").alias("k")), load(spark, d, "orders").select(F.col("o_custkey").alias("k"))
 
 
-@query(f"{_A} UNION {_B}")
+@query(f"{_PARTS} UNION {_CUSTOMERS}")
 def o_union(spark, d):
+    """All keys of both tables, inside shared ranges."""
     return joins.ranged_set(*_sides(spark, d), "union")
 
 
-@query(f"{_A} INTERSECT ALL {_B}")
+@query(f"{_PARTS} INTERSECT ALL {_CUSTOMERS}")
 def o_intersect(spark, d):
     return joins.ranged_set(*_sides(spark, d), "intersect", all_rows=True)
 
 
-@query(f"{_A} EXCEPT ALL {_B}")
+@query(f"{_PARTS} EXCEPT ALL {_CUSTOMERS}")
 def o_except(spark, d):
     return joins.ranged_set(*_sides(spark, d), "except", all_rows=True)
 
 
-_PARTS, _CUSTOMERS = "SELECT l_partkey AS k FROM lineitem", "SELECT o_custkey AS k FROM orders"
-
-
-def _whole_sides(spark, d):
-    return load(spark, d, "lineitem").select(F.col("l_partkey").alias("k")), load(spark, d, "orders").select(F.col("o_custkey").alias("k"))
-
-
-@query(f"{_PARTS} UNION {_CUSTOMERS}")
-def o_union_whole(spark, d):
-    """All keys of both tables, inside shared ranges."""
-    return joins.ranged_set(*_whole_sides(spark, d), "union")
-
-
-@query(f"{_PARTS} INTERSECT ALL {_CUSTOMERS}")
-def o_intersect_whole(spark, d):
-    return joins.ranged_set(*_whole_sides(spark, d), "intersect", all_rows=True)
-
-
-@query(f"{_PARTS} EXCEPT ALL {_CUSTOMERS}")
-def o_except_whole(spark, d):
-    return joins.ranged_set(*_whole_sides(spark, d), "except", all_rows=True)
-
-
 @query("SELECT DISTINCT md5(text) AS digest FROM documents")
 def o_range_distinct(spark, d):
     """Exact copies among long strings: ranges of the text's own order, equal texts in one."""
@@ -399,10 +355,18 @@ def o_url_sort_key(spark, d):
     return windows.row_number(pages, KeySpec("host", ("url", "page_id"), ("page_id",)), 4, "place").select("page_id", F.col("place").cast("long").alias("place"))
 
 
-@query("SELECT date_trunc('month', o_orderdate)::DATE AS month, count(*)::BIGINT AS rows FROM orders GROUP BY 1")
+_MONTHS = "SELECT DISTINCT date_trunc('month', o_orderdate)::DATE AS cut FROM (SELECT o_orderdate, row_number() OVER (ORDER BY o_orderdate, o_orderkey) - 1 AS r, count(*) OVER () AS n FROM orders) JOIN range(1, 8) x(i) ON r = n * i // 8"
+
+
+@query(f"WITH c AS ({_MONTHS}), b AS (SELECT o_orderdate, (SELECT count(*) FROM c WHERE cut <= o_orderdate) AS bucket FROM orders) SELECT bucket::INTEGER AS bucket, count(*)::BIGINT AS rows, min(date_trunc('month', o_orderdate))::DATE AS first_month, max(date_trunc('month', o_orderdate))::DATE AS last_month FROM b GROUP BY bucket")
 def o_month_splitters(spark, d):
-    """Splitters on dates, snapped to months: loads by calendar month."""
-    return load(spark, d, "orders").groupBy(F.trunc(F.col("o_orderdate").cast("date"), "month").alias("month")).agg(F.count("*").alias("rows"))
+    """Splitters of the dates, moved back to the beginnings of their months: loads of whole months."""
+    df = load(spark, d, "orders").select("o_orderkey", "o_orderdate")
+    month = F.trunc(F.col("o_orderdate").cast("date"), "month")
+    found = search.exact_split(df, KeySpec("o_orderdate", ("o_orderkey",), ("o_orderkey",)), 8)
+    cuts = sorted({p.key[1].date().replace(day=1) for p in found})
+    placed = exchange.assign_bucket(df.withColumn("month", month), KeySpec("month"), [(True, c) for c in cuts], "bucket")
+    return placed.groupBy("bucket").agg(F.count("*").alias("rows"), F.min("month").alias("first_month"), F.max("month").alias("last_month"))
 
 
 _CELL = "least(1023, greatest(0, floor({} * {})))::BIGINT"
@@ -445,17 +409,8 @@ def o_udaf_counts(spark, d):
     return load(spark, d, "orders").groupBy("o_orderstatus").agg(udfs.range_counts_udaf(BOUNDS)("o_totalprice").alias("counts"))
 
 
-@query("WITH s AS (SELECT o_totalprice AS k, row_number() OVER (ORDER BY o_totalprice) - 1 AS r, count(*) OVER () AS n FROM orders WHERE o_orderkey % 100 = 0) SELECT i::INTEGER AS i, k AS split_key FROM range(1, 8) x(i) JOIN s ON r = n * i // 8")
-def o_udtf_splitters(spark, d):
-    """A table function over a bounded sample's array."""
-    sample = load(spark, d, "orders").where("o_orderkey % 100 = 0").agg(F.collect_list("o_totalprice").alias("keys"))
-    spark.udtf.register("rangecut_cut", udfs.split_points())
-    sample.createOrReplaceTempView("rangecut_sample")
-    return spark.sql("SELECT t.i, t.split_key FROM rangecut_sample, LATERAL rangecut_cut(keys, 8) t")
-
-
 @query("WITH s AS (SELECT o_totalprice AS k, row_number() OVER (ORDER BY o_totalprice) - 1 AS r, count(*) OVER () AS n FROM orders) SELECT i::INTEGER AS i, k AS split_key FROM range(1, 8) x(i) JOIN s ON r = n * i // 8")
-def o_udtf_splitters_whole(spark, d):
+def o_udtf_splitters(spark, d):
     """The table function over eight keys of known ranks among all rows, however many there are."""
     df = load(spark, d, "orders")
     n = df.count()
@@ -465,13 +420,12 @@ def o_udtf_splitters_whole(spark, d):
     return spark.sql("SELECT t.i, t.split_key FROM rangecut_ranked, LATERAL rangecut_cut(keys, 8) t")
 
 
-@query(f"SELECT bucket, count(*)::BIGINT AS rows FROM ({_BUCKETS}) GROUP BY bucket")
+@query(" UNION ALL ".join(f"SELECT {i} AS i, {b}::DOUBLE AS split_key, count(*) FILTER (WHERE o_totalprice < {b})::BIGINT AS rank FROM orders" for i, b in enumerate(BOUNDS, 1)))
 def o_sql_rank(spark, d):
-    df = load(spark, d, "orders")
-    placed = df.select(udfs.bucket_udf(BOUNDS)("o_totalprice").alias("bucket"))
+    """Ranks of the splitters in SQL: the loads of the buckets below them."""
+    placed = load(spark, d, "orders").select(udfs.bucket_udf(BOUNDS)("o_totalprice").alias("bucket"))
     udfs.register(spark, BOUNDS, placed, "oq")
-    df.createOrReplaceTempView("oq_orders")
-    return spark.sql("SELECT oq_bucket(o_totalprice) AS bucket, count(*) AS rows FROM oq_orders GROUP BY 1")
+    return spark.sql("SELECT i, split_key, sum(l.rows) AS rank FROM oq_splitters JOIN oq_loads l ON l.bucket < i GROUP BY i, split_key")
 
 
 @query("WITH c AS (SELECT doc_id, n_chars, sum(n_chars) OVER (ORDER BY n_chars, doc_id) AS s, sum(n_chars) OVER () AS t FROM documents) SELECT doc_id, least(7, (2 * s - n_chars) * 8 // (2 * t))::INTEGER AS shard FROM c")
@@ -492,9 +446,13 @@ def o_conv_sort(spark, d):
     return spark.createDataFrame([(spans.where("n > 1").count() == 0, all(a.hi < b.lo for a, b in zip(ends, ends[1:], strict=False)), spans.count())], "whole boolean, ordered boolean, conversations long")
 
 
-@query("SELECT quality, count(*)::BIGINT AS documents, count(*) FILTER (WHERE toxic = 1)::BIGINT AS toxic FROM documents JOIN labels USING (doc_id) GROUP BY quality")
+@query("WITH t AS (SELECT doc_id, (row_number() OVER (ORDER BY n_chars, doc_id) * 4 - 1) // count(*) OVER () AS bucket FROM documents) SELECT bucket::INTEGER AS bucket, quality, count(*)::BIGINT AS documents, count(*) FILTER (WHERE toxic = 1)::BIGINT AS toxic FROM t JOIN labels USING (doc_id) GROUP BY bucket, quality")
 def o_label_share(spark, d):
-    return load(spark, d, "documents").select("doc_id").join(load(spark, d, "labels"), "doc_id").groupBy("quality").agg(F.count("*").alias("documents"), F.count_if(F.col("toxic") == 1).alias("toxic"))
+    """Labels by ranges of the documents' length."""
+    docs = load(spark, d, "documents").select("doc_id", "n_chars")
+    spec = KeySpec("n_chars", ("doc_id",), ("doc_id",))
+    placed = exchange.assign_bucket(docs, spec, [p.key for p in search.exact_split(docs, spec, 4)], "bucket")
+    return placed.join(load(spark, d, "labels"), "doc_id").groupBy("bucket", "quality").agg(F.count("*").alias("documents"), F.count_if(F.col("toxic") == 1).alias("toxic"))
 
 
 __all__ = ["ORACLE_SQL", "QUERIES"]

@@ -52,7 +52,6 @@ def test_interval_join_forms_no_pairs_that_do_not_overlap(spark):
 
 def test_interval_join_over_all_events(spark):
     same_as_sql(spark, "o_interval_join")
-    same_as_sql(spark, "o_interval_join_whole")
 
 
 @pytest.mark.parametrize("kind", ["union", "intersect", "except"])
@@ -69,11 +68,11 @@ def test_sets_inside_shared_ranges(spark, kind, all_rows):
         assert "_bucket" in got._jdf.queryExecution().optimizedPlan().toString()
 
 
-@pytest.mark.parametrize("name", ["o_union_whole", "o_intersect_whole", "o_except_whole"])
+@pytest.mark.parametrize("name", ["o_union", "o_intersect", "o_except"])
 def test_sets_of_whole_tables(spark, name):
     same_as_sql(spark, name)
 
 
-@pytest.mark.parametrize("name", ["o_asof_join_whole", "o_outer_join_whole", "o_udtf_splitters_whole"])
+@pytest.mark.parametrize("name", ["o_asof_join", "o_outer_join", "o_udtf_splitters"])
 def test_joins_and_splitters_of_whole_tables(spark, name):
     same_as_sql(spark, name)
