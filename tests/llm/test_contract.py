@@ -174,3 +174,30 @@ def test_pipeline_stages_of_an_empty_table(spark, monkeypatch):
     docs = spark.read.parquet(f"{SF}/documents.parquet").limit(0)
     for name, stage in pipeline.STAGES:
         assert stage(spark, docs, SF).count() == 0, name
+
+
+CLASHING = ("score", "label", "key", "bucket", "block", "words", "size", "kept", "class_id", "n_links", "piece", "position", "_bucket", "_salt", "ids")
+
+
+def test_pipeline_stages_of_awkward_rows(spark, monkeypatch):
+    """Nulls, empty and very long texts, repeated rows, one source only null, columns named like inner ones."""
+    from pyspark.sql import functions as F
+
+    monkeypatch.syspath_prepend(str(Path(entry.__file__).parent))
+    pipeline = pytest.importorskip("corpus_pipeline")
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    prose = max((r["text"] for r in table("documents")), key=len)
+    odd = [(None, "no id here"), (9_000_001, None), (9_000_002, ""), (9_000_003, " \n\t "), (9_000_004, prose * 8), (9_000_004, prose * 8), (None, None)]
+    rows = spark.createDataFrame([(i, t, None, None, None) for i, t in odd], docs.schema)
+    awkward = docs.unionByName(rows)
+    for c in CLASHING:
+        awkward = awkward.withColumn(c, F.lit(c))
+    for name, stage in pipeline.STAGES:
+        out = stage(spark, awkward, SF)
+        if name != pipeline.STAGES[-1][0]:
+            assert out.columns == awkward.columns, name
+            assert all(r[c] == c for r in out.select(*CLASHING).limit(50).collect() for c in CLASHING), name
+        assert out.count() > 0, name
+    pieces = out.where("doc_id = 9000004").collect()
+    ids = token_ids([prose * 8])[0]
+    assert sum(r.length for r in pieces) == 2 * len(ids)
