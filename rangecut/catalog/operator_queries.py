@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import functions as F
 
 from rangecut.catalog.registry import Registry
@@ -39,11 +37,7 @@ def o_row_address(spark, d):
 
 
 def _stored(spark, d):
-    from pathlib import Path
-    from tempfile import gettempdir
-
-    folder = (spark.conf.get("spark.checkpoint.dir", None) or Path(gettempdir(), "rangecut").as_uri()).rstrip("/")
-    path = f"{folder}/sorted-{uuid.uuid4().hex}"
+    path = tables.shared_path(spark, "sorted")
     return path, tables.write_sorted(load(spark, d, "orders"), orders(), path, 8)
 
 

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import uuid
-from pathlib import Path
 
 from pyspark.sql import functions as F
 
@@ -13,7 +12,7 @@ from rangecut.catalog.method_queries import one_row, true
 from rangecut.catalog.registry import Registry
 from rangecut.plans import baselines, exchange, schedule, search, theory
 from rangecut.plans.keys import events, lineitem, orders
-from rangecut.sources.tables import event_stream, load
+from rangecut.sources.tables import event_stream, load, shared_path
 from rangecut.streaming import loads as streams
 
 R = Registry()
@@ -175,16 +174,9 @@ BOUNDS = [10.0, 35.0, 100.0]
 _BUCKET = " + ".join(f"(value >= {b})::INTEGER" for b in BOUNDS)
 
 
-def _shared(spark, name: str) -> str:
-    from tempfile import gettempdir
-
-    folder = (spark.conf.get("spark.checkpoint.dir", None) or Path(gettempdir(), "rangecut").as_uri()).rstrip("/")
-    return f"{folder}/{name}-{uuid.uuid4().hex}"
-
-
 def _stream(spark, d, files: int = 4):
     """The table as a folder of files in the order of time, read as a stream, a file a batch."""
-    path = _shared(spark, "events")
+    path = shared_path(spark, "events")
     df = load(spark, d, "events")
     exchange.range_sort(df, events("event_id"), files).drop("_bucket").write.parquet(path)
     return event_stream(spark, path, df.schema)
@@ -222,7 +214,7 @@ def o_stream_late(spark, d):
 def o_stream_resplit(spark, d):
     """Splitters live across batches; each is counted on the old ones first."""
     sink = streams.Resplitter(events("value"), 8, 0.1)
-    stream = _stream(spark, d).writeStream.foreachBatch(sink).option("checkpointLocation", _shared(spark, "progress")).trigger(availableNow=True).start()
+    stream = _stream(spark, d).writeStream.foreachBatch(sink).option("checkpointLocation", shared_path(spark, "progress")).trigger(availableNow=True).start()
     stream.awaitTermination()
     rounds = [r for _, _, r in sorted(sink.log)]
     return one_row(spark, balanced=all(x <= 0.11 for _, x, _ in sink.log), settles=sum(rounds[1:]) <= 3 * rounds[0], batches=len(sink.log))
@@ -231,7 +223,7 @@ def o_stream_resplit(spark, d):
 @query(f"SELECT ({_BUCKET})::INTEGER AS bucket, count(*)::BIGINT AS rows FROM events GROUP BY 1")
 def o_stream_state(spark, d):
     out = streams.counted_in_state(_stream(spark, d), "value", BOUNDS)
-    every = streams.run_to_memory(out, f"t{uuid.uuid4().hex}", "update", _shared(spark, "progress"))
+    every = streams.run_to_memory(out, f"t{uuid.uuid4().hex}", "update", shared_path(spark, "progress"))
     return every.groupBy("bucket").agg(F.max("rows").alias("rows"))
 
 

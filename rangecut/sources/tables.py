@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import uuid
+from pathlib import Path
+from tempfile import gettempdir
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,6 +22,16 @@ def load(spark: SparkSession, sf_dir: str, name: str, form: str = "parquet") ->
     return spark.read.format(form).load(path)
 
 
+def shared_path(spark: SparkSession, name: str) -> str:
+    """A new path in the folder of ``spark.checkpoint.dir``, which all executors see; a temporary one only on a local master."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors see")
+        folder = Path(gettempdir(), "rangecut").as_uri()
+    return f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
 def with_address(df: DataFrame) -> DataFrame:
     """Adds file and row number: a tag for tables without a primary key. Only on a file scan."""
     return df.select("*", F.col("_metadata.file_path").alias("_file"), F.col("_metadata.row_index").alias("_row"))
