@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangecut.llm import jaccard_join, mixing, packing, quality_rules, toxicity
-from rangecut.llm.shared import table, written
+from rangecut.llm.shared import forget, table, written
 
 #: Source weights in the order of the sources' names, words of the mix in shares of the corpus, most uses of a document.
 WEIGHTS, VOLUME, MOST_REPEATS = (5, 2, 1), 1.5, 2
@@ -56,5 +56,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), "stage-" + name.split()[0])
+        before, docs = docs, written(stage(spark, docs, sf_dir), "stage-" + name.split()[0])
+        forget(before)  # the input is no table of ours and stays
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -15,9 +15,11 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def scratch(spark: SparkSession) -> str:
-    """The shared folder of ``spark.checkpoint.dir``; where that is unset, as in tests, a temporary one."""
+    """The shared folder of ``spark.checkpoint.dir``; where that is unset, a temporary one, on a local master only."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors see")
         folder = Path(tempfile.mkdtemp(prefix="rangecut-")).as_uri()
         spark.conf.set("spark.checkpoint.dir", folder)
     return folder.rstrip("/")

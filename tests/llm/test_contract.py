@@ -168,6 +168,20 @@ def test_pipeline_packs_what_its_stages_keep(spark, monkeypatch):
     assert {r.doc_id for r in pieces} == ids[3]
 
 
+def test_pipeline_run_leaves_only_the_last_stage_table(spark, monkeypatch):
+    monkeypatch.syspath_prepend(str(Path(entry.__file__).parent))
+    pipeline = pytest.importorskip("corpus_pipeline")
+    folder = Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file:"), "rangecut")
+    found = lambda: {p.name for p in folder.glob("stage-*")}
+    before = found()
+    out = pipeline.run(spark, SF)
+    assert {p.split("-")[1] for p in found() - before} == {"mixing"}
+    docs = {d["doc_id"]: d["text"] or "" for d in table("documents")}
+    rows = out.collect()
+    assert {r.doc_id for r in rows} <= set(docs)
+    assert sum(r.length for r in rows) > 0
+
+
 def test_pipeline_stages_of_an_empty_table(spark, monkeypatch):
     monkeypatch.syspath_prepend(str(Path(entry.__file__).parent))
     pipeline = pytest.importorskip("corpus_pipeline")
