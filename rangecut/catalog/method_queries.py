@@ -43,6 +43,12 @@ def true(*names: str) -> str:
     return "SELECT " + ", ".join(f"TRUE AS {n}" for n in names)
 
 
+def load_rows(spark: SparkSession, placed: DataFrame) -> DataFrame:
+    """Rows of each range that isn't empty, in order and numbered from 1."""
+    found = sorted((r["bucket"], r["rows"]) for r in exchange.loads(placed).collect())
+    return spark.createDataFrame([(i, rows) for i, (_, rows) in enumerate(found, 1)], "nth int, rows long")
+
+
 def _ratios(k: int) -> list[float]:
     return schedule.geometric(P, EPS, k)
 
@@ -52,13 +58,11 @@ def m01_one_round_splitters(spark, d):
     return splitter_rows(spark, search.one_round(load(spark, d, "orders"), orders(), P, EPS))
 
 
-@query(true("balanced") + ", 8::BIGINT AS buckets")
+@query(replay.loads(ORDERS, P, EPS, 1, replay.geometric_limits(P, _ratios(1))))
 def m01_one_round_balance(spark, d):
-    """With every target hit, loads stay within the tolerance."""
+    """Loads after one round at the full ratio."""
     df = load(spark, d, "orders")
-    result = search.one_round(df, orders(), P, EPS)
-    found = exchange.loads(exchange.assign_bucket(df, orders(), result.keys)).collect()
-    return one_row(spark, balanced=bool(result.state.unsettled()) or exchange.memory_bound([r["rows"] for r in found], result.state.n, P, EPS), buckets=len(found))
+    return load_rows(spark, exchange.assign_bucket(df, orders(), search.one_round(df, orders(), P, EPS).keys))
 
 
 @query(replay.splitters(ORDERS, P, EPS, 1, replay.geometric_limits(P, _ratios(2))))
@@ -86,10 +90,11 @@ def m05_budget5_splitters(spark, d):
     return splitter_rows(spark, search.budget_rounds(load(spark, d, "lineitem"), lineitem(), 16, 0.02, 5))
 
 
-@query(true("settled", "rounds_in_band"))
+@query(replay.totals(ORDERS, P, 0.02, 1, replay.budget_limits(P, 1, 30)))
 def m05_budget1_rounds(spark, d):
+    """Rounds and probes at one sample a part and round, until all is settled."""
     result = search.budget_rounds(load(spark, d, "orders"), orders(), P, 0.02, 1)
-    return one_row(spark, settled=not result.state.unsettled(), rounds_in_band=3 <= result.rounds <= 30)
+    return one_row(spark, rounds=result.rounds, probes=result.sample)
 
 
 EXACT = "SELECT i::INTEGER AS i, r AS split_rank, k AS split_key FROM (SELECT i, n.n * i // {p} AS r FROM range(1, {p}) x(i), n) JOIN t USING (r)"
@@ -111,24 +116,26 @@ def m06_exact_splitters_uneven(spark, d):
 
 def _evened(spark, d):
     df = load(spark, d, "orders")
-    result = search.budget_rounds(df, orders(), P, EPS, portable=False)
+    result = search.budget_rounds(df, orders(), P, EPS)
     placed = exchange.assign_bucket(df, orders(), result.keys)
     return exchange.even_out(placed, orders(), P), result
 
 
+_REPAIR = replay.rounds(ORDERS, P, EPS, 1, replay.budget_limits(P, 5, 10)) + f", e AS (SELECT (SELECT count(*) FROM chosen c WHERE c.r <= t.r)::INTEGER AS was, (((t.r + 1) * {P} - 1) // n.n)::INTEGER AS even FROM t, n) "
+
+
 @query(f"WITH {ORDERS.ranked()} SELECT i::INTEGER AS bucket, (n.n * (i + 1) // 8 - n.n * i // 8)::BIGINT AS rows, o_orderkey AS first_order FROM range(0, 8) x(i), n JOIN t ON t.r = n.n * i // 8")
 def m07_even_out_loads(spark, d):
     evened, _ = _evened(spark, d)
     return evened.groupBy(F.col("_even").alias("bucket")).agg(F.count("*").alias("rows"), F.min_by("o_orderkey", "_rank").alias("first_order"))
 
 
-@query(true("within_bound") + ", TRUE AS even")
+@query(_REPAIR + f"SELECT even AS bucket, count(*)::BIGINT AS rows, count(*) FILTER (WHERE was <> even)::BIGINT AS came, count(*) FILTER (WHERE was <> even) <= any_value(n.n) * {EPS} / {P} + 1 AS within_bound FROM e, n GROUP BY even")
 def m07_even_out_moved(spark, d):
-    """A processor gives or takes n * eps / parts keys at most."""
+    """What each part takes in: n * eps / parts keys at most."""
     evened, result = _evened(spark, d)
-    found = evened.groupBy("_even").agg(F.count("*").alias("n"), F.count_if(F.col("_even") != F.col("_bucket")).alias("m")).collect()
-    n = result.state.n
-    return one_row(spark, within_bound=max(r.m for r in found) <= n * EPS / P + 1, even=max(r.n for r in found) - min(r.n for r in found) <= 1)
+    came = F.count_if(F.col("_even") != F.col("_bucket"))
+    return evened.groupBy(F.col("_even").alias("bucket")).agg(F.count("*").alias("rows"), came.alias("came"), (came <= result.state.n * EPS / P + 1).alias("within_bound"))
 
 
 @query(replay.rounds(ORDERS, P, EPS, 1, replay.geometric_limits(P, _ratios(2))) + "SELECT o_orderkey, p2.r AS rank FROM p2 JOIN t USING (r)")
@@ -215,22 +222,25 @@ def m16_closest_choice(spark, d):
     return spark.createDataFrame([(i + 1, s.choice(i).rank) for i in range(7)], "i int, split_rank long")
 
 
-@query(true("disjoint"))
+_ONCE = replay.rounds(LINE, 32, 0.02, 1, replay.geometric_limits(32, [4.0]))
+
+
+@query(_ONCE + "SELECT i::INTEGER AS i, a.lo AS low, a.hi AS high, NOT EXISTS (SELECT 1 FROM s1 b WHERE (a.lo, a.hi) <> (b.lo, b.hi) AND a.lo < b.hi AND b.lo < a.hi) AS disjoint FROM s1 a")
 def m17_interval_disjointness(spark, d):
-    result = search.k_round(load(spark, d, "lineitem"), lineitem(), 32, 0.02, ratios=[4.0])
-    pairs = [(result.state.low[i].rank, result.state.high[i].rank) for i in range(31)]
-    return one_row(spark, disjoint=all(a == b or a[1] <= b[0] or b[1] <= a[0] for a in pairs for b in pairs))
+    """Ranks of the intervals' ends after a round; any two are equal or disjoint."""
+    s = search.k_round(load(spark, d, "lineitem"), lineitem(), 32, 0.02, ratios=[4.0]).state
+    pairs = [(s.low[i].rank, s.high[i].rank) for i in range(31)]
+    return spark.createDataFrame([(i, *a, all(a == b or a[1] <= b[0] or b[1] <= a[0] for b in pairs)) for i, a in enumerate(pairs, 1)], "i int, low long, high long, disjoint boolean")
 
 
-@query(true("same_union"))
+@query(_ONCE + ", cut AS (SELECT greatest(lo, (ideal - n.n) / 32) AS a, least(hi, (ideal + n.n) / 32) AS b FROM s1, n), m AS (SELECT k, n.n / 32 * k / 7 AS x FROM range(8, 217) y(k), n) SELECT k::INTEGER AS k, EXISTS (SELECT 1 FROM s1 WHERE lo < x AND x < hi) AS whole, EXISTS (SELECT 1 FROM cut WHERE a < x AND x < b) AS stripped FROM m")
 def m17_strip_union(spark, d):
-    """Cutting every interval to one part's width around its target leaves the union as it was inside the targets' range."""
-    result = search.k_round(load(spark, d, "lineitem"), lineitem(), 32, 0.02, ratios=[4.0])
-    s, width = result.state, result.state.n / 32
+    """Points inside the intervals, and inside those cut to one part's width around their targets: the same ones."""
+    s = search.k_round(load(spark, d, "lineitem"), lineitem(), 32, 0.02, ratios=[4.0]).state
     whole = [(s.low[i].rank, s.high[i].rank) for i in range(31)]
+    points = [(k, s.n / 32 * k / 7) for k in range(8, 7 * 31)]
     inside = lambda x, pairs: any(a < x < b for a, b in pairs)
-    middle = [width * k / 7 for k in range(8, 7 * 31)]
-    return one_row(spark, same_union=all(inside(x, whole) == inside(x, s.stripped()) for x in middle))
+    return spark.createDataFrame([(k, inside(x, whole), inside(x, s.stripped())) for k, x in points], "k int, whole boolean, stripped boolean")
 
 
 @query("SELECT p, j::INTEGER AS j, round(pow(2 * ln(p) / 0.02, j / 3.0), 6) AS ratio FROM (VALUES (8), (32), (128)) v(p), range(1, 4) x(j)")
@@ -248,13 +258,12 @@ def m19_tagged_splitters(spark, d):
     return spark.createDataFrame([(i + 1, p.rank, p.key[1], p.key[2]) for i, p in enumerate(probes)], "i int, split_rank long, split_key string, l_orderkey long")
 
 
-@query(true("balanced"))
+@query(replay.loads(replay.lineitem("CAST(0 AS BIGINT)"), P, EPS, 1, replay.budget_limits(P, 20, 8)))
 def m19_allequal_balance(spark, d):
+    """One value everywhere: tags cut it into even loads."""
     df = load(spark, d, "lineitem")
     spec = lineitem("CAST(0 AS BIGINT)")
-    result = search.budget_rounds(df, spec, P, EPS, 20, portable=False)
-    found = exchange.loads(exchange.assign_bucket(df, spec, result.keys)).collect()
-    return one_row(spark, balanced=exchange.memory_bound([r["rows"] for r in found], result.state.n, P, EPS))
+    return load_rows(spark, exchange.assign_bucket(df, spec, search.budget_rounds(df, spec, P, EPS, 20).keys))
 
 
 @query(f"WITH {replay.orders('o_orderkey').ranked()} {EXACT.format(p=8)}")
@@ -454,44 +463,51 @@ def b02_regular_sample(spark, d):
     return spark.createDataFrame([(i + 1, float(k[1]), size) for i, k in enumerate(keys)], "i int, split_key double, sample_size long")
 
 
-@query(true("all_settled", "ranks_right"))
+CENTS, CENTS_END = "CAST(round(o_totalprice * 100) AS BIGINT)", 1 << 27
+
+
+def _bisected(trace) -> dict[str, int]:
+    return {"rounds": len(trace), "probes": sum(t[1] for t in trace), "left_open": trace[-1][2]}
+
+
+@query(replay.bisection(f"(SELECT {CENTS} AS code FROM orders)", P, EPS, 0, CENTS_END - 1, 30))
 def b03_domain_bisect(spark, d):
-    """Halving whole cents: every splitter's true rank lies in its target range."""
-    df = load(spark, d, "orders")
-    cents = "CAST(round(o_totalprice * 100) AS BIGINT)"
-    lo, hi = df.agg(F.min(F.expr(cents)), F.max(F.expr(cents))).first()
-    keys, trace = baselines.domain_bisect(df, cents, P, EPS, lo, hi)
-    n = df.count()
-    ranks = [df.where(F.expr(cents) < k).count() for k in keys]
-    return one_row(spark, all_settled=trace[-1][2] == 0, ranks_right=all(2 * abs(r * P - n * (i + 1)) <= EPS * n for i, r in enumerate(ranks)))
+    """Halving whole cents: rounds, counted values, and splitters that stay open."""
+    return one_row(spark, **_bisected(baselines.domain_bisect(load(spark, d, "orders"), CENTS, P, EPS, 0, CENTS_END - 1)[1]))
+
 
+BISECTED = {"l_partkey": ("l_partkey", 1 << 20), "l_quantity in twenties": ("CAST(floor(l_quantity / 20) AS BIGINT)", 3)}
 
-@query(true("uniform_settles", "duplicates_stay_open"))
+
+@query(" UNION ALL ".join(f"SELECT '{name}' AS key, * FROM ({replay.bisection(f'(SELECT {key} AS code FROM lineitem)', P, EPS, 0, high, 24)})" for name, (key, high) in BISECTED.items()))
 def b03_bisect_rounds_by_dist(spark, d):
     """Value halving depends on the distribution: heavy duplicates can't be cut at all."""
     df = load(spark, d, "lineitem")
-    _, even = baselines.domain_bisect(df, "l_partkey", P, EPS, 0, 1 << 20)
-    _, heavy = baselines.domain_bisect(df, "CAST(l_quantity AS BIGINT) DIV 20", P, EPS, 0, 3)
-    return one_row(spark, uniform_settles=even[-1][2] == 0, duplicates_stay_open=heavy[-1][2] > 0)
+    rows = [(name, *_bisected(baselines.domain_bisect(df, key, P, EPS, 0, high)[1]).values()) for name, (key, high) in BISECTED.items()]
+    return spark.createDataFrame(rows, "key string, rounds long, probes long, left_open long")
 
 
 _RATIO = theory.scan_ratio(P, EPS, 15_000)
 
 
-@query(f"""WITH RECURSIVE {ORDERS.ranked()}, s AS MATERIALIZED (SELECT r FROM t, n WHERE {coin.draw_sql(('o_orderkey',), 1, 1)} < {replay.chance(str(max(1, int(P * _RATIO + 0.5))), 'n.n')}),
+_SCAN = f"""WITH RECURSIVE {ORDERS.ranked()}, s AS MATERIALIZED (SELECT r FROM t, n WHERE {coin.draw_sql(('o_orderkey',), 1, 1)} < {replay.chance(str(max(1, int(P * _RATIO + 0.5))), 'n.n')}),
 w(i, r) AS (SELECT 0, 0::BIGINT UNION ALL SELECT i + 1, (SELECT max(s.r) FROM s, n WHERE s.r > CASE WHEN w.i = 0 THEN -1 ELSE w.r END AND (s.r - w.r) * {P} * 20 <= 21 * n.n) FROM w WHERE i < {P - 1} AND w.r IS NOT NULL)
-SELECT i::INTEGER AS i, r AS split_rank FROM w WHERE i > 0 AND r IS NOT NULL""")
+SELECT i::INTEGER AS i, r AS split_rank FROM w WHERE i > 0 AND r IS NOT NULL"""
+
+
+@query(_SCAN)
 def b04_greedy_scan(spark, d):
     probes, _, _ = baselines.greedy_scan(load(spark, d, "orders"), orders(), P, EPS)
     return spark.createDataFrame([(i + 1, p.rank) for i, p in enumerate(probes)], "i int, split_rank long")
 
 
-@query(true("first_loads_bounded"))
+@query(f"SELECT max(load) FILTER (WHERE i < last)::BIGINT AS largest_other, max(load) FILTER (WHERE i = last)::BIGINT AS last_load FROM (SELECT i, lead(split_rank, 1, n) OVER (ORDER BY i) - split_rank AS load, max(i) OVER () AS last FROM (SELECT * FROM ({_SCAN}) UNION ALL SELECT 0, 0), (SELECT count(*) AS n FROM orders))")
 def b04_last_load(spark, d):
-    """All loads but the last are within the tolerance by construction."""
+    """All loads but the last are within the tolerance by construction; the last takes what is left."""
     probes, _, n = baselines.greedy_scan(load(spark, d, "orders"), orders(), P, EPS)
-    cuts = [0, *(p.rank for p in probes)]
-    return one_row(spark, first_loads_bounded=all((b - a) * P <= (1 + EPS) * n for a, b in zip(cuts, cuts[1:], strict=False)))
+    cuts = [0, *(p.rank for p in probes), n]
+    loads = [b - a for a, b in zip(cuts, cuts[1:], strict=False)]
+    return one_row(spark, largest_other=max(loads[:-1]), last_load=loads[-1])
 
 
 @query(true("ordered"))
@@ -598,10 +614,14 @@ def _ledger(spark, d):
     return result, ledger.ledger(result, 4)
 
 
-@query(true("as_modelled"))
+_TWO = (ORDERS, P, EPS, 1, replay.geometric_limits(P, _ratios(2)))
+
+
+@query(f"SELECT rounds, 5 * rounds + 2 AS supersteps FROM ({replay.totals(*_TWO)})")
 def c07_supersteps(spark, d):
+    """Five supersteps a round, one for the splitters and one for the rows."""
     result, rows = _ledger(spark, d)
-    return one_row(spark, as_modelled=ledger.supersteps(rows) == 5 * result.rounds + 2)
+    return one_row(spark, rounds=result.rounds, supersteps=ledger.supersteps(rows))
 
 
 @query(true("sort_dominates"))
@@ -613,10 +633,11 @@ def c08_compute(spark, d):
     return one_row(spark, sort_dominates=sorting > rest)
 
 
-@query(true("exchange_dominates"))
+@query(f"SELECT sum(3 * sample_size + greatest(sample_size, (sample_size + 3) // 4) + 2 * {P - 1})::BIGINT + {P - 1} AS search_keys, any_value((o.n + 3) // 4)::BIGINT AS exchange_keys FROM ({replay.trace(*_TWO)}), (SELECT count(*) AS n FROM orders) o")
 def c09_comm(spark, d):
+    """The most keys that one of four processors sends or receives: in the search, all rounds together, and in the exchange."""
     _, rows = _ledger(spark, d)
-    return one_row(spark, exchange_dominates=max(max(r[3], r[4]) for r in rows if r[2] == "exchange") > max(max(r[3], r[4]) for r in rows if r[2] != "exchange"))
+    return one_row(spark, search_keys=ledger.communication([r for r in rows if r[2] != "exchange"]), exchange_keys=ledger.communication([r for r in rows if r[2] == "exchange"]))
 
 
 @query(f"WITH {ORDERS.ranked()} SELECT (o_orderkey % 4)::BIGINT AS proc, ((r + 1) * 8 - 1)::BIGINT // n.n AS bucket, count(*)::BIGINT AS rows FROM t, n GROUP BY 1, 2")
@@ -633,11 +654,12 @@ def c11_moved(spark, d):
     return exchange.moved(placed, "proc")
 
 
-@query(true("within_bound"))
+@query(_REPAIR + "SELECT was AS bucket, count(*) FILTER (WHERE was <> even)::BIGINT AS gave, count(*) FILTER (WHERE abs(was - even) > 1)::BIGINT AS beyond_neighbours FROM e GROUP BY was")
 def c12_repair(spark, d):
-    evened, result = _evened(spark, d)
-    rows = evened.where("_even != _bucket").groupBy("_bucket").count().collect()
-    return one_row(spark, within_bound=max((r["count"] for r in rows), default=0) <= EPS * result.state.n / P + 1)
+    """What the repair of an approximate split moves out of each part, and how much of it further than to a neighbour."""
+    evened, _ = _evened(spark, d)
+    step = F.abs(F.col("_even") - F.col("_bucket"))
+    return evened.groupBy(F.col("_bucket").alias("bucket")).agg(F.count_if(step > 0).alias("gave"), F.count_if(step > 1).alias("beyond_neighbours"))
 
 
 @query("SELECT 0::BIGINT AS violations, 39::BIGINT AS probes")
@@ -671,11 +693,12 @@ def c14_failure_rate(spark, d):
     return one_row(spark, runs=FAILURE_SEEDS, failures=failures, missed=FAILURE_SEEDS * (P - 1) - sum(hits), below_bound=failures * P < FAILURE_SEEDS)
 
 
-@query(true("bounded"))
+@query(f"SELECT max(rows)::BIGINT AS peak, floor(sum(rows) * 1.02 / 16)::BIGINT AS bound FROM ({replay.loads(*_M5)})")
 def c17_peak_load(spark, d):
+    """The most rows that a part gets, and a share with the tolerance."""
     df = load(spark, d, "lineitem")
-    placed = exchange.assign_bucket(df, lineitem(), exchange.find(df, lineitem(), 16, EPS))
-    return one_row(spark, bounded=exchange.imbalance(placed, 16) <= EPS)
+    rows = [r["rows"] for r in exchange.loads(exchange.assign_bucket(df, lineitem(), _searched(spark, d).keys)).collect()]
+    return one_row(spark, peak=max(rows), bound=sum(rows) * 102 // 1600)
 
 
 @query("SELECT 'regular sampling' AS method, round(2048 * 2048 / 0.02) AS sample UNION ALL SELECT 'random sampling', round(2048 * ln(2048e6) / 0.0004) UNION ALL SELECT 'one-round scan', round(2 * 2048 * 50.0) UNION ALL SELECT 'narrowing, 1 round', round(2048 * 2 * ln(2048) / 0.02) UNION ALL SELECT 'narrowing, 2 rounds', round(2 * 2048 * sqrt(2 * ln(2048) / 0.02)) UNION ALL SELECT 'narrowing, k rounds', round(6 * 2048 * pow(2 * ln(2048) / 0.02, 1 / 6.0)) UNION ALL SELECT 'narrowing, best rounds', round(2048 * 6 * exp(1))")

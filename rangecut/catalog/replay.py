@@ -94,6 +94,23 @@ def totals(*args, **options) -> str:
     return f"SELECT count(*)::BIGINT AS rounds, coalesce(sum(sample_size), 0)::BIGINT AS probes FROM ({trace(*args, **options)})"
 
 
+def loads(*args, **options) -> str:
+    """Rows between the cuts that the search chose; empty ranges are left out, the others numbered from 1."""
+    return rounds(*args, **options) + (
+        "SELECT row_number() OVER (ORDER BY r)::INTEGER AS nth, rows FROM (SELECT r, lead(r, 1, any_value(n.n)) OVER (ORDER BY r) - r AS rows FROM "
+        "(SELECT 0::BIGINT AS r UNION SELECT r FROM chosen WHERE r IS NOT NULL) c, n GROUP BY r) WHERE rows > 0"
+    )
+
+
+def summary(*args, **options) -> str:
+    """One row: rounds, keys sampled, and the rows of the largest range."""
+    union = " UNION ALL ".join(f"SELECT sample_size, live_before FROM tr{j}" for j in range(1, len(args[4]) + 1))
+    return rounds(*args, **options) + (
+        f"SELECT count(*)::BIGINT AS rounds, sum(sample_size)::BIGINT AS probes, (SELECT max(rows) FROM (SELECT lead(r, 1, n.n) OVER (ORDER BY r) - r AS rows FROM "
+        f"(SELECT 0::BIGINT AS r UNION SELECT r FROM chosen WHERE r IS NOT NULL) c, n))::BIGINT AS peak FROM ({union}) WHERE live_before > 0"
+    )
+
+
 def bisection(source: str, parts: int, eps: float, low: int, high: int, most: int) -> str:
     """One row: rounds and probes of halving the values of ``code`` in ``source``, and how many splitters stay open."""
     e = Fraction(str(eps))

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from rangecut import workloads
 from rangecut.catalog import replay
-from rangecut.catalog.method_queries import one_row, true
+from rangecut.catalog.method_queries import load_rows, one_row, true
 from rangecut.catalog.registry import Registry
 from rangecut.plans import baselines, exchange, schedule, search, theory
 from rangecut.plans.keys import events, lineitem, orders
@@ -119,11 +119,19 @@ for _name in workloads.DISTRIBUTIONS:
     _keys_query(_name)
 
 
-@query(true("insensitive"))
+def _dist_sql() -> str:
+    rows = []
+    for name, key in workloads.keys_sql().items():
+        keyed = replay.Keyed(f"(SELECT *, ({key})::BIGINT AS key FROM lineitem)", "key", f"key NULLS FIRST, {replay.LINE_TAG}", replay.LINE_COIN)
+        search_ = (keyed, 16, 0.02, 1, replay.budget_limits(16, 5, 10))
+        rows.append(f"SELECT '{name}' AS distribution, * FROM ({replay.summary(*search_)})")
+    return " UNION ALL ".join(rows)
+
+
+@query(_dist_sql())
 def w06_dist_rounds(spark, d):
-    """Only ranks matter, so the distribution of values doesn't."""
-    found = workloads.distribution_rounds(spark, d, 16, 0.02)
-    return one_row(spark, insensitive=max(found.values()) - min(found.values()) <= 2)
+    """Rounds, probes and the largest part of six distributions and three columns as they are: only ranks matter."""
+    return spark.createDataFrame(workloads.distribution_rounds(spark, d, 16, 0.02), "distribution string, rounds long, probes long, peak long")
 
 
 _SORTED = replay.Keyed("events", "epoch_us(ts)", "ts, event_id", ("event_id",))
@@ -135,15 +143,18 @@ def w07_nearly_sorted(spark, d):
     return spark.createDataFrame([(i + 1, p.rank, p.key[2]) for i, p in enumerate(probes)], "i int, split_rank long, event_id long")
 
 
-@query(true("l_returnflag", "l_quantity", "zeros"))
+DUPLICATED = {"l_returnflag": ("lineitem", "l_returnflag"), "l_quantity": ("lineitem", "l_quantity"), "zeros": ("lineitem", "CAST(0 AS BIGINT)"), "o_orderpriority": ("orders", "o_orderpriority")}
+
+
+@query(" UNION ALL ".join(f"SELECT '{name}' AS key, * FROM ({replay.loads(getattr(replay, t)(key), 8, 0.05, 1, replay.budget_limits(8, 20, 8))})" for name, (t, key) in DUPLICATED.items()))
 def w08_duplicates(spark, d):
-    df = load(spark, d, "lineitem")
-    out = {}
-    for name, key in (("l_returnflag", "l_returnflag"), ("l_quantity", "l_quantity"), ("zeros", "CAST(0 AS BIGINT)")):
-        result = search.budget_rounds(df, lineitem(key), 8, 0.05, 20, portable=False)
-        rows = [r["rows"] for r in exchange.loads(exchange.assign_bucket(df, lineitem(key), result.keys)).collect()]
-        out[name] = exchange.memory_bound(rows, result.state.n, 8, 0.05)
-    return one_row(spark, **out)
+    """Loads where few values fill the table: tags cut inside a value."""
+    out = None
+    for name, (t, key) in DUPLICATED.items():
+        df, spec = load(spark, d, t), (lineitem if t == "lineitem" else orders)(key)
+        found = load_rows(spark, exchange.assign_bucket(df, spec, search.budget_rounds(df, spec, 8, 0.05, 20).keys)).select(F.lit(name).alias("key"), "nth", "rows")
+        out = found if out is None else out.union(found)
+    return out
 
 
 @query(true("follows_closed_form"))
@@ -153,12 +164,14 @@ def w09_line_process(spark, d):
     return one_row(spark, follows_closed_form=all(abs(r[f"e{i}"] - theory.line_cdf(r["r"], e)) < 0.03 for r in rows for i, e in enumerate(edges)))
 
 
-@query(true("falls_then_flat"))
+SWEPT = range(1, 9)
+
+
+@query(" UNION ALL ".join(f"SELECT {k} AS k, probes FROM ({replay.totals(replay.lineitem(), 32, 0.05, 1, replay.geometric_limits(32, schedule.geometric(32, 0.05, k)))})" for k in SWEPT))
 def w10_k_sweep(spark, d):
-    """More rounds need fewer keys in total, up to about the optimum."""
-    rows = workloads.round_sweep(load(spark, d, "lineitem"), lineitem(), 8, 0.05, [1, 2, 4])
-    best = schedule.best_rounds(8, 0.05)
-    return one_row(spark, falls_then_flat=rows[0][1] > rows[1][1] > rows[2][1] and best == 4)
+    """Keys sampled in all by one to eight rounds at 32 parts: fewer with more rounds, up to about the optimum."""
+    rows = workloads.round_sweep(load(spark, d, "lineitem"), lineitem(), 32, 0.05, list(SWEPT))
+    return spark.createDataFrame([(k, sampled) for k, sampled, _ in rows], "k int, probes long")
 
 
 @query(true("within_model"))

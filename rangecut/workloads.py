@@ -157,12 +157,26 @@ def distribution_sql(name: str, columns: tuple[str, ...] = LINEITEM_COIN, seed:
     }[name]
 
 
-def distribution_rounds(spark: SparkSession, sf_dir: str, parts: int, eps: float, budget: int = 5) -> dict[str, int]:
+#: Columns of ``lineitem`` with few values, or with uneven counts.
+REAL_SKEWS = {"l_discount": "round(l_discount * 100)", "l_quantity": "l_quantity", "l_suppkey": "l_suppkey"}
+
+
+def keys_sql() -> dict[str, str]:
+    """The six distributions and the columns as they are, as SQL for DuckDB."""
+    return {name: distribution_sql(name) for name in DISTRIBUTIONS} | REAL_SKEWS
+
+
+def distribution_rounds(spark: SparkSession, sf_dir: str, parts: int, eps: float, budget: int = 5) -> list[tuple[str, int, int, int]]:
+    """(distribution, rounds, probes, rows of the largest part)."""
     df = load(spark, sf_dir, "lineitem")
-    out = {}
-    for name in DISTRIBUTIONS:
-        keyed = df.select(*LINEITEM_TAG, distribution(name).alias("key"))
-        out[name] = search.budget_rounds(keyed, KeySpec("key", LINEITEM_TAG, LINEITEM_COIN), parts, eps, budget, portable=False).rounds
+    keys = {name: distribution(name) for name in DISTRIBUTIONS} | {name: F.expr(key) for name, key in REAL_SKEWS.items()}
+    spec = KeySpec("key", LINEITEM_TAG, LINEITEM_COIN)
+    out = []
+    for name, key in keys.items():
+        keyed = df.select(*LINEITEM_TAG, key.cast("long").alias("key"))
+        found = search.budget_rounds(keyed, spec, parts, eps, budget)
+        rows = [r["rows"] for r in exchange.loads(exchange.assign_bucket(keyed, spec, found.keys)).collect()]
+        out.append((name, found.rounds, found.sample, max(rows, default=0)))
     return out
 
 
