@@ -60,8 +60,8 @@ def held_out(doc_id: Column, folds: int, fold: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds)) == fold, F.lit(True))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, at_most: int, where: Column | None = None) -> list[tuple[str, int]]:
-    """(text, label) of at most ``at_most`` labelled documents, those whose id hashes lowest; the same ones at every run.
+def labelled_rows(docs: DataFrame, labels: DataFrame, label: str, at_most: int, where: Column | None = None) -> DataFrame:
+    """doc_id, label, text of at most ``at_most`` labelled documents, those whose id hashes lowest; the same ones at every run.
 
     Only the labels are sampled, before the join, so the sampled ids are a
     small table whatever the size of ``docs``. Of rows with one id the least
@@ -76,11 +76,15 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, at_most: int
         .orderBy(F.xxhash64("doc_id"), "doc_id")
         .limit(at_most)
     )
-    rows = (
+    return (
         docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
         .join(F.broadcast(ids), "doc_id")
         .groupBy("doc_id", "label")
         .agg(F.min("text").alias("text"))
-        .collect()
     )
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, at_most: int, where: Column | None = None) -> list[tuple[str, int]]:
+    """(text, label) of ``labelled_rows``, in the order of their ids."""
+    rows = labelled_rows(docs, labels, label, at_most, where).collect()
     return [(r.text, r.label) for r in sorted(rows, key=lambda r: r.doc_id)]

@@ -14,10 +14,11 @@ penalty leaves a few hundred. A sentence without any of them has the bias as
 its logit. The bias is fixed and low, lest thousands of harmless sentences add
 up; labels that no sentence explains fall to a leak of the document.
 
-Cases: a null or empty text is one sentence without words; a null id is held
-out; repeated rows give a row each; an empty table gives no rows; other columns
-are left out by ``score`` and kept by ``keep``. Without labelled documents of
-both classes every score is 0.
+Cases: a null or empty text is one sentence without words; a text of any length
+is read whole; a null id is held out; repeated rows give a row each, scored
+alike; a score of exactly ``TOXIC`` rejects; an empty table gives no rows; other
+columns, whatever their names, are left out by ``score`` and kept by ``keep``.
+Without labelled documents of both classes every score is 0.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ import math
 import re
 from array import array
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -34,7 +35,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rangecut.llm.shared import labelled_sample
+from rangecut.llm.shared import forget, labelled_rows, written
 
 #: Training takes at most this many labelled documents.
 TRAINING_DOCUMENTS = 4000
@@ -88,37 +89,52 @@ def softplus(x: float) -> float:
     return max(x, 0.0) + math.log1p(math.exp(-abs(x)))
 
 
+def vocabulary_of(n_docs: dict[str, int], n_toxic: dict[str, int], share: float) -> list[str]:
+    """Features that get weights: one that is no commoner among toxic documents than among all can't explain a label."""
+    return sorted(t for t, n in n_docs.items() if n >= LEAST_DOCUMENTS and n_toxic.get(t, 0) > max(1, 1.3 * share * n))
+
+
+def numbered(text: str, number: dict[str, int]) -> tuple[int, list[int], list[int]]:
+    """How many sentences there are, and pairs of a sentence's place and the number of a known feature."""
+    parts = SENTENCE.split(text.lower())
+    places, terms = [], []
+    for i, sentence in enumerate(parts):
+        for t in sorted(number[f] for f in features(sentence) if f in number):
+            places.append(i)
+            terms.append(t)
+    return len(parts), places, terms
+
+
 def train(sample: list[tuple[str, int]], rounds: int = 200, l1: float = 1.5e-4) -> Model | None:
-    """Adam with a proximal L1 step on the mean log loss of the noisy-or, both classes weighing the same."""
-    labels = np.array([y for _, y in sample], np.float64)
-    if len(set(labels.tolist())) < 2:
-        return None
-    # Texts become numbers one at a time: the words of the whole sample never stand in memory as strings.
-    number: dict[str, int] = {}
-    flat, cuts = array("i"), array("q")
-    doc = array("i")
+    """``descend`` on texts in memory."""
     n_docs, n_toxic = Counter(), Counter()
-    for d, (text, y) in enumerate(sample):
-        seen: set[int] = set()
-        for sentence in SENTENCE.split(text.lower()):
-            found = [number.setdefault(t, len(number)) for t in features(sentence)]
-            flat.extend(found)
-            cuts.append(len(found))
-            doc.append(d)
-            seen.update(found)
-        n_docs.update(seen)
+    for text, y in sample:
+        found = set().union(*map(features, SENTENCE.split(text.lower())))
+        n_docs.update(found)
         if y:
-            n_toxic.update(seen)
-    share = labels.mean()
-    # A feature that is no commoner among toxic documents than among all can't explain a label.
-    names = [t for t, i in number.items() if n_docs[i] >= LEAST_DOCUMENTS and n_toxic[i] > max(1, 1.3 * share * n_docs[i])]
-    vocabulary = sorted(names)
-    index = np.full(len(number), -1, np.int64)
-    index[[number[t] for t in vocabulary]] = np.arange(len(vocabulary))
-    doc = np.array(doc, np.int64)
-    term = index[np.array(flat, np.int64)]
-    sentence = np.repeat(np.arange(len(doc)), np.array(cuts, np.int64))[term >= 0]
-    term = term[term >= 0]
+            n_toxic.update(found)
+    labels = [y for _, y in sample]
+    vocabulary = vocabulary_of(n_docs, n_toxic, sum(labels) / max(1, len(labels)))
+    number = {t: i for i, t in enumerate(vocabulary)}
+    return descend(labels, (numbered(text, number) for text, _ in sample), vocabulary, rounds, l1)
+
+
+def descend(classes: list[int], documents: Iterable[tuple[int, list[int], list[int]]], vocabulary: list[str], rounds: int = 200, l1: float = 1.5e-4) -> Model | None:
+    """Adam with a proximal L1 step on the mean log loss of the noisy-or, both classes weighing the same.
+
+    ``documents`` come as ``numbered`` has them, one for each of ``classes``.
+    """
+    labels = np.array(classes, np.float64)
+    if len(set(labels.tolist())) < 2:
+        return None
+    counts, terms, sentences, begun = [], array("i"), array("q"), 0
+    for n_sentences, places, found in documents:
+        counts.append(n_sentences)
+        terms.extend(found)
+        sentences.extend(begun + i for i in places)
+        begun += n_sentences
+    doc = np.repeat(np.arange(len(counts)), counts)
+    term, sentence = np.array(terms, np.int64), np.array(sentences, np.int64)
     weight = np.where(labels == 1, 0.5 / labels.sum(), 0.5 / (1 - labels).sum())
     theta, rate = np.zeros(len(vocabulary)), 0.15
     m, v = np.zeros_like(theta), np.zeros_like(theta)
@@ -126,7 +142,7 @@ def train(sample: list[tuple[str, int]], rounds: int = 200, l1: float = 1.5e-4)
         bias = max(BIAS, -4.0 - 12.0 * step / rounds)  # comes down while the weights grow
         z = bias + np.bincount(sentence, theta[term], len(doc))
         p = 1 / (1 + np.exp(-z))
-        harmless = np.log1p(-LEAK) - np.bincount(doc, np.logaddexp(0, z), len(sample))
+        harmless = np.log1p(-LEAK) - np.bincount(doc, np.logaddexp(0, z), len(labels))
         toxic = np.clip(-np.expm1(harmless), 1e-6, 1.0)
         # d loss / d z of a sentence: p times (1 - y / P(document)).
         g = weight[doc] * p * (1 - labels[doc] / toxic[doc])
@@ -138,7 +154,43 @@ def train(sample: list[tuple[str, int]], rounds: int = 200, l1: float = 1.5e-4)
 
 
 def fit(docs: DataFrame, labels: DataFrame, where: Column | None = None) -> Model | None:
-    return train(labelled_sample(docs, labels, "toxic", TRAINING_DOCUMENTS, where))
+    """Executors count the sample's features and look up those that get weights; the driver sees counts and numbers, no texts."""
+    rows = written(labelled_rows(docs, labels, "toxic", TRAINING_DOCUMENTS, where), "toxic-sample")
+    try:
+        sizes = {r.label: r["count"] for r in rows.groupBy("label").count().collect()}
+        if len(sizes) < 2:
+            return None
+        total = sum(sizes.values())
+        share = sum(y * n for y, n in sizes.items()) / total
+        counted = (
+            rows.select("label", F.explode(distinct_features()("text")).alias("term"))
+            .groupBy("term")
+            .agg(F.count(F.lit(1)).alias("n"), F.sum("label").alias("toxic"))
+            .where((F.col("n") >= LEAST_DOCUMENTS) & (F.col("toxic") > F.greatest(F.lit(1.0), 1.3 * share * F.col("n"))))
+        )
+        found = counted.collect()
+        vocabulary = vocabulary_of({r.term: r.n for r in found}, {r.term: r.toxic for r in found}, share)
+        number = {t: i for i, t in enumerate(vocabulary)}
+
+        @F.pandas_udf("struct<sentences:int,places:array<int>,terms:array<int>>")
+        def looked_up(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+            for part in parts:
+                yield pd.DataFrame([numbered(t, number) for t in part], columns=["sentences", "places", "terms"])
+
+        sample = rows.select("doc_id", "label", looked_up("text").alias("x")).select("doc_id", "label", "x.*").collect()
+        sample.sort(key=lambda r: r.doc_id)
+        return descend([r.label for r in sample], ((r.sentences, r.places, r.terms) for r in sample), vocabulary)
+    finally:
+        forget(rows, steps=False)
+
+
+def distinct_features():
+    @F.pandas_udf("array<string>")
+    def found(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        for part in parts:
+            yield pd.Series([sorted(set().union(*map(features, SENTENCE.split(t.lower())))) for t in part])
+
+    return found
 
 
 def scoring(model: Model | None):

@@ -40,3 +40,14 @@ def test_frames(spark):
     assert toxicity.locate(docs, m).count() == 2
     assert toxicity.keep(docs.where("false"), m).count() == 0
     assert toxicity.fit(docs, spark.createDataFrame([(1, 1)], "doc_id long, toxic int")) is None
+
+
+def test_fit_on_executors_equals_training_in_memory(spark):
+    texts = [*CALM, *RUDE, "", RUDE[0] * 50]
+    labels = [0] * 60 + [1] * 60 + [0, 1]
+    docs = spark.createDataFrame(list(enumerate(texts)) + [(None, "x"), (500, None)], "doc_id long, text string")
+    known = spark.createDataFrame(list(enumerate(labels)) + [(None, 1)], "doc_id long, toxic int")
+    whole = toxicity.train(list(zip(texts, labels, strict=True)))
+    found = toxicity.fit(docs, known)
+    assert found.weights.keys() == whole.weights.keys() and len(whole.weights) > 0
+    assert all(math.isclose(w, whole.weights[t], abs_tol=1e-9) for t, w in found.weights.items())
