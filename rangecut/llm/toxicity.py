@@ -1,8 +1,9 @@
 """Toxicity by multiple-instance learning: sentences have scores, documents have labels.
 
-A sentence's logit is a bias plus the weights of its words. A document is toxic
-unless all its sentences are harmless: with p the sentences' probabilities, its
-own is 1 - (1 - p1)(1 - p2)... (noisy-or). Only documents are labelled; the
+A bias plus the weights of a sentence's words make a logit, and what its
+probability has beyond that of the bias alone, as a share of what is left, is
+the sentence's. A document is toxic unless all its sentences are harmless: with
+p the sentences' probabilities, its own is 1 - (1 - p1)(1 - p2)... (noisy-or). Only documents are labelled; the
 gradient through the noisy-or puts the blame on the sentences that explain the
 label, so the trained model also locates the offending sentences.
 
@@ -10,9 +11,9 @@ A sentence's features are its words (runs of letters, digits and what is not
 ASCII, in lower case) and their first four and five letters, which catch
 inflected forms that training never saw. Features seen in fewer than
 ``LEAST_DOCUMENTS`` training documents get no weight; of the others an L1
-penalty leaves a few hundred. A sentence without any of them has the bias as
-its logit. The bias is fixed and low, lest thousands of harmless sentences add
-up; labels that no sentence explains fall to a leak of the document.
+penalty leaves a few hundred. A sentence without any of them has a probability
+of 0, so however many there are, they don't add up. The bias is fixed and low;
+labels that no sentence explains fall to a leak of the document.
 
 Cases: a null or empty text is one sentence without words; a text of any length
 is read whole; a null id is held out; repeated rows give a row each, scored
@@ -43,7 +44,7 @@ LEAST_DOCUMENTS = 3
 #: A document is rejected from here on.
 TOXIC = 0.5
 
-#: Logit of a sentence without known features, and the share of labels that sentences don't explain.
+#: Logit without the words, and the share of labels that sentences don't explain.
 BIAS, LEAK = -10.0, 0.02
 
 SENTENCE = re.compile(r"[.!?]+\s+|\n")
@@ -62,21 +63,20 @@ class Model:
     bias: float = BIAS
 
     def sentence_logits(self, sentences: list[str]) -> list[float]:
-        known = self.weights
-        return [self.bias + math.fsum(known[t] for t in features(s.lower()) if t in known) for s in sentences]
+        known, base = self.weights, self.bias - softplus(self.bias)
+        added = (math.fsum(known[t] for t in features(s.lower()) if t in known) for s in sentences)
+        return [base + w + math.log(-math.expm1(-w)) if w else -math.inf for w in added]
 
     def score(self, text: str) -> float:
-        """Only sentences of words that have weights are looked at one by one; the others all have the bias as logit."""
+        """Only texts with words that have weights are looked at sentence by sentence."""
         lower = text.lower()
-        sentences, known = SENTENCE.split(lower), self.weights.keys()
-        n_plain, harmless = len(sentences), 0.0
+        known, plain, harmless = self.weights.keys(), softplus(self.bias), 0.0
         if not known.isdisjoint(features(lower)):
-            for sentence in sentences:
+            for sentence in SENTENCE.split(lower):
                 found = known & features(sentence)
                 if found:
-                    n_plain -= 1
-                    harmless -= softplus(self.bias + math.fsum(self.weights[t] for t in found))
-        return min(1.0, max(0.0, -math.expm1(harmless - n_plain * softplus(self.bias))))
+                    harmless += plain - softplus(self.bias + math.fsum(self.weights[t] for t in found))
+        return min(1.0, max(0.0, -math.expm1(harmless)))
 
     def locate(self, text: str, least: float = TOXIC) -> list[tuple[str, float]]:
         """The sentences whose own probability is at least ``least``."""
@@ -142,7 +142,7 @@ def descend(classes: list[int], documents: Iterable[tuple[int, list[int], list[i
         bias = max(BIAS, -4.0 - 12.0 * step / rounds)  # comes down while the weights grow
         z = bias + np.bincount(sentence, theta[term], len(doc))
         p = 1 / (1 + np.exp(-z))
-        harmless = np.log1p(-LEAK) - np.bincount(doc, np.logaddexp(0, z), len(labels))
+        harmless = np.log1p(-LEAK) - np.bincount(doc, np.logaddexp(0, z) - np.logaddexp(0, bias), len(labels))
         toxic = np.clip(-np.expm1(harmless), 1e-6, 1.0)
         # d loss / d z of a sentence: p times (1 - y / P(document)).
         g = weight[doc] * p * (1 - labels[doc] / toxic[doc])

@@ -51,3 +51,10 @@ def test_fit_on_executors_equals_training_in_memory(spark):
     found = toxicity.fit(docs, known)
     assert found.weights.keys() == whole.weights.keys() and len(whole.weights) > 0
     assert all(math.isclose(w, whole.weights[t], abs_tol=1e-9) for t, w in found.weights.items())
+
+
+def test_very_long_texts_and_ties(spark):
+    m = model()
+    long = "Calm words here. " * 40_000 + RUDE[0]
+    docs = spark.createDataFrame([(1, long, 0), (1, long, 0), (2, long[:-len(RUDE[0])], 0)], "doc_id long, text string, score int")
+    assert [(r.doc_id, r.score > 0.5) for r in toxicity.score(docs, m).orderBy("doc_id").collect()] == [(1, True), (1, True), (2, False)]
