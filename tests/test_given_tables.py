@@ -8,6 +8,7 @@ import __spark_entry__ as entry
 SF = "/root/testdata/sf0.001"
 NAMES = [
     "c18_cost_table",
+    "c18_stage_table",
 ]
 
 
