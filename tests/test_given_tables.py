@@ -9,6 +9,7 @@ SF = "/root/testdata/sf0.001"
 NAMES = [
     "c18_cost_table",
     "c18_stage_table",
+    "c19_best_k",
 ]
 
 
