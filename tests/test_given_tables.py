@@ -10,6 +10,7 @@ NAMES = [
     "c18_cost_table",
     "c18_stage_table",
     "c19_best_k",
+    "c20_line_cdf",
 ]
 
 
