@@ -11,6 +11,7 @@ NAMES = [
     "c18_stage_table",
     "c19_best_k",
     "c20_line_cdf",
+    "c21_bounds",
 ]
 
 
