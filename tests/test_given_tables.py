@@ -12,6 +12,7 @@ NAMES = [
     "c19_best_k",
     "c20_line_cdf",
     "c21_bounds",
+    "m14_interval_update",
 ]
 
 
