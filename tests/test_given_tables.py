@@ -13,6 +13,7 @@ NAMES = [
     "c20_line_cdf",
     "c21_bounds",
     "m14_interval_update",
+    "m15_settled_flags",
 ]
 
 
