@@ -148,3 +148,12 @@ def test_failed_rounds_are_rare(spark):
     n = df.count()
     missed = sum(bool(search.one_round(df, spec, 8, 0.1, seed=s, n=n).state.unsettled()) for s in range(6))
     assert missed <= 3
+
+
+def test_intervals_that_given_ranks_leave():
+    """Beside, on and between the targets of eight parts."""
+    state = SplitState(15_000, 8, Fraction(1, 50))
+    state.narrow([Probe(r, r) for r in (3, 100, 1874, 1875, 4000, 6000, 9376, 12000, 13125)])
+    assert [(p.rank, q.rank) for p, q in zip(state.low, state.high)] == [(1875, 1875), (1875, 4000), (4000, 6000), (6000, 9376), (6000, 9376), (9376, 12000), (13125, 13125)]
+    assert [state.settled(i) for i in range(7)] == [True, False, False, False, True, False, True]
+    assert [state.choice(i).rank for i in range(7)] == [1875, 4000, 6000, 6000, 9376, 12000, 13125]

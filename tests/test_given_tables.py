@@ -14,6 +14,7 @@ NAMES = [
     "c21_bounds",
     "m14_interval_update",
     "m15_settled_flags",
+    "m16_closest_choice",
 ]
 
 
