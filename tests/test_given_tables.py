@@ -15,6 +15,7 @@ NAMES = [
     "m14_interval_update",
     "m15_settled_flags",
     "m16_closest_choice",
+    "m18_schedule",
 ]
 
 
