@@ -16,6 +16,7 @@ NAMES = [
     "m15_settled_flags",
     "m16_closest_choice",
     "m18_schedule",
+    "m30_overpartition_load",
 ]
 
 
