@@ -7,6 +7,7 @@ import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
 NAMES = [
+    "w01_rounds_by_p_model",
     "b06_rounds_vs_m05",
     "c18_cost_table",
     "c18_stage_table",
